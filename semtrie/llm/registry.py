@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from semtrie.llm import secrets, warc
+from semtrie.llm import mixing, secrets, tokencount, warc
 
 
 def queries() -> dict:
     return {
         "op1_warc_transactions": warc.op1_warc_transactions,
         "op6_secret_scan": secrets.op6_secret_scan,
+        "op8_mix_sources": mixing.op8_mix_sources,
+        "op9_token_counts": tokencount.op9_token_counts,
     }
 
 
