@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from semtrie.llm import mixing, secrets, tokencount, warc
+from semtrie.llm import mixing, secrets, segment, tokencount, warc
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_warc_transactions": warc.op1_warc_transactions,
         "op6_secret_scan": secrets.op6_secret_scan,
         "op8_mix_sources": mixing.op8_mix_sources,
+        "op10_sample_segmentations": segment.op10_sample_segmentations,
         "op9_token_counts": tokencount.op9_token_counts,
     }
 
