@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from semtrie.llm import mixing, quality, secrets, segment, tokencount, warc
+from semtrie.llm import mixing, neardup, quality, secrets, segment, tokencount, warc
 
 
 def queries() -> dict:
     return {
         "op1_warc_transactions": warc.op1_warc_transactions,
         "op2_quality_ranking": quality.op2_quality_ranking,
+        "op4_near_duplicates": neardup.op4_near_duplicates,
         "op6_secret_scan": secrets.op6_secret_scan,
         "op8_mix_sources": mixing.op8_mix_sources,
         "op10_sample_segmentations": segment.op10_sample_segmentations,
