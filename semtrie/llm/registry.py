@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from semtrie.llm import mixing, neardup, quality, secrets, segment, tokencount, warc
+from semtrie.llm import linededup, mixing, neardup, quality, secrets, segment, tokencount, warc
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op2_quality_ranking": quality.op2_quality_ranking,
         "op4_near_duplicates": neardup.op4_near_duplicates,
         "op6_secret_scan": secrets.op6_secret_scan,
+        "op7_line_dedup": linededup.op7_line_dedup,
         "op8_mix_sources": mixing.op8_mix_sources,
         "op10_sample_segmentations": segment.op10_sample_segmentations,
         "op9_token_counts": tokencount.op9_token_counts,
@@ -18,4 +19,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_warc_transactions": warc.OP1_SQL}
+    return {"op1_warc_transactions": warc.OP1_SQL, "op7_line_dedup": linededup.OP7_SQL}
