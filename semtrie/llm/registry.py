@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from semtrie.llm import linededup, mixing, neardup, quality, secrets, segment, tokencount, warc
+from semtrie.llm import linededup, mixing, neardup, quality, secrets, segment, tokencount, vectors, warc
 
 
 def queries() -> dict:
     return {
         "op1_warc_transactions": warc.op1_warc_transactions,
         "op2_quality_ranking": quality.op2_quality_ranking,
+        "op3_vector_near_duplicates": vectors.op3_vector_near_duplicates,
+        "op5_nearest_neighbours": vectors.op5_nearest_neighbours,
         "op4_near_duplicates": neardup.op4_near_duplicates,
         "op6_secret_scan": secrets.op6_secret_scan,
         "op7_line_dedup": linededup.op7_line_dedup,
