@@ -53,6 +53,15 @@ def discard(df: DataFrame | None) -> None:
     hadoop_path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop_path, True)
 
 
+#: Rows of a narrow side (a few numbers each) up to which it is broadcast after being counted.
+BROADCAST_ROWS = 200_000
+
+
+def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
+    """Broadcast a materialised narrow side if it has been counted to hold at most ``limit`` rows; else let it shuffle."""
+    return F.broadcast(df) if df.count() <= limit else df
+
+
 def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
     """Connected components of ``edges(a, b)`` as ``(id, component)``, component = smallest id reachable.
 

@@ -28,14 +28,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import materialize, mix64, pieces, table
+from semtrie.llm.common import materialize, mix64, pieces, small, table
 from semtrie.llm.shingles import BASE, _powers
 
 SEGMENTS = 4
 MIN_CHARS = 20
 ENDS = " \t\r"
-#: Rows up to which a side may be broadcast (narrow rows, a few MB); beyond, the join shuffles.
-BROADCAST_ROWS = 200_000
 
 
 class _Strings:
@@ -129,11 +127,6 @@ def _variants(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def _small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """Broadcast a materialised side after counting it, within ``limit`` rows."""
-    return F.broadcast(df) if df.count() <= limit else df
-
-
 def _nth_line(text, number):
     return F.btrim(F.get(F.split(F.coalesce(text, F.lit("")), "\n", -1), number), F.lit(ENDS))
 
@@ -142,9 +135,9 @@ def near_earlier(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """(h1, h2) of the distinct lines that have an earlier line within one edit."""
     keyed = classes.select("h1", "h2", "first", F.posexplode(F.array(*KEYS)).alias("slot", "key"))
     shared = keyed.groupBy("key").agg(F.min("h1").alias("low"), F.max("h1").alias("high")).filter("low <> high").select("key")
-    found = materialize(keyed.join(_small(materialize(shared, "keys")), "key", "left_semi"), "survivors")
+    found = materialize(keyed.join(small(materialize(shared, "keys")), "key", "left_semi"), "survivors")
     wanted = materialize(found.select("h1", "h2", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no")).distinct(), "wanted")
-    texts = docs.join(_small(wanted), "doc_id").select("h1", "h2", _nth_line(F.col("text"), F.col("line_no")).alias("line"))
+    texts = docs.join(small(wanted), "doc_id").select("h1", "h2", _nth_line(F.col("text"), F.col("line_no")).alias("line"))
     # an id may repeat with another text: keep the copies that really hold the line
     texts = materialize(texts.filter(F.col("line").isNotNull()).groupBy("h1", "h2").agg(F.max("line").alias("line")), "lines")
     spread = found.join(texts, ["h1", "h2"]).select("key", "slot", "h1", "h2", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "line")
@@ -174,7 +167,7 @@ def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     else:
         late = classes.select("h1", "h2").limit(0)
     marked = classes.select("h1", "h2", "first", "n").join(late.withColumn("late", F.lit(True)), ["h1", "h2"], "left").filter("n > 1 OR late").select("h1", "h2", "first", F.coalesce("late", F.lit(False)).alias("late"))
-    occurrences = lines.select("doc_id", "line_no", "h1", "h2").join(_small(materialize(marked, "marked")), ["h1", "h2"])
+    occurrences = lines.select("doc_id", "line_no", "h1", "h2").join(small(materialize(marked, "marked")), ["h1", "h2"])
     gone = occurrences.filter(F.col("late") | (F.struct("doc_id", "line_no") != F.col("first")))
     return gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone"))
 
@@ -182,7 +175,7 @@ def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
 def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, marks: tuple[str, str] | None = None) -> DataFrame:
     """Documents with the repeated lines taken out of the text; ``marks`` names two added columns, lines before and lines gone."""
     gone = materialize(mark_lines(docs, id_col=id_col, text_col=text_col, min_chars=min_chars, max_edits=max_edits), "gone")
-    side = _small(gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone")))
+    side = small(gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone")))
     joined = docs.join(side, F.col(id_col) == F.col("__line_doc"), "left")
     split = F.split(F.col(text_col), "\n", -1)
     kept = F.filter(split, lambda line, i: ~F.array_contains("__line_gone", i))

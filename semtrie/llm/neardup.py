@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import components, materialize, mix64, pieces, table, text_bytes
+from semtrie.llm.common import components, materialize, mix64, pieces, small, table, text_bytes
 from semtrie.llm.shingles import jaccard_at_least, shingle_sets, super_minhash
 
 SLOTS, ROWS = 128, 4
@@ -64,8 +64,8 @@ def sketch(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", w
     return narrow.mapInArrow(lambda b: _sketch(b, words, slots, rows), SKETCH)
 
 
-def _agree(batches: Iterator[pa.RecordBatch], percent: int, floor: float) -> Iterator[pa.RecordBatch]:
-    """Keep pairs whose sizes allow the similarity and whose signatures agree enough."""
+def _agree(batches: Iterator[pa.RecordBatch], floor: float) -> Iterator[pa.RecordBatch]:
+    """Keep pairs whose signatures agree enough."""
     for batch in batches:
         if not batch.num_rows:
             continue
@@ -74,21 +74,47 @@ def _agree(batches: Iterator[pa.RecordBatch], percent: int, floor: float) -> Ite
         yield pa.RecordBatch.from_arrays([batch.column("a").filter(pa.array(near)), batch.column("b").filter(pa.array(near))], ["a", "b"])
 
 
-def _compare_block(table_: pa.Table, percent: int, floor: float) -> pa.Table:
-    """Pairs of one block that lie in different components and may be similar: outsiders against all."""
-    d = {c: table_.column(c).to_numpy() for c in ("id", "component", "size", "outsider")}
-    sig = np.frombuffer(b"".join(table_.column("signature").to_pylist()), dtype=np.uint8).reshape(table_.num_rows, -1)
-    members = np.flatnonzero(~d["outsider"])
+def _compare_block(block: pa.Table, percent: int) -> pa.Table:
+    """Outsiders of one block against its members of other components, by their full sets.
+
+    The sets come as 32-bit values, of which an outsider's may match too many but
+    never too few, so a pair that reaches the similarity is always found.  Of an
+    outsider's pairs with one component the closest goes on to be confirmed.
+    """
+    home = ~block.column("outsider").to_numpy()
+    ids, component, size = (block.column(c).to_numpy() for c in ("id", "component", "size"))
+    sets = [np.frombuffer(x, dtype="<u4") for x in block.column("values").to_pylist()]
+    _, value = np.unique(np.concatenate(sets), return_inverse=True)
+    ends = np.cumsum([len(x) for x in sets])
+    starts = ends - [len(x) for x in sets]
+    members = np.flatnonzero(home)
+    joined = np.concatenate([value[starts[i] : ends[i]] for i in members]) if len(members) else value[:0]
+    heads = np.cumsum([0, *[len(sets[i]) for i in members]])[:-1]
     left, right = [], []
-    for i in np.flatnonzero(d["outsider"]):
-        small, large = np.minimum(d["size"][members], d["size"][i]), np.maximum(d["size"][members], d["size"][i])
-        may = members[(d["component"][members] != d["component"][i]) & (100 * small >= percent * large)]
-        may = may[(sig[may] == sig[i]).mean(axis=1) >= floor] if len(may) else may
-        left += [max(d["id"][i], x) for x in d["id"][may]]
-        right += [min(d["id"][i], x) for x in d["id"][may]]
+    for i in np.flatnonzero(~home) if len(members) else ():
+        mark = np.zeros(value.max() + 1, dtype=np.int64)
+        mark[value[starts[i] : ends[i]]] = 1
+        common = np.add.reduceat(mark[joined], heads)
+        near = np.flatnonzero((component[members] != component[i]) & (100 * common >= percent * (size[members] + size[i] - common)))
+        near = near[np.argsort(-common[near], kind="stable")]
+        near = near[np.sort(np.unique(component[members][near], return_index=True)[1])]
+        left += [max(ids[i], x) for x in ids[members][near]]
+        right += [min(ids[i], x) for x in ids[members][near]]
     return pa.table({"a": pa.array(left, pa.int64()), "b": pa.array(right, pa.int64())})
 
 
+def _values(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[pa.RecordBatch]:
+    for part in pieces(batches, "text", 1 << 20):
+        sets, offsets = shingle_sets(*text_bytes(part.column("text")), k)
+        low = (sets & np.uint64(0xFFFFFFFF)).astype("<u4")
+        yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([low[a:b].tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)], pa.binary())], ["id", "values"])
+
+
+def texts_of(texts: DataFrame, ids: DataFrame, tag: str) -> DataFrame:
+    """Texts of the documents in ``ids(doc_id)``, fetched once."""
+    return materialize(texts.join(small(materialize(ids.distinct(), f"{tag}-ids")), "doc_id", "left_semi"), tag)
+
+
 def _verify(batches: Iterator[pa.RecordBatch], k: int, percent: int) -> Iterator[pa.RecordBatch]:
     for part in pieces(pieces(batches, "text_a"), "text_b"):
         sa, oa = shingle_sets(*text_bytes(part.column("text_a")), k)
@@ -100,8 +126,9 @@ def _verify(batches: Iterator[pa.RecordBatch], k: int, percent: int) -> Iterator
 
 def confirm(pairs: DataFrame, texts: DataFrame, *, words: int, percent: int) -> DataFrame:
     """The pairs (a, b) whose full shingle sets reach the similarity."""
-    one = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
-    two = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
+    own = texts_of(texts, pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))), "pair-texts")
+    one = own.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
+    two = own.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
     return pairs.join(one, "a").join(two, "b").mapInArrow(lambda b: _verify(b, words, percent), "a long, b long")
 
 
@@ -131,12 +158,12 @@ def near_duplicates(
     narrow = reps.select("id", "size", "signature")
     side = lambda c: narrow.select(F.col("id").alias(c), F.col("size").alias(f"size_{c}"), F.col("signature").alias(f"sig_{c}"))
     sized = stars.join(side("a"), "a").join(side("b"), "b").filter(100 * F.least("size_a", "size_b") >= percent * F.greatest("size_a", "size_b"))
-    likely = sized.select("a", "b", "sig_a", "sig_b").mapInArrow(lambda b: _agree(b, percent, ESTIMATE), "a long, b long")
+    likely = materialize(sized.select("a", "b", "sig_a", "sig_b").mapInArrow(lambda b: _agree(b, ESTIMATE), "a long, b long"), "likely")
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     star_links = materialize(confirm(likely, texts, words=words, percent=percent), "stars")
     grouped = components(star_links)
 
-    extra = materialize(_cross_links(member, narrow, grouped, percent), "cross")
+    extra = materialize(_cross_links(member, reps.select("id", "size"), grouped, texts, words, percent), "cross")
     links = star_links
     if not extra.isEmpty():
         links = star_links.union(confirm(extra, texts, words=words, percent=percent))
@@ -149,8 +176,8 @@ def near_duplicates(
     return out.select("doc_id", "n_shingles", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
 
 
-def _cross_links(member: DataFrame, narrow: DataFrame, grouped: DataFrame, percent: int) -> DataFrame:
-    """Likely pairs of one bucket in different components.
+def _cross_links(member: DataFrame, sizes: DataFrame, grouped: DataFrame, texts: DataFrame, words: int, percent: int) -> DataFrame:
+    """Pairs of one bucket in different components whose sets reach the similarity.
 
     Each bucket's members outside its largest component are compared with all
     its members; members lie in blocks of about ``BLOCK`` rows, and outsiders
@@ -159,13 +186,15 @@ def _cross_links(member: DataFrame, narrow: DataFrame, grouped: DataFrame, perce
     told = member.select("key", "id").join(grouped, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
     parts = told.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
     mixed = parts.groupBy("key").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("k")).filter("k > 1")
-    rows_ = told.join(mixed, "key").join(narrow, "id")
-    rows_ = rows_.withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
-    at_home = rows_.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("outsider", F.lit(False))
-    guests = rows_.filter("component <> main").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("outsider", F.lit(True))
-    columns = ["key", "block", "id", "component", "size", "signature", "outsider"]
+    rows = materialize(told.join(mixed, "key").join(sizes, "id"), "mixed")
+    own = texts_of(texts, rows.select(F.col("id").alias("doc_id")), "mixed-texts")
+    values = materialize(own.mapInArrow(lambda b: _values(b, words), "id long, values binary").dropDuplicates(["id"]), "mixed-sets")
+    rows = rows.join(values, "id").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
+    at_home = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("outsider", F.lit(False))
+    guests = rows.filter("component <> main").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("outsider", F.lit(True))
+    columns = ["key", "block", "id", "component", "size", "values", "outsider"]
     both = at_home.select(columns).union(guests.select(columns))
-    return both.groupBy("key", "block").applyInArrow(lambda t: _compare_block(t, percent, ESTIMATE), "a long, b long").distinct()
+    return both.groupBy("key", "block").applyInArrow(lambda t: _compare_block(t, percent), "a long, b long").distinct()
 
 
 def op4_near_duplicates(spark, sf_dir) -> DataFrame:
