@@ -36,6 +36,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -43,7 +44,7 @@ from semtrie.llm.common import mix64, pieces, table
 
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
-BATCH = 1 << 22
+BATCH = 3 << 19
 SIEVE = 20
 UNIT = re.compile(" *[^ ]+| +")
 
@@ -64,21 +65,51 @@ class Vocabulary:
         weight = {i: -slope * math.log(min(max(0.0, -model.get_score(i)), size) + shift) for i in plain}
         self.byte_weight = -slope * math.log(size + shift)
         self.longest = max(len(self.names[i]) for i in plain)
-        self.by_length = {}
-        # one bit per hash prefix: most substrings are ruled out without a search
-        self.maybe = np.zeros(1 << SIEVE, dtype=bool)
-        self.longer = np.zeros(1 << SIEVE, dtype=bool)  # the same for proper prefixes of pieces
-        for length in range(1, self.longest + 1):
-            found = [i for i in plain if len(self.names[i]) == length]
-            if found:
-                codes = np.array([[ord(c) for c in self.names[i]] for i in found], dtype=np.uint64)
-                h = np.zeros(len(found), dtype=np.uint64)
-                for column in codes.T:
-                    self.longer[(h >> np.uint64(64 - SIEVE)).astype(np.int64)] = True
-                    h = roll(h, column)
-                order = np.argsort(h)
-                self.maybe[(h >> np.uint64(64 - SIEVE)).astype(np.int64)] = True
-                self.by_length[length] = (h[order], np.array(found)[order], np.array([weight[i] for i in found])[order])
+        # pieces in a table by the leading bits of their hash; pieces that share a place go to the next level
+        self.longer = np.zeros(1 << SIEVE, dtype=bool)  # places of proper prefixes of pieces
+        hashes = np.zeros(len(plain), dtype=np.uint64)
+        sizes = np.array([len(self.names[i]) for i in plain])
+        self.lengths = set(sizes.tolist())
+        for length in self.lengths:
+            rows = np.flatnonzero(sizes == length)
+            h = np.zeros(len(rows), dtype=np.uint64)
+            for column in np.array([[ord(c) for c in self.names[plain[r]]] for r in rows], dtype=np.uint64).T:
+                self.longer[place_of(h)] = True
+                h = roll(h, column)
+            hashes[rows] = h
+        self.hash, self.id = hashes, np.array(plain, dtype=np.int32)
+        self.weight = np.array([weight[i] for i in plain])
+        self.levels = []
+        rest = np.arange(len(plain))
+        while len(rest):
+            level = np.full(1 << SIEVE, -1, dtype=np.int32)
+            place = place_of(hashes[rest])
+            level[place] = rest
+            self.levels.append(level)
+            rest = rest[level[place] != rest]
+
+    def find(self, h: np.ndarray, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(position, piece row) of the hashes that are pieces."""
+        at, rows = [], []
+        left = np.arange(len(h))
+        for level in self.levels:
+            row = level[place[left]]
+            some = np.flatnonzero(row >= 0)
+            left, row = left[some], row[some]
+            same = self.hash[row] == h[left]
+            at.append(left[same])
+            rows.append(row[same])
+            left = left[~same]
+        order = np.argsort(at := np.concatenate(at), kind="stable")
+        return at[order], np.concatenate(rows)[order]
+
+
+def place_of(h: np.ndarray) -> np.ndarray:
+    return (h >> np.uint64(64 - SIEVE)).view(np.int64)
+
+
+def utf8_width(codes: np.ndarray) -> np.ndarray:
+    return 1 + (codes >= 0x80).astype(np.int32) + (codes >= 0x800) + (codes >= 0x10000)
 
 
 def roll(h: np.ndarray, codes: np.ndarray) -> np.ndarray:
@@ -100,59 +131,55 @@ class Lattices:
 
     def __init__(self, units: list[str], vocab: Vocabulary):
         self.vocab = vocab
-        lengths = np.array([len(u) for u in units], dtype=np.int64)
+        lengths = np.array([len(u) for u in units], dtype=np.int32)
         joined = "".join(units)
-        codes = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint64)
+        codes = np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), dtype="<u4")
         self.codes = codes
         n = len(codes)
-        self.base = np.cumsum(lengths) - lengths
+        self.base = (np.cumsum(lengths) - lengths).astype(np.int32)
         stop = np.repeat(self.base + lengths, lengths)
         # a space of the text is the word mark; a literal word mark matches no piece
-        seen = np.where(codes == 32, np.uint64(ord(MARK)), np.where(codes == ord(MARK), np.uint64(0x110000), codes))
-        room = stop - np.arange(n)
+        seen = np.where(codes == 32, np.uint32(ord(MARK)), np.where(codes == ord(MARK), np.uint32(0x110000), codes))
+        room = stop - np.arange(n, dtype=np.int32)
         h = np.zeros(n, dtype=np.uint64)
-        at_parts, len_parts, id_parts, w_parts = [], [], [], []
-        live = np.arange(n)
-        single = np.zeros(n, dtype=bool)
+        parts: list[tuple] = []
+        live = np.arange(n, dtype=np.int32)
+        fan = np.zeros(n, dtype=np.int32)  # edges found so far at each node: an edge's rank among its node's
+
+        def found_edges(at: np.ndarray, length: int, ids: np.ndarray, weights: np.ndarray) -> None:
+            parts.append((at, fan[at], np.full(len(at), length, dtype=np.int32), ids, weights))
+            fan[at] += 1
+
         for length in range(1, vocab.longest + 1):
             if not len(live):
                 break
-            here = h = roll(h, seen[live + length - 1])
-            prefix = (h >> np.uint64(64 - SIEVE)).view(np.int64)
-            now, going = live, np.flatnonzero(vocab.longer[prefix] & (room[live] > length))
+            here = h = roll(h, seen[live + (length - 1)].astype(np.uint64))
+            place = place_of(h)
+            now, going = live, np.flatnonzero(vocab.longer[place] & (room[live] > length))
             live, h = live[going], h[going]
-            if length not in vocab.by_length:
-                continue
-            known, ids, weights = vocab.by_length[length]
-            may = np.flatnonzero(vocab.maybe[prefix])
-            here = here[may]
-            spot = np.minimum(np.searchsorted(known, here), len(known) - 1)
-            hit = known[spot] == here
-            at = now[may[hit]]
+            if length in vocab.lengths:
+                hit, row = vocab.find(here, place)
+                found_edges(now[hit], length, vocab.id[row], vocab.weight[row])
             if length == 1:
-                single[at] = True
-            at_parts.append(at)
-            len_parts.append(np.full(len(at), length, dtype=np.int64))
-            id_parts.append(ids[spot[hit]])
-            w_parts.append(weights[spot[hit]])
-        lost = np.flatnonzero(~single)
-        widths = 1 + (codes[lost] >= 0x80) + (codes[lost] >= 0x800) + (codes[lost] >= 0x10000)
-        at_parts.append(lost)
-        len_parts.append(np.ones(len(lost), dtype=np.int64))
-        id_parts.append(np.full(len(lost), -1, dtype=np.int64))
-        w_parts.append(vocab.byte_weight * widths)
-        at, length, code, weight = (np.concatenate(p) for p in (at_parts, len_parts, id_parts, w_parts))
-        order = np.argsort(at * 64 + length, kind="stable")
-        self.node, length, self.code, weight = at[order], length[order], code[order], weight[order]
+                lost = np.flatnonzero(fan == 0).astype(np.int32)
+                found_edges(lost, 1, np.full(len(lost), -1, dtype=np.int32), vocab.byte_weight * utf8_width(codes[lost]))
+        self.start = np.append(np.int32(0), np.cumsum(fan, dtype=np.int32))
+        edges = int(self.start[-1])
+        self.node, length, self.code = (np.empty(edges, dtype=np.int32) for _ in range(3))
+        weight = np.empty(edges)
+        for at, rank, length_, ids, weights in parts:
+            place = self.start[at] + rank
+            self.node[place], length[place], self.code[place], weight[place] = at, length_, ids, weights
+        del parts, seen, h
         end = self.node + length
-        self.start = np.searchsorted(self.node, np.arange(n + 1))
         # backward sums, all units together, by distance from the unit's end
         after = np.zeros(n + 1)
         ends_unit = end == stop[self.node] if n else np.zeros(0, bool)
-        distance = room[self.node] if n else np.zeros(0, np.int64)
-        by_distance = np.argsort(distance, kind="stable")
-        cuts = np.searchsorted(distance[by_distance], np.arange(1, (int(room.max()) if n else 0) + 2))
-        score = np.empty(len(self.node))
+        distance = room[self.node] if n else np.zeros(0, np.int32)
+        deepest = int(room.max()) if n else 0
+        by_distance = np.argsort(distance.astype(np.int16) if deepest < 1 << 15 else distance, kind="stable").astype(np.int32)
+        cuts = np.append(0, np.cumsum(np.bincount(distance, minlength=deepest + 1)))[1:] if n else np.zeros(1, np.int64)
+        score = np.empty(edges)
         for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
             e = by_distance[lo:hi]
             s = weight[e] + np.where(ends_unit[e], 0.0, after[end[e]])
@@ -163,15 +190,17 @@ class Lattices:
             after[self.node[e][first]] = total
             score[e] = s - np.repeat(total, count)
         self.logp = np.minimum(score, 0.0)
-        self.to = np.where(ends_unit, -1, end)
+        self.to = np.where(ends_unit, np.int32(-1), end)
         p = np.exp(self.logp)
         # drawing an edge: the likeliest one by a comparison, the others by one sorted search
         first = self.start[:-1]
         best = np.maximum.reduceat(p, first) if n else p
-        top_edges = np.flatnonzero(p == np.repeat(best, np.diff(self.start)))
-        self.top = top_edges[np.searchsorted(self.node[top_edges], np.arange(n))]
+        top_edges = np.flatnonzero(p == np.repeat(best, fan)).astype(np.int32)
+        self.top = top_edges[np.diff(self.node[top_edges], prepend=-1) != 0]
         self.p_top = best
-        self.other_edges = np.delete(np.arange(len(p)), self.top)
+        rest = np.ones(len(p), dtype=bool)
+        rest[self.top] = False
+        self.other_edges = np.flatnonzero(rest).astype(np.int32)
         owner, q = self.node[self.other_edges], p[self.other_edges]
         running = np.cumsum(q) - q
         lead = np.flatnonzero(np.diff(owner, prepend=-1))
@@ -180,18 +209,19 @@ class Lattices:
         within = (running - np.repeat(running[lead], share)) / np.repeat(np.maximum(total, 1e-300), share)
         self.low = owner + np.clip(within, 0.0, 1 - 1e-9)
         others = 1.0 - p
-        alone = np.diff(self.start)[self.node] == 1 if n else np.zeros(0, bool)
+        alone = fan[self.node] == 1 if n else np.zeros(0, bool)
         # the mass of a node's other edges, summed when the difference would lose digits
         self.leave = np.where(alone, -np.inf, np.log(np.maximum(others, 1e-300)))
         close = np.flatnonzero(~alone & (others < 1e-6))
         if len(close):
             first = self.start[self.node[close]]
-            fan = first[:, None] + np.arange(vocab.longest + 1)
-            inside = (fan < self.start[self.node[close] + 1][:, None]) & (fan != close[:, None])
-            rest = np.where(inside, p[np.minimum(fan, len(p) - 1)], 0.0).sum(axis=1)
+            fan_of = first[:, None] + np.arange(vocab.longest + 1)
+            inside = (fan_of < self.start[self.node[close] + 1][:, None]) & (fan_of != close[:, None])
+            rest = np.where(inside, p[np.minimum(fan_of, len(p) - 1)], 0.0).sum(axis=1)
             self.leave[close] = np.log(np.maximum(rest, 1e-300))
-        self.width = np.ones(len(self.code), dtype=np.int64)
-        self.width[self.code < 0] = (1 + (codes[self.node[self.code < 0]] >= 0x80).astype(np.int64) + (codes[self.node[self.code < 0]] >= 0x800) + (codes[self.node[self.code < 0]] >= 0x10000))
+        self.width = np.ones(edges, dtype=np.int32)
+        missing = np.flatnonzero(self.code < 0)
+        self.width[missing] = utf8_width(codes[self.node[missing]])
 
     def draw(self, nodes: np.ndarray, u: np.ndarray) -> np.ndarray:
         """One edge out of each node, by uniform draws."""
@@ -262,8 +292,8 @@ def complete(lat: Lattices, at: np.ndarray, counter: np.ndarray, stream: np.ndar
 
     Start i draws from ``stream[i]`` at ``counter[i]``, whatever stands beside it.
     """
-    live, rounds, who = np.arange(len(at)), [], []
-    count = np.zeros(len(at), dtype=np.int64)
+    live, rounds, who = np.arange(len(at), dtype=np.int32), [], []
+    count = np.zeros(len(at), dtype=np.int32)
     state = stream + counter.astype(np.uint64) * np.uint64(GOLDEN)
     while len(live):
         u = ((mix64(state) >> np.uint64(11)).astype(np.float64) + 0.5) * 2.0**-53
@@ -276,7 +306,7 @@ def complete(lat: Lattices, at: np.ndarray, counter: np.ndarray, stream: np.ndar
         at, live = to[go], live[go]
         state = mix64(state[go] ^ np.uint64(GOLDEN))
     base = np.cumsum(count) - count
-    edges = np.empty(int(count.sum()), dtype=np.int64)
+    edges = np.empty(int(count.sum()), dtype=np.int32)
     for r, (starts, edge) in enumerate(zip(who, rounds, strict=True)):
         edges[base[starts] + r] = edge
     return edges, count
@@ -290,7 +320,7 @@ class Sampler:
         self.tie = 0
         self.queue: list[tuple] = []
         # the whole set: nothing fixed, nothing excluded
-        self._push(_gumbel(draws.one()), ("node", np.zeros(0, np.int64), 0.0, 0, int(nodes[0]) if len(nodes) else -1, frozenset()))
+        self._push(_gumbel(draws.one()), ("node", np.zeros(0, np.int32), 0.0, 0, int(nodes[0]) if len(nodes) else -1, frozenset()))
 
     def _push(self, value: float, entry: tuple) -> None:
         self.tie += 1
@@ -352,14 +382,14 @@ class Sampler:
         if node < 0:
             return value, start, kept
         lat = self.lat
-        path = np.concatenate([kept, [first], rest])
+        path = np.concatenate([kept, np.array([first], dtype=np.int32), rest])
         steps = lat.logp[path[len(kept) :]]
         before = np.empty(len(path) + 1)
         before[: len(kept)] = 0.0
         before[len(kept)] = start
         np.cumsum(steps, out=before[len(kept) + 1 :])
         before[len(kept) + 1 :] += start
-        units = np.empty(len(path), dtype=np.int64)
+        units = np.empty(len(path), dtype=np.int32)
         units[: len(kept) + 1] = unit
         units[len(kept) + 1 :] = np.repeat(np.arange(from_unit, from_unit + len(count)), count)
         taken = excluded | {first}
@@ -409,11 +439,31 @@ def search_texts(nodes: list[np.ndarray], keys: list[int], k: int, seed: int, la
 
 
 def unit_lattices(texts: list[str], vocab: Vocabulary) -> tuple[Lattices, list[np.ndarray]]:
-    """Lattices of the texts' distinct units, and each text as the nodes its units start at."""
+    """Lattices of the texts' distinct units, and each text as the nodes its units start at.
+
+    Texts whose words are parted by single spaces are split and numbered in one
+    vectorised pass; the others go by the pattern.
+    """
+    plain = [not (t[:1] == " " or t[-1:] == " " or "  " in t) for t in texts]
+    column = pa.array([t if p else "" for t, p in zip(texts, plain, strict=True)], pa.large_string())
+    words = pc.split_pattern(column, " ")
+    coded = words.values.dictionary_encode()
+    units = [" " + w for w in coded.dictionary.to_pylist()]
+    codes, ends = coded.indices.to_numpy(), words.offsets.to_numpy()
     number: dict[str, int] = {}
-    coded = [[number.setdefault(u, len(number)) for u in units_of(t)] for t in texts]
-    lat = Lattices(list(number), vocab)
-    return lat, [lat.base[np.array(c, dtype=np.int64)] for c in coded]
+    odd = {}
+    if not all(plain):
+        number = {u: i for i, u in enumerate(units)}
+        for i, p in enumerate(plain):
+            if not p:
+                odd[i] = np.array([number.setdefault(u, len(number)) for u in units_of(texts[i])], dtype=np.int64)
+        units = list(number)
+    lat = Lattices(units, vocab)
+    nodes = []
+    for i, text in enumerate(texts):
+        own = odd[i] if i in odd else codes[ends[i] : ends[i + 1]] if text else codes[:0]
+        nodes.append(lat.base[own])
+    return lat, nodes
 
 
 SCHEMA = "doc_id long, sample int, n_pieces long, logp double, perturbed double, log_inclusion double, exact boolean, pieces_sha1 string"
