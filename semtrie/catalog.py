@@ -830,7 +830,7 @@ def _(spark, sf):
     return X.coded(spark, sf).known.select("user_id", "peer_id", F.dense_rank().over(w).cast("long").alias("rank"))
 
 
-@key("win_lag_gap", "SELECT event_id, date_diff('second', lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts) AS gap FROM events")
+@key("win_lag_gap", "SELECT event_id, date_sub('second', lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id), ts) AS gap FROM events")
 def _(spark, sf):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
     return T.events_table(spark, sf).select("event_id", F.timestamp_diff("SECOND", F.lag("ts").over(w), F.col("ts")).alias("gap"))
@@ -979,11 +979,11 @@ def _(spark, sf):
     return X.stream_placements(spark, sf, shallow(spark, sf)).groupBy("path").agg(n_())
 
 
-@key("stream_join_answered", """WITH e AS (SELECT *, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS BIGINT) AS k FROM events) SELECT q.event_id AS q_id, a.event_id, a.user_id, a.k FROM e q JOIN e a ON q.user_id = a.user_id AND q.k = a.k AND a.ts >= q.ts AND a.ts <= q.ts + INTERVAL 1 HOUR WHERE q.event_type = 'view' AND a.event_type = 'purchase'""")
+@key("stream_join_answered", """WITH e AS (SELECT *, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS BIGINT) AS k FROM events) SELECT q.event_id AS q_id, a.event_id, a.user_id, a.k FROM e q JOIN e a ON q.user_id = a.user_id AND q.k = a.k AND a.ts >= q.ts AND a.ts <= q.ts + INTERVAL 10 DAY WHERE q.event_type = 'view' AND a.event_type = 'purchase'""")
 def _(spark, sf):
     q = S.events_stream(spark, sf).filter("event_type = 'view'")
     a = S.events_stream(spark, sf).filter("event_type = 'purchase'")
-    return S.run_to_table(S.answered_queries(q, a), "append")
+    return S.run_to_table(S.answered_queries(q, a, "INTERVAL 10 DAYS"), "append")
 
 
 # ------------------------------------------------------------------ experiments (learnt tries; no oracle)

@@ -87,7 +87,10 @@ def pack_unit(df: DataFrame, col: str = "emb", out: str = "unit") -> DataFrame:
     return df.withColumn(out, packed(F.col(col)))
 
 
-@F.pandas_udf("double")
-def dot_packed(a: pd.Series, b: pd.Series) -> pd.Series:
-    """Inner product of packed vectors: the cosine, if both are units."""
+def _dots(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((unpack(a) * unpack(b)).sum(1)) if len(a) else pd.Series([], dtype="float64")
+
+
+def dot_packed(a, b) -> Column:
+    """Inner product of packed vectors: the cosine, if both are units."""
+    return F.pandas_udf(_dots, "double")(a, b)

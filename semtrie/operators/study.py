@@ -29,11 +29,12 @@ def max_cooccurrence(holding: DataFrame, *, max_df: int | None = None, sample: D
     kept = held.join(df.select("doc_id"), "doc_id", "left_semi")
     left = kept if sample is None else kept.join(sample.select("user_id").distinct(), "user_id", "left_semi")
     left = left.withColumn("salt", F.pmod(F.xxhash64("user_id"), F.lit(SALT)))
-    right = kept.select(F.col("user_id").alias("other"), "doc_id").withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))).cast("long"))
+    right = kept.select(F.col("user_id").alias("other"), "doc_id").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALT - 1).cast("long"))))
     shared = left.join(right, ["doc_id", "salt"]).filter("user_id <> other").groupBy("user_id", "other").agg(F.count(F.lit(1)).alias("n"))
-    best = shared.groupBy("user_id").agg(F.max_by(F.struct("n", "other"), F.struct(F.col("n"), -F.col("other"))).alias("b") if dict(shared.dtypes)["other"] in ("bigint", "int") else F.max(F.struct("n", "other")).alias("b"))
+    # the smallest struct of (-n, other) is the largest count and, among equals, the smallest id
+    best = shared.groupBy("user_id").agg(F.min(F.struct((-F.col("n")).alias("m"), "other")).alias("b"))
     users = (held if sample is None else held.join(sample.select("user_id").distinct(), "user_id", "left_semi")).select("user_id").distinct()
-    return users.join(best, "user_id", "left").select("user_id", F.coalesce("b.n", F.lit(0)).alias("max_shared"), F.col("b.other").alias("partner"))
+    return users.join(best, "user_id", "left").select("user_id", F.coalesce(-F.col("b.m"), F.lit(0)).alias("max_shared"), F.col("b.other").alias("partner"))
 
 
 def isolated_users(holding: DataFrame) -> DataFrame:

@@ -64,7 +64,7 @@ def rounds_sql(rounds: int, n_cu: int, *, ask_from: str = "closest", reply_limit
     for t in range(1, rounds + 1):
         k = f"{start}{t - 1}"
         limit = f"rank <= {n_cu}" if ask_from == "closest" else "true"
-        test = "true" if everything else "(bar IS NULL OR round(sim, 12) > round(bar, 12))"
+        test = "true" if everything else "(bar IS NULL OR round(v.sim, 12) > round(bar, 12))"
         keep = f"WHERE rn <= {reply_limit}" if reply_limit else ""
         out.append(f"""{start}_r{t} AS MATERIALIZED (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY round(sim, 12) DESC, peer_id) AS rank FROM {k}),
 {start}_s{t} AS MATERIALIZED (SELECT user_id, count(*) FILTER (WHERE {limit}) AS n, max(sim) FILTER (WHERE rank = {n_cu}) AS bar FROM {start}_r{t} GROUP BY 1),
