@@ -35,6 +35,7 @@ import re
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
@@ -469,9 +470,9 @@ def unit_lattices(texts: list[str], vocab: Vocabulary) -> tuple[Lattices, list[n
 SCHEMA = "doc_id long, sample int, n_pieces long, logp double, perturbed double, log_inclusion double, exact boolean, pieces_sha1 string"
 
 
-def _sample(batches: Iterator[pa.RecordBatch], k: int, seed: int, model: str, slope: float, shift: float, with_ids: bool) -> Iterator[pa.RecordBatch]:
+def _sample(batches: Iterator[pa.RecordBatch], k: int, seed: int, model: str, slope: float, shift: float, with_ids: bool, batch_bytes: int = BATCH) -> Iterator[pa.RecordBatch]:
     vocab = vocabulary(model, slope, shift)
-    for part in pieces(batches, "text", BATCH):
+    for part in pieces(batches, "text", batch_bytes):
         texts = [t or "" for t in part.column("text").to_pylist()]
         lat, nodes = unit_lattices(texts, vocab)
         names: dict[str, list] = {n.split()[0]: [] for n in SCHEMA.split(", ")}
@@ -518,19 +519,19 @@ def sample_segmentations(
     slope: float = 1.0,
     shift: float = 10.0,
     with_ids: bool = True,
+    batch_bytes: int = BATCH,
 ) -> DataFrame:
     """k distinct sampled segmentations per row with scores; ``with_ids`` adds the piece ids themselves.
 
-    ``exact`` says that decoding the sampled pieces gave back the text.
+    ``batch_bytes`` of text share one set of lattices: more saves time, less
+    saves memory; results do not depend on it.  ``exact`` says that decoding the sampled pieces gave back the text.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(lambda b: _sample(b, k, seed, model, slope, shift, with_ids), SCHEMA + (", ids array<int>" if with_ids else ""))
+    return rows.mapInArrow(lambda b: _sample(b, k, seed, model, slope, shift, with_ids, batch_bytes), SCHEMA + (", ids array<int>" if with_ids else ""))
 
 
 def decode_column(df: DataFrame, *, ids_col: str = "ids", out_col: str = "decoded", model: str = DEFAULT_MODEL) -> DataFrame:
     """Add the text of a column of piece ids."""
-    import pandas as pd
-
     @F.pandas_udf("string")
     def decoded(ids: pd.Series) -> pd.Series:
         vocab = vocabulary(model, 1.0, 10.0)

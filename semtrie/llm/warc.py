@@ -5,7 +5,7 @@ request and its metadata, tied together by concurrent-to identifiers.
 
 Defined cases: a null payload is an empty one; a null URL becomes ``urn:none``;
 CR and LF in a URL are percent-encoded; rows that repeat both page id and payload
-are one capture; a null page id is the text ``null`` in the identifiers and
+are one capture, with its request and metadata listed once per row; a null page id is the text ``null`` in the identifiers and
 reads back as null; payloads may hold any text, record delimiters included; an
 empty table writes an empty archive that reads back as no record.
 """
