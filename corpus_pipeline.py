@@ -55,7 +55,8 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def segmentation_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Two distinct sampled segmentations per document, with scores and a digest of the pieces."""
     ship(spark)
-    return segment.sample_segmentations(docs, k=2, with_ids=False)
+    # executors still hold the earlier stages' memory here
+    return segment.sample_segmentations(docs, k=2, with_ids=False, batch_bytes=1 << 19)
 
 
 STAGES = [
