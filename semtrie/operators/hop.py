@@ -2,14 +2,55 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semtrie.functions.vectors import dot_packed, pack_unit
+from semtrie.functions.vectors import dot_packed, pack_unit, unpack
 from semtrie.operators.neighbors import units
 from semtrie.plans.store import materialize
 
 
+#: Queries of one scoring block: more at one user are dealt out, and the user's list goes to each block.
+CHUNK = 8192
+
+
+def _best_peers(queries: pa.Table, peers: pa.Table, revisit: bool) -> pa.Table:
+    """Next contact of each query at one user: one matrix product, visited peers masked, ties to the smaller id."""
+    ids = queries.column("query_id")
+    if not queries.num_rows or not peers.num_rows:
+        return pa.table({"query_id": ids, "next": pa.nulls(queries.num_rows, pa.int64())})
+    peer = peers.column("peer_id").to_numpy()
+    order = np.argsort(peer, kind="stable")
+    peer = peer[order]
+    x = unpack(peers.column("peer_unit").to_pylist())[order]
+    scores = np.round(unpack(queries.column("unit").to_pylist()) @ x.T, 12)
+    if not revisit:
+        for i, met in enumerate(queries.column("visited").to_pylist()):
+            at = np.searchsorted(peer, met)
+            hit = at < len(peer)
+            at, met = at[hit], np.array(met)[hit]
+            scores[i, at[peer[at] == met]] = -np.inf
+    best = scores.argmax(1)
+    some = np.isfinite(scores[np.arange(len(scores)), best])
+    return pa.table({"query_id": ids, "next": pa.array(peer[best], mask=~some)})
+
+
+def next_contacts(open_: DataFrame, peers: DataFrame, revisit: bool) -> DataFrame:
+    """(query_id, next) for open walks (query_id, cur, unit, visited) and lists (cur, peer_id, peer_unit).
+
+    Walks and lists meet per current user, so a list travels once per block of
+    walks and not once per walk; lists where no walk stands do not travel.
+    """
+    blocks = open_.groupBy("cur").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("blocks"))
+    walks = open_.join(blocks, "cur").withColumn("block", F.pmod(F.xxhash64("query_id"), F.col("blocks")).cast("int"))
+    lists = peers.join(blocks, "cur").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    walks = walks.select("cur", "block", "query_id", "unit", "visited")
+    lists = lists.select(*[F.col(c).alias(c) for c in ("cur", "block", "peer_id", "peer_unit")])
+    return walks.groupBy("cur", "block").cogroup(lists.groupBy("cur", "block")).applyInArrow(lambda a, b: _best_peers(a, b, revisit), "query_id long, next long")
+
+
 def chain_hop(
     queries: DataFrame,
     lists: DataFrame,
@@ -51,11 +92,7 @@ def chain_hop(
     trace = row(walk)
     while True:
         open_ = walk.filter("status = 'open'").drop("status")
-        met = open_.join(peers, "cur")
-        if not revisit:
-            met = met.filter(~F.array_contains("visited", F.col("peer_id")))
-        scored = met.withColumn("sim", F.round(dot_packed("unit", "peer_unit"), 12))
-        best = scored.groupBy("query_id").agg(F.max_by("peer_id", F.struct("sim", -F.col("peer_id"))).alias("next"))
+        best = next_contacts(open_, peers, revisit)
         moved = open_.join(best, "query_id", "left")
         stuck = moved.filter("next IS NULL").select("query_id", "hop", F.col("cur").alias("user_id"), F.lit("dead_end").alias("status"))
         ahead = moved.filter("next IS NOT NULL").select("query_id", F.col("next").alias("cur"), "unit", F.concat("visited", F.array("next")).alias("visited"), (F.col("hop") + 1).alias("hop"))

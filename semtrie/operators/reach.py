@@ -26,11 +26,40 @@ def distances_to_holders(edges: DataFrame, holding: DataFrame, docs: DataFrame,
 
 
 def min_hops(edges: DataFrame, holding: DataFrame, queries: DataFrame, users: DataFrame, *, max_depth: int = 6, start: str = "random", seed: int = 42) -> DataFrame:
-    """(query_id, user_id, doc_id, dist): distance from a random user (by hash) or the query's own; null if out of reach."""
+    """(query_id, user_id, doc_id, dist): distance from a random user (by hash) or the query's own; null if out of reach.
+
+    Searches from both ends: users reached from the start, per query, and users
+    that reach a holder, per document.  Each step lets one side grow, for open
+    queries only, and looks for a common user; so the wide outer rings are made
+    for the few queries that need them.
+    """
     asked = queries.select("query_id", "user_id", F.col("target_doc").alias("doc_id"))
     if start == "random":
         number = numbered(users)
         n = number.count()
         asked = asked.drop("user_id").withColumn("number", F.pmod(portable_hash(seed, F.lit("start"), F.col("query_id")), F.lit(n))).join(number, "number").drop("number")
-    dist = distances_to_holders(edges, holding, asked, max_depth)
-    return asked.join(dist, ["doc_id", "user_id"], "left").select("query_id", "user_id", "doc_id", "dist")
+    asked = materialize(asked.select("query_id", "user_id", "doc_id"), "asked")
+    graph = materialize(edges.select("src", "dst").distinct(), "bfs-edges")
+    front = asked.select("query_id", "doc_id", "user_id")
+    back = materialize(holding.select("doc_id", "user_id").distinct().join(asked.select("doc_id").distinct(), "doc_id", "left_semi"), "bfs-holders")
+    seen_front, seen_back = front, back
+    open_ = asked.join(back.select("doc_id").distinct(), "doc_id", "left_semi").select("query_id", "user_id", "doc_id")
+    found = None
+    for d in range(max_depth + 1):
+        if d % 2:
+            back = back.join(open_.select("doc_id").distinct(), "doc_id", "left_semi")
+            step = back.join(graph.select(F.col("dst").alias("user_id"), "src"), "user_id").select("doc_id", F.col("src").alias("user_id")).distinct()
+            back = materialize(step.join(seen_back, ["doc_id", "user_id"], "left_anti"), f"back-{d}")
+            seen_back = seen_back.unionByName(back)
+        elif d:
+            front = front.join(open_.select("query_id"), "query_id", "left_semi")
+            step = front.join(graph.select(F.col("src").alias("user_id"), "dst"), "user_id").select("query_id", "doc_id", F.col("dst").alias("user_id")).distinct()
+            front = materialize(step.join(seen_front, ["query_id", "doc_id", "user_id"], "left_anti"), f"front-{d}")
+            seen_front = seen_front.unionByName(front)
+        met = front.join(back, ["doc_id", "user_id"]).select("query_id").distinct()
+        now = materialize(met.join(open_.select("query_id"), "query_id", "left_semi").withColumn("dist", F.lit(d)), f"met-{d}")
+        found = now if found is None else found.unionByName(now)
+        open_ = materialize(open_.join(now, "query_id", "left_anti"), f"open-{d}")
+        if open_.isEmpty():
+            break
+    return asked.join(found, "query_id", "left").select("query_id", "user_id", "doc_id", "dist")
