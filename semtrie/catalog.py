@@ -986,6 +986,94 @@ def _(spark, sf):
     return S.run_to_table(S.answered_queries(q, a, "INTERVAL 10 DAYS"), "append")
 
 
+# ------------------------------------------------------------------ further measures and operators
+
+LIFT = (
+    "WITH " + _state()[5:].rstrip() + ",\n" + O.numbered_sql() + ",\n" + O.random_lists_sql("known0") + ",\nrnd0 AS MATERIALIZED (SELECT r.user_id, r.peer_id, sim, 0 AS added_round FROM rlists r JOIN sims USING (user_id, peer_id)),\n"
+    + O.rounds_sql(1, 10) + ",\n" + O.rounds_sql(1, 10, start="rnd") + ",\n" + O.truth_sql(10) + ",\na AS ("
+    + " UNION ALL ".join(O.recall_sql(f"known{t}", 10, f"{t} AS round") for t in (0, 1)) + "),\nb AS (" + " UNION ALL ".join(O.recall_sql(f"rnd{t}", 10, f"{t} AS round") for t in (0, 1)) + ")\n"
+    "SELECT round, a.recall, b.recall AS baseline, round(a.recall / b.recall, 4) AS lift FROM a JOIN b USING (round)"
+)
+
+
+@key("lift_over_random_lists", LIFT)
+def _(spark, sf):
+    s = X.coded(spark, sf)
+    p = s.workload.profile
+    start = neighbors.init_lists(overlay.random_lists(s.known, p), p)
+    run = lambda known: X.recall_rounds(expand.expand(known, p, 1, n_cu=10), p, 10)
+    return measures.lift(run(s.known), run(start), "round", "recall").withColumn("lift", F.round("lift", 4))
+
+
+@key("recall_gain_by_round", "WITH " + _state()[5:].rstrip() + ",\n" + O.rounds_sql(3, 10) + ",\n" + O.truth_sql(10) + "\nSELECT round, round(recall - lag(recall) OVER (ORDER BY round), 6) AS gain FROM (" + " UNION ALL ".join(O.recall_sql(f"known{t}", 10, f"{t} AS round") for t in range(4)) + ")")
+def _(spark, sf):
+    s = X.coded(spark, sf)
+    r = X.recall_rounds(expand.expand(s.known, s.workload.profile, 3, n_cu=10), s.workload.profile, 10)
+    return r.select("round", r6(F.col("recall") - F.lag("recall").over(Window.orderBy("round")), "gain"))  # one row per round
+
+
+@key("running_hits", _hop_sql(3) + "SELECT hops, CAST(sum(n) OVER (ORDER BY hops) AS BIGINT) AS found FROM (SELECT e.h AS hops, count(*) AS n FROM outcome WHERE e.s = 'found' GROUP BY 1)")
+def _(spark, sf):
+    by_hop = hop.outcomes(X.walk(X.coded(spark, sf), 3)).filter("status = 'found'").groupBy("hops").agg(n_())
+    return by_hop.select("hops", F.sum("n").over(Window.orderBy("hops")).alias("found"))  # one row per hop count
+
+
+@key("join_cross_exact", O.with_(O.PROFILE2) + "SELECT user_id, peer_id, round(sim, 6) AS sim FROM sims WHERE user_id < peer_id")
+def _(spark, sf):
+    """All pairs by nested loops: for counted, small user tables only; larger ones take the blocked product."""
+    p = X.Interest.load(spark, sf).profile
+    if p.count() > 2_000:
+        raise ValueError("too many users for a cross join")
+    a, b = p.select("user_id", "emb"), p.select(F.col("user_id").alias("peer_id"), F.col("emb").alias("other"))
+    return a.crossJoin(F.broadcast(b)).filter("user_id < peer_id").select("user_id", "peer_id", r6(V.vec_cosine(F.col("emb"), F.col("other")), "sim"))
+
+
+@key("join_self_cooccurrence", O.with_(O.ACCESS2) + "SELECT a.user_id, b.user_id AS other, CAST(count(*) AS BIGINT) AS n FROM holding a JOIN holding b ON a.doc_id = b.doc_id AND a.user_id < b.user_id GROUP BY 1, 2 HAVING count(*) >= 12")
+def _(spark, sf):
+    h = T.interest(spark, sf).holding
+    other = h.select(F.col("user_id").alias("other"), "doc_id")
+    return h.join(other, "doc_id").filter("user_id < other").groupBy("user_id", "other").agg(n_()).filter("n >= 12")
+
+
+@key("sort_similarity_curve", O.with_(O.PROFILE2, O.truth_sql(1)) + "SELECT user_id, round(sim, 6) AS max_cos FROM truth ORDER BY max_cos DESC, user_id")
+def _(spark, sf):
+    return study.max_cosine(X.Interest.load(spark, sf).profile).select("user_id", r6("max_cos", "max_cos")).orderBy(F.desc("max_cos"), "user_id")
+
+
+@key("set_union_all_placements", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM (SELECT path, user_id FROM placement UNION ALL SELECT path, user_id FROM placement WHERE user_id < 100) GROUP BY 1")
+def _(spark, sf):
+    p = shallow(spark, sf, max_depth=1).placements.select("path", "user_id")
+    return p.unionAll(p.filter("user_id < 100")).groupBy("path").agg(n_())
+
+
+@key("vec_quantized", O.with_(O.VEC) + "SELECT doc_id, CAST(round(emb[1] * 127 / m) AS INT) AS q0, CAST(round(emb[64] * 127 / m) AS INT) AS q63 FROM (SELECT *, list_max(list_transform(emb, lambda x: abs(x))) AS m FROM vec)")
+def _(spark, sf):
+    q = V.vec_quantize(F.col("emb"))
+    return T.vectors_table(spark, sf).select("doc_id", F.get(q, F.lit(0)).alias("q0"), F.get(q, F.lit(63)).alias("q63"))
+
+
+@key("two_means_aggregate", O.with_(O.trie_sql(1, 50, 0.005), "c AS (SELECT c0, c1 FROM k0_5)") + "SELECT CAST(count(*) AS BIGINT) AS n, round(min(list_distance(c0, c1)), 6) AS gap FROM c")
+def _(spark, sf):
+    """The 2-means of a head as an aggregate function over (arrival, vector)."""
+    from semtrie.operators.trie import two_means_centroids
+
+    p = prep.arrival_order(T.plain_vectors(spark, sf))
+    head = p.orderBy("arrival", "user_id").limit(51)
+    c = head.agg(two_means_centroids(5)("arrival", "emb").alias("c"))
+    half = lambda i: F.slice("c", i * 64 + 1, 64)
+    return c.select(F.lit(1).cast("long").alias("n"), r6(V.vec_l2(half(0), half(1)), "gap"))
+
+
+@key("udtf_trie_paths", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT user_id, path FROM (SELECT doc_id AS user_id, unnest(CASE WHEN abs(a - b) < 0.02 THEN ['0', '1'] WHEN a <= b THEN ['0'] ELSE ['1'] END) AS path FROM (SELECT doc_id, list_distance(emb, c0) AS a, list_distance(emb, c1) AS b FROM vec CROSS JOIN k0_5)) WHERE user_id < 40")
+def _(spark, sf):
+    from semtrie.operators.trie import trie_paths_udtf
+
+    spark.udtf.register("trie_paths", trie_paths_udtf())
+    nodes = shallow(spark, sf, max_depth=1).splits.agg(F.collect_list(F.struct("path", "c0", "c1")).alias("nodes"))  # the root alone
+    T.plain_vectors(spark, sf).filter("user_id < 40").crossJoin(F.broadcast(nodes)).createOrReplaceTempView("semtrie_new_users")
+    return spark.sql("SELECT u.user_id, p.path FROM semtrie_new_users u, LATERAL trie_paths(u.emb, u.nodes, 0.02D) p")
+
+
 # ------------------------------------------------------------------ experiments (learnt tries; no oracle)
 
 for _name, _run in X.EXPERIMENTS.items():

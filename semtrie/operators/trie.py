@@ -15,6 +15,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -254,6 +255,21 @@ def build_forest(profile: DataFrame, tree_key: str, **options) -> Trie:
     return build_trie(profile, tree_key=tree_key, **options)
 
 
+def two_means_centroids(max_iter: int = 20):
+    """An aggregate over (arrival, vector): both centres one after the other; empty if the group does not separate.
+
+    For groups of about a leaf's size: a grouped aggregate holds its group in one task.
+    """
+
+    @F.pandas_udf("array<double>")
+    def centres(arrival: pd.Series, emb: pd.Series) -> object:
+        x = np.array([v for _, v in sorted(zip(arrival, emb.tolist(), strict=True), key=lambda r: r[0])], dtype=float)
+        cut = two_means(x, max_iter)
+        return [] if cut is None else np.concatenate(cut[:2]).tolist()
+
+    return centres
+
+
 def trie_paths_udtf():
     """A table function for SQL: the leaf paths of one vector, given the split nodes as an array of structs."""
     from pyspark.sql.functions import udtf
