@@ -44,7 +44,7 @@ class _Strings:
         self.at = np.concatenate([[0], np.cumsum(self.size)])
         codes = np.frombuffer("".join(strings).encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint64)
         n = len(codes)
-        up, self.down = _powers(max(1 << 21, 1 << int(n + 1).bit_length()))
+        up, self.down = _powers(max(1 << 20, 1 << int(n + 1).bit_length()))
         self.total = np.zeros(n + 1, dtype=np.uint64)
         np.cumsum(mix64(codes + np.uint64(1)) * up[:n], out=self.total[1:])
 

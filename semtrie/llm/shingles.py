@@ -37,7 +37,7 @@ def word_hashes(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray
     end = word.copy()
     end[:-1] &= ~word[1:] | cut[1:n]
     starts, ends = np.flatnonzero(begin), np.flatnonzero(end) + 1
-    up, down = _powers(max(1 << 21, 1 << int(n).bit_length()))
+    up, down = _powers(max(1 << 20, 1 << int(n).bit_length()))
     total = np.empty(n + 1, dtype=np.uint64)
     total[0] = 0
     np.cumsum((FOLD[raw] + np.uint64(1)) * up[:n], out=total[1:])
