@@ -56,7 +56,7 @@ def segmentation_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
     """Two distinct sampled segmentations per document, with scores and a digest of the pieces."""
     ship(spark)
     # executors still hold the earlier stages' memory here
-    return segment.sample_segmentations(docs, k=2, with_ids=False, batch_bytes=1 << 19)
+    return segment.sample_segmentations(docs, k=2, with_ids=False, batch_bytes=1 << 18)
 
 
 STAGES = [
