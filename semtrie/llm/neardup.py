@@ -199,3 +199,24 @@ def _cross_links(member: DataFrame, sizes: DataFrame, grouped: DataFrame, texts:
 
 def op4_near_duplicates(spark, sf_dir) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"), words=4)
+
+
+OP4_SQL = r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), s AS (
+  SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 4 THEN [array_to_string(w, ' ')]
+    ELSE list_transform(range(1, len(w) - 2), lambda i: array_to_string(w[i:i + 3], ' ')) END) AS s FROM w
+), x AS (
+  SELECT doc_id, unnest(s) AS x FROM s
+), p AS (
+  SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS n FROM x a JOIN x b ON a.x = b.x AND a.doc_id <> b.doc_id GROUP BY 1, 2
+), l AS (
+  SELECT a, b FROM p JOIN s i ON i.doc_id = a JOIN s j ON j.doc_id = b WHERE 100 * n >= 80 * (len(i.s) + len(j.s) - n)
+), r AS (
+  SELECT doc_id AS id, doc_id AS c FROM s UNION SELECT l.b, r.c FROM r JOIN l ON l.a = r.id WHERE r.c < l.b
+), c AS (
+  SELECT id, min(c) AS component FROM r GROUP BY 1
+)
+SELECT doc_id, CAST(len(s) AS BIGINT) AS n_shingles, component AS component_id, component = doc_id AS kept FROM s JOIN c ON c.id = s.doc_id
+"""

@@ -21,4 +21,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_warc_transactions": warc.OP1_SQL, "op7_line_dedup": linededup.OP7_SQL}
+    return {"op1_warc_transactions": warc.OP1_SQL, "op3_vector_near_duplicates": vectors.OP3_SQL, "op4_near_duplicates": neardup.OP4_SQL, "op6_secret_scan": secrets.OP6_SQL, "op7_line_dedup": linededup.OP7_SQL}

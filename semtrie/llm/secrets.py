@@ -172,3 +172,41 @@ def op6_secret_scan(spark, sf_dir) -> DataFrame:
         F.sha2(spans_text(F.col("base_spans")), 256).alias("base_sha256"),
         spans_text(F.col("all_spans")).alias("spans"),
     )
+
+
+def _located_sql(order: int, pattern: str, group: int, test: str) -> str:
+    """Rows (doc_id, k, body, a, b) of one pattern: spans from the lengths of matches and of the texts between."""
+    p = pattern.replace("'", "''")
+    return f"""SELECT doc_id, {order} AS k, m[i] AS body, a, a + length(m[i]) AS b FROM (
+    SELECT *, CAST(list_sum(list_transform(gap[1:i], lambda x: length(x))) + coalesce(list_sum(list_transform(m[1:i - 1], lambda x: length(x))), 0) AS BIGINT) AS a FROM (
+      SELECT doc_id, m, g, gap, unnest(range(1, len(m) + 1)) AS i FROM (
+        SELECT doc_id, regexp_extract_all(s, '{p}') AS m, regexp_extract_all(s, '{p}', {group}) AS g, string_split_regex(s, '{p}') AS gap FROM t WHERE regexp_matches(s, '{p}')))) WHERE {test}"""
+
+
+def _entropy_sql(order: int, pattern: str, window: int, bits: float, fold: bool) -> str:
+    body = "lower(body)" if fold else "body"
+    part = f"string_split(substr({body}, CAST(j + 1 AS INT), {window}), '')"
+    total = f"list_sum(list_transform(list_distinct({part}), lambda ch: {count_weights(window)}[len(list_filter({part}, lambda x: x = ch)) + 1]))"
+    allowed = " OR ".join("regexp_matches(body, '{}')".format(a.replace("'", "''")) for a in ALLOW_LIST)
+    return f"""SELECT doc_id, k, a + good[1] AS a, a + good[-1] + {window} AS b FROM (
+    SELECT *, list_filter(range(0, length(body) - {window - 1}), lambda j: {total} <= {entropy_units(window, bits)}) AS good
+    FROM ({_located_sql(order, pattern, 0, "true")}) WHERE NOT ({allowed})) WHERE len(good) > 0"""
+
+
+OP6_SQL = f"""
+WITH t AS (SELECT doc_id, coalesce(text, '') AS s FROM documents),
+base AS MATERIALIZED (
+  SELECT doc_id, k, a, b FROM (
+  {_located_sql(0, ASSIGN, 2, "length(g[i]) >= 12")}
+  UNION ALL {_located_sql(1, ACCESS, 0, "true")}
+  UNION ALL {_located_sql(2, HEX, 0, "true")})),
+added AS MATERIALIZED (
+  {_entropy_sql(3, "[0-9A-Fa-f]{20,}", 20, 3.0, True)}
+  UNION ALL {_entropy_sql(4, "[A-Za-z0-9+/_=-]{20,}", 20, 3.75, False)}),
+every AS (
+  SELECT * FROM base UNION ALL SELECT * FROM added d WHERE NOT EXISTS (SELECT 1 FROM base e WHERE e.doc_id = d.doc_id AND e.a <= d.a AND d.b <= e.b)),
+named AS (SELECT *, {list(KINDS)}[k + 1] || ':' || a || ':' || b AS name FROM every)
+SELECT t.doc_id, CAST(count(*) FILTER (WHERE k = 0) AS BIGINT) AS n_assign, CAST(count(*) FILTER (WHERE k = 1) AS BIGINT) AS n_access, CAST(count(*) FILTER (WHERE k = 2) AS BIGINT) AS n_hex,
+  sha256(coalesce(string_agg(name, ',' ORDER BY a, k, b) FILTER (WHERE k <= 2), '')) AS base_sha256, coalesce(string_agg(name, ',' ORDER BY a, k, b), '') AS spans
+FROM t LEFT JOIN named ON named.doc_id = t.doc_id GROUP BY t.doc_id
+"""

@@ -417,3 +417,20 @@ def nearest_neighbours(
 
 def op5_nearest_neighbours(spark, sf_dir) -> DataFrame:
     return nearest_neighbours(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
+
+
+OP3_SQL = """
+WITH RECURSIVE v AS (
+  SELECT DISTINCT vec_id, CAST(embedding AS DOUBLE[]) AS e FROM embeddings
+), u AS (
+  SELECT vec_id, e FROM v WHERE vec_id IS NOT NULL AND e IS NOT NULL AND len(list_filter(e, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND list_dot_product(e, e) > 0
+), l AS (
+  SELECT a.vec_id AS a, b.vec_id AS b FROM u a CROSS JOIN u b WHERE a.vec_id <> b.vec_id AND list_cosine_similarity(a.e, b.e) >= 0.95
+), r AS (
+  SELECT vec_id AS id, vec_id AS c FROM u UNION SELECT l.b, r.c FROM r JOIN l ON l.a = r.id WHERE r.c < l.b
+), c AS (
+  SELECT id, min(c) AS component FROM r GROUP BY 1
+)
+SELECT i.vec_id, CAST(coalesce(n, 0) AS BIGINT) AS n_links, coalesce(component, i.vec_id) AS component_id, coalesce(component, i.vec_id) IS NOT DISTINCT FROM i.vec_id AS kept
+FROM (SELECT DISTINCT vec_id FROM embeddings) i LEFT JOIN c ON c.id = i.vec_id LEFT JOIN (SELECT a, count(*) AS n FROM l GROUP BY 1) k ON k.a = i.vec_id
+"""
