@@ -16,7 +16,8 @@ from semtrie import experiments as X
 from semtrie import oracles as O
 from semtrie.functions import paths as P
 from semtrie.functions import vectors as V
-from semtrie.functions.hashing import portable_hash, sql_hash
+from semtrie.functions.hashing import sql_hash
+from semtrie.functions.ranking import global_rank
 from semtrie.operators import deploy, diffusion, expand, hop, measures, neighbors, overlay, prep, profiles, reach, study, truth
 from semtrie.sources import tables as T
 from semtrie.streaming import streams as S
@@ -821,7 +822,7 @@ def _(spark, sf):
 @key("win_arrival_rank", O.with_(O.VEC) + f"SELECT doc_id AS user_id, row_number() OVER (ORDER BY {sql_hash(chr(39) + '42' + chr(39), chr(39) + 'arrival' + chr(39), 'doc_id')}, doc_id) AS rank FROM vec")
 def _(spark, sf):
     p = prep.arrival_order(T.plain_vectors(spark, sf))
-    return p.select("user_id", F.row_number().over(Window.orderBy("arrival", "user_id")).cast("long").alias("rank"))
+    return global_rank(p.select("user_id", "arrival"), "arrival", "user_id").select("user_id", "rank")
 
 
 @key("win_dense_rank_similarity", _state() + "SELECT user_id, peer_id, dense_rank() OVER (PARTITION BY user_id ORDER BY round(sim, 6) DESC) AS rank FROM known0")
@@ -845,7 +846,12 @@ def _(spark, sf):
 @key("win_ntile_history", O.with_(O.ACCESS2) + "SELECT user_id, ntile(4) OVER (ORDER BY n, user_id) AS band FROM (SELECT user_id, count(*) AS n FROM holding GROUP BY 1)")
 def _(spark, sf):
     per = T.interest(spark, sf).holding.groupBy("user_id").agg(n_())
-    return per.select("user_id", F.ntile(4).over(Window.orderBy("n", "user_id")).cast("long").alias("band"))
+    total = per.agg(n_("total"))
+    ranked = global_rank(per, "n", "user_id").crossJoin(F.broadcast(total))  # a single row
+    size, extra = F.expr("total DIV 4"), F.expr("total % 4")
+    wide = extra * (size + 1)
+    band = F.when(F.col("rank") <= wide, F.ceil(F.col("rank") / (size + 1))).otherwise(extra + F.ceil((F.col("rank") - wide) / size))
+    return ranked.select("user_id", band.cast("long").alias("band"))
 
 
 @key("win_rows_moving_mean", "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 6) AS mean FROM events")

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from semtrie.functions.ranking import global_rank
 from semtrie.operators.truth import exact_neighbors
 
 SALT = 8
@@ -51,4 +52,4 @@ def max_cosine(profile: DataFrame) -> DataFrame:
 
 def curve(values: DataFrame, value: str) -> DataFrame:
     """A per-user value as a sorted curve: rank from 1 at the largest."""
-    return values.select(F.row_number().over(Window.orderBy(F.desc(value), "user_id")).alias("rank"), "user_id", value)
+    return global_rank(values.select("user_id", value), value, "user_id", descending=True).select("rank", "user_id", value)

@@ -241,3 +241,14 @@ def test_shapes_of_the_experiments(spark, sf01):
     assert rows["trie 0.003", 5] - rows["trie 0.003", 0] > 2  # with them they do
     clones = {round(r.delta, 5): r["mean"] for r in X.exp1_clones(spark, sf01).collect()}
     assert clones[0.0] == 1 and clones[0.003] > clones[0.001] > clones[0.0001]
+
+
+def test_global_rank_equals_one_sort(spark):
+    from semtrie.functions.ranking import global_rank
+
+    rows = [(i, None if i % 17 == 0 else float((i * 7919) % 50)) for i in range(500)]
+    d = spark.createDataFrame(rows, "id long, v double")
+    for down in (False, True):
+        want = {r[0]: n for n, r in enumerate(sorted(rows, key=lambda r: (r[1] is None, (-r[1] if down else r[1]) if r[1] is not None else 0, r[0])), 1)}
+        assert {r.id: r["rank"] for r in global_rank(d, "v", "id", descending=down).collect()} == want
+    assert global_rank(d.limit(0), "v", "id").count() == 0
