@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -11,25 +10,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-_own_dir: dict[str, str] = {}
+from semtrie.plans.store import shared_dir, small
+
+__all__ = ["components", "discard", "materialize", "mix64", "pieces", "scratch", "shared_dir", "small", "table", "text_bytes"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that all executors see: ``spark.checkpoint.dir``; a temporary one only where it is unset (local tests)."""
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if base:
-        return base.rstrip("/")
-    app = spark.sparkContext.applicationId
-    if app not in _own_dir:
-        _own_dir[app] = tempfile.mkdtemp(prefix="semtrie-shared-")
-        spark.sparkContext.setCheckpointDir(_own_dir[app])
-    return "file://" + _own_dir[app]
-
-
 def scratch(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/semtrie/{tag}-{uuid.uuid4().hex}"
 
@@ -53,15 +42,6 @@ def discard(df: DataFrame | None) -> None:
     hadoop_path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop_path, True)
 
 
-#: Rows of a narrow side (a few numbers each) up to which it is broadcast after being counted.
-BROADCAST_ROWS = 200_000
-
-
-def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
-    """Broadcast a materialised narrow side if it has been counted to hold at most ``limit`` rows; else let it shuffle."""
-    return F.broadcast(df) if df.count() <= limit else df
-
-
 def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
     """Connected components of ``edges(a, b)`` as ``(id, component)``, component = smallest id reachable.
 

@@ -34,6 +34,8 @@ from semtrie.llm.shingles import BASE, _powers
 SEGMENTS = 4
 MIN_CHARS = 20
 ENDS = " \t\r"
+#: Line numbers to take out, in all, up to which they are broadcast; beyond, the documents shuffle.
+BROADCAST_LINES = 1_000_000
 
 
 class _Strings:
@@ -175,7 +177,9 @@ def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
 def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, marks: tuple[str, str] | None = None) -> DataFrame:
     """Documents with the repeated lines taken out of the text; ``marks`` names two added columns, lines before and lines gone."""
     gone = materialize(mark_lines(docs, id_col=id_col, text_col=text_col, min_chars=min_chars, max_edits=max_edits), "gone")
-    side = small(gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone")))
+    side = gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone"))
+    if (gone.agg(F.sum(F.size("gone"))).first()[0] or 0) <= BROADCAST_LINES:
+        side = F.broadcast(side)
     joined = docs.join(side, F.col(id_col) == F.col("__line_doc"), "left")
     split = F.split(F.col(text_col), "\n", -1)
     kept = F.filter(split, lambda line, i: ~F.array_contains("__line_gone", i))
