@@ -382,6 +382,7 @@ def _expanded(name: str, rounds: int, **options):
 
 _expanded("expand_round1", 1)
 _expanded("expand_round3", 3)
+_expanded("expand_quantised", 2, quantised=True)
 _expanded("expand_ask_known", 2, ask_from="known")
 _expanded("expand_single_reply", 3, reply_limit=1)
 _expanded("expand_share_all", 2, reply="everything")

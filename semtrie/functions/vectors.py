@@ -94,3 +94,37 @@ def _dots(a: pd.Series, b: pd.Series) -> pd.Series:
 def dot_packed(a, b) -> Column:
     """Inner product of packed vectors: the cosine, if both are units."""
     return F.pandas_udf(_dots, "double")(a, b)
+
+
+def _quantised(unit: pd.Series) -> pd.Series:
+    if not len(unit):
+        return pd.Series([], dtype=object)
+    x = unpack(unit)
+    scale = np.abs(x).max(1) / 127
+    q = np.round(x / np.where(scale == 0, 1, scale)[:, None]).astype(np.int8)
+    left = np.sqrt(((x - q * scale[:, None]) ** 2).sum(1))
+    head = np.stack([scale, left], axis=1).astype("<f8")
+    return pd.Series([h.tobytes() + r.tobytes() for h, r in zip(head, q, strict=True)])
+
+
+def quantise_packed(unit) -> Column:
+    """One byte per component of a packed unit vector, behind its scale and the exact length of what rounding left out."""
+    return F.pandas_udf(_quantised, "binary")(unit)
+
+
+def _upper(a: pd.Series, b: pd.Series) -> pd.Series:
+    if not len(a):
+        return pd.Series([], dtype="float64")
+
+    def parts(column):
+        raw = np.frombuffer(b"".join(bytes(x) for x in column), dtype=np.uint8).reshape(len(column), -1)
+        head = np.ascontiguousarray(raw[:, :16]).view("<f8")
+        return head[:, 0], head[:, 1], np.ascontiguousarray(raw[:, 16:]).view(np.int8).astype(np.float64)
+
+    (sa, ea, qa), (sb, eb, qb) = parts(a), parts(b)
+    return pd.Series((qa * qb).sum(1) * sa * sb + ea + eb + 3 * ea * eb + 1e-9)
+
+
+def upper_bound_packed(a, b) -> Column:
+    """A bound the inner product of the two unit vectors cannot exceed, from their quantised forms."""
+    return F.pandas_udf(_upper, "double")(a, b)

@@ -252,3 +252,24 @@ def test_global_rank_equals_one_sort(spark):
         want = {r[0]: n for n, r in enumerate(sorted(rows, key=lambda r: (r[1] is None, (-r[1] if down else r[1]) if r[1] is not None else 0, r[0])), 1)}
         assert {r.id: r["rank"] for r in global_rank(d, "v", "id", descending=down).collect()} == want
     assert global_rank(d.limit(0), "v", "id").count() == 0
+
+
+def test_quantised_rounds_give_the_same_lists(toy, spark):
+    profile, _ = toy
+    start = spark.createDataFrame([(u, (u + d) % 40) for u in range(40) for d in (1, 2, 3, 5)], "user_id long, peer_id long")
+    known = neighbors.init_lists(start, profile)
+    lists = lambda **o: {(r.user_id, r.peer_id, r.added_round) for r in expand.expand(known, profile, 3, n_cu=4, **o).known.collect()}
+    assert lists() == lists(quantised=True)
+
+
+def test_quantised_bound_holds():
+    import pandas as pd
+
+    from semtrie.functions.vectors import _quantised, _upper
+
+    x = np.random.default_rng(1).normal(size=(300, 16))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    packed = _quantised(pd.Series([r.astype("<f8").tobytes() for r in x]))
+    a, b = packed[:150], packed[150:].reset_index(drop=True)
+    exact = (x[:150] * x[150:]).sum(1)
+    assert (_upper(a, b).to_numpy() >= exact).all() and (_upper(a, b).to_numpy() - exact).max() < 0.1
