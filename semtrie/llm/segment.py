@@ -45,7 +45,7 @@ from semtrie.llm.common import mix64, pieces, table
 
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 MARK = "▁"
-BATCH = 3 << 19
+BATCH = 1 << 21
 SIEVE = 20
 UNIT = re.compile(" *[^ ]+| +")
 
@@ -60,6 +60,9 @@ class Vocabulary:
         size = model.vocab_size()
         self.names = [model.id_to_piece(i) for i in range(size)]
         self.bytes_of = {int(n[3:5], 16): i for i, n in enumerate(self.names) if model.is_byte(i)}
+        if len(self.bytes_of) != 256:
+            raise ValueError("the vocabulary has no byte pieces to fall back on")
+        self.ascii = np.array([self.bytes_of[b] for b in range(128)], dtype=np.int32)
         self.byte_at = {i: b for b, i in self.bytes_of.items()}
         self.raw = [bytes([self.byte_at[i]]) if i in self.byte_at else n.replace(MARK, " ").encode() for i, n in enumerate(self.names)]
         plain = [i for i in range(size) if not (model.is_byte(i) or model.is_unknown(i) or model.is_control(i))]
@@ -163,7 +166,8 @@ class Lattices:
                 found_edges(now[hit], length, vocab.id[row], vocab.weight[row])
             if length == 1:
                 lost = np.flatnonzero(fan == 0).astype(np.int32)
-                found_edges(lost, 1, np.full(len(lost), -1, dtype=np.int32), vocab.byte_weight * utf8_width(codes[lost]))
+                byte_ids = np.where(codes[lost] < 0x80, vocab.ascii[codes[lost] & 0x7F], np.int32(-1))  # -1: several bytes
+                found_edges(lost, 1, byte_ids, vocab.byte_weight * utf8_width(codes[lost]))
         self.start = np.append(np.int32(0), np.cumsum(fan, dtype=np.int32))
         edges = int(self.start[-1])
         self.node, length, self.code = (np.empty(edges, dtype=np.int32) for _ in range(3))
@@ -180,16 +184,21 @@ class Lattices:
         deepest = int(room.max()) if n else 0
         by_distance = np.argsort(distance.astype(np.int16) if deepest < 1 << 15 else distance, kind="stable").astype(np.int32)
         cuts = np.append(0, np.cumsum(np.bincount(distance, minlength=deepest + 1)))[1:] if n else np.zeros(1, np.int64)
+        # arrays in that order once, so that each step works on slices
+        w, to_, nd = weight[by_distance], np.where(ends_unit, np.int32(n), end)[by_distance], self.node[by_distance]
+        head = np.flatnonzero(np.diff(nd, prepend=-1) != 0)
+        head_node = nd[head]
+        head_cuts = np.searchsorted(head, cuts)
+        for lo, hi, first, last in zip(cuts[:-1], cuts[1:], head_cuts[:-1], head_cuts[1:], strict=True):
+            s = w[lo:hi] + after[to_[lo:hi]]
+            begin = head[first:last] - lo
+            top = np.maximum.reduceat(s, begin)
+            count = fan[head_node[first:last]]
+            total = top + np.log(np.add.reduceat(np.exp(s - np.repeat(top, count)), begin))
+            after[head_node[first:last]] = total
+            w[lo:hi] = s - np.repeat(total, count)
         score = np.empty(edges)
-        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-            e = by_distance[lo:hi]
-            s = weight[e] + np.where(ends_unit[e], 0.0, after[end[e]])
-            first = np.flatnonzero(np.diff(self.node[e], prepend=-1))
-            top = np.maximum.reduceat(s, first)
-            count = np.diff(np.append(first, len(e)))
-            total = top + np.log(np.add.reduceat(np.exp(s - np.repeat(top, count)), first))
-            after[self.node[e][first]] = total
-            score[e] = s - np.repeat(total, count)
+        score[by_distance] = w
         self.logp = np.minimum(score, 0.0)
         self.to = np.where(ends_unit, np.int32(-1), end)
         p = np.exp(self.logp)
