@@ -1,12 +1,12 @@
 """Mixing sources to target weights by a Pfair schedule of blocks.
 
-Each source of integer share ``a`` in a cycle of ``M`` slots gives its k-th block
-the release time ``floor((k - 1) * M / a)`` and the deadline ``ceil(k * M / a)``;
-earliest deadline first fills every slot with one released block, so after any
-number of slots each source has had its weight's share to within one block.
-Shares are whole numbers, so the schedule repeats after ``M`` slots with all
-deviations back at zero: one cycle of bounded size is computed on the driver and
-every block finds its slot by arithmetic and one small join.
+A source of weight ``w`` (of weights that sum to one) gives its k-th block the
+release time ``floor((k - 1) / w)`` and the deadline ``ceil(k / w)``; earliest
+deadline first fills every slot with one released block, so after any number of
+slots each source has had its weight's share to within one block.  The weights
+enter as whole numbers in the exact ratio of the given ones, so nothing is
+rounded and no error adds up; the driver runs the schedule to its end, one step
+per block, and every block finds its slot by one join.
 
 Defined cases: a null source is a source of its own; rows of equal id keep their
 number and are ordered by their other values; an empty table gives an empty
@@ -18,18 +18,33 @@ replace columns of the same name).
 from __future__ import annotations
 
 import heapq
+from array import array
+from collections.abc import Iterator
+from fractions import Fraction
+from itertools import islice
+from math import lcm
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import table
+from semtrie.llm.common import small, table
 
 BUCKETS = 1024
 ADDED = ("mix_position", "mix_slot", "mix_block", "mix_epoch")
 
 
+def exact_shares(weights: dict) -> dict[str, int]:
+    """Whole numbers in the exact ratio of the weights."""
+    if any(not w > 0 for w in weights.values()):
+        raise ValueError("target weights must be positive")
+    exact = {k: Fraction(w) for k, w in weights.items()}
+    scale = lcm(*(x.denominator for x in exact.values()))
+    return {k: int(x * scale) for k, x in exact.items()}
+
+
 def integer_shares(weights: dict[str, float], cycle: int) -> dict[str, int]:
-    """Shares of a cycle by largest remainder, at least one each."""
+    """Shares of a cycle by largest remainder, at least one each; an approximation that ``mix_sources`` does not use."""
     if any(not w > 0 for w in weights.values()):
         raise ValueError("target weights must be positive")
     cycle = max(cycle, 4 * len(weights))
@@ -47,23 +62,27 @@ def integer_shares(weights: dict[str, float], cycle: int) -> dict[str, int]:
     return shares
 
 
-def pfair_cycle(shares: dict[str, int]) -> list[tuple[str, int, int]]:
-    """(source, k from 0, slot) of one cycle by earliest deadline first among released blocks."""
-    cycle = sum(shares.values())
-    waiting = [(0, -(-cycle // a), s, 0) for s, a in shares.items()]
+def pfair_slots(shares: dict[str, int]) -> Iterator[tuple[str, int, int]]:
+    """(source, k from 0, slot), slot by slot without end, by earliest deadline first among released blocks."""
+    total = sum(shares.values())
+    waiting = [(0, -(-total // a), s, 0) for s, a in shares.items()]
     heapq.heapify(waiting)
     ready: list[tuple[int, str, int]] = []
-    out = []
-    for slot in range(cycle):
+    slot = 0
+    while True:
         while waiting and waiting[0][0] <= slot:
             _, deadline, s, k = heapq.heappop(waiting)
             heapq.heappush(ready, (deadline, s, k))
         _, s, k = heapq.heappop(ready)
-        out.append((s, k, slot))
+        yield s, k, slot
         a = shares[s]
-        if k + 1 < a:
-            heapq.heappush(waiting, ((k + 1) * cycle // a, -(-(k + 2) * cycle // a), s, k + 1))
-    return out
+        heapq.heappush(waiting, ((k + 1) * total // a, -(-(k + 2) * total // a), s, k + 1))
+        slot += 1
+
+
+def pfair_cycle(shares: dict[str, int]) -> list[tuple[str, int, int]]:
+    """The slots after which the schedule repeats."""
+    return list(islice(pfair_slots(shares), sum(shares.values())))
 
 
 def deviation(schedule: list[tuple[str, int, int]], shares: dict[str, int]) -> float:
@@ -92,13 +111,16 @@ def mix_sources(
 
     ``weights`` are the target weights by source; without them a source of n
     documents weighs ``n ** temperature``.  Documents of a source come in a
-    seeded hash order, ``block`` to a slot.  With ``repeat`` the schedule runs
+    seeded hash order, ``block`` to a slot; ``mix_block`` counts the blocks of a
+    source.  With ``repeat`` the schedule runs
     until every source has been read once, and shorter sources start over (next
     epoch), so the weights hold to the last slot; without it each document
     occurs once and a source that is used up leaves its later slots empty.
+    ``cycle`` is accepted for older callers and changes nothing.
 
     Ranks inside a source are local ranks in hash buckets plus bucket offsets,
-    so no task orders a whole source.  The driver sees one row per source.
+    so no task orders a whole source.  The driver sees one row per source and
+    two numbers per slot.
     """
     spark = docs.sparkSession
     base = docs.drop(*ADDED)
@@ -114,44 +136,50 @@ def mix_sources(
         given = {"n" if k is None else f"s{k}": w for k, w in weights.items()}
         if missing := sorted(set(sizes) - set(given)):
             raise ValueError(f"no target weight for {missing[:5]}")
-        target = {k: float(given[k]) for k in sizes}
+        target = {k: given[k] for k in sizes}
     else:
         target = {k: n**temperature for k, n in sizes.items()}
-    shares = integer_shares(target, cycle) if sizes else {}
-    slots = pfair_cycle(shares) if sizes else []
-    length = sum(shares.values())
-
-    place = {(s, k): slot for s, k, slot in slots}
+    shares = exact_shares(target)
+    number = {s: i for i, s in enumerate(sizes)}
     blocks = {s: -(-n // block) for s, n in sizes.items()}
-    slot_of = lambda s, i: i // shares[s] * length + place[s, i % shares[s]]
-    end = 1 + max((slot_of(s, b - 1) for s, b in blocks.items()), default=-1)
-    epochs = {s: 1 + (-(-end * shares[s] // length) + shares[s]) // b if repeat else 1 for s, b in blocks.items()}
-
-    plan = spark.createDataFrame([(s, shares[s], blocks[s], epochs[s]) for s in sizes], "__src string, __share long, __blocks long, __epochs long")
-    cycle_slots = spark.createDataFrame([(s, k, slot) for s, k, slot in slots], "__src string, __k long, __offset long")
+    had = dict.fromkeys(sizes, 0)
+    owners, turns, at = array("i"), array("q"), array("q")
+    unread = len(sizes)
+    for s, k, slot in pfair_slots(shares) if sizes else ():
+        if repeat or k < blocks[s]:
+            owners.append(number[s])
+            turns.append(k)
+            at.append(slot)
+            had[s] = k + 1
+        if k + 1 == blocks[s]:
+            unread -= 1
+            if not unread:
+                break
+
+    # with repeat a block runs on into the next epoch, so every slot is full
+    rows = {s: had[s] * block if repeat else n for s, n in sizes.items()}
+    plan = spark.createDataFrame([(s, number[s], n, rows[s]) for s, n in sizes.items()], "__src string, __number int, __size long, __rows long")
+    slots = spark.createDataFrame(pa.table({"__number": pa.array(owners, pa.int32()), "__i": pa.array(turns, pa.int64()), "mix_slot": pa.array(at, pa.int64())}))
 
     before = Window.partitionBy("__src").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.withColumn("__before", F.coalesce(F.sum("__n").over(before), F.lit(0))).drop("__n")
     local = Window.partitionBy("__src", "__bucket").orderBy("__h", id_col, *[F.col(c) for c in base.columns if c != id_col and dict(base.dtypes)[c] in ("string", "bigint", "int")])
     ranked = keyed.withColumn("__local", F.row_number().over(local) - 1)
-    # plan and cycle are bounded by max_sources and by the cycle length, so they may be broadcast
+    # the plan is bounded by max_sources, so it may be broadcast
     placed = (
         ranked.join(offsets, ["__src", "__bucket"])
         .withColumn("__rank", F.col("__before") + F.col("__local"))
         .join(F.broadcast(plan), "__src")
-        .withColumn("__block", F.expr(f"__rank DIV {block}"))
-        .withColumn("mix_epoch", F.explode(F.sequence(F.lit(0), F.col("__epochs") - 1)))
-        .withColumn("__i", F.col("__block") + F.col("mix_epoch") * F.col("__blocks"))
-        .withColumn("__k", F.pmod("__i", "__share"))
-        .join(F.broadcast(cycle_slots), ["__src", "__k"])
-        .withColumn("mix_slot", F.expr("__i DIV __share") * F.lit(length) + F.col("__offset"))
-        .filter(F.col("mix_slot") < F.lit(end))
+        .withColumn("mix_epoch", F.explode(F.sequence(F.lit(0), F.expr("CAST((__rows - 1 - __rank) DIV __size AS INT)"))))
+        .withColumn("__turn", F.col("__rank") + F.col("mix_epoch") * F.col("__size"))
+        .withColumn("__i", F.expr(f"__turn DIV {block}"))
+        .join(small(slots), ["__number", "__i"])
     )
     return placed.select(
         *base.columns,
-        (F.col("mix_slot") * block + F.pmod("__rank", F.lit(block))).alias("mix_position"),
+        (F.col("mix_slot") * block + F.pmod("__turn", F.lit(block))).alias("mix_position"),
         "mix_slot",
-        F.col("__block").alias("mix_block"),
+        F.col("__i").alias("mix_block"),
         "mix_epoch",
     )
 

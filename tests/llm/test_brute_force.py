@@ -1,10 +1,12 @@
 """Operators against brute force on the small tables and on made-up fixtures."""
 
 import collections
+import itertools
 import math
 import random
 import re
 import zlib
+from fractions import Fraction
 
 import numpy as np
 import pytest
@@ -253,6 +255,37 @@ def test_mixture_follows_its_weights(spark):
     assert once.count() == 3000 and once.select("mix_position").distinct().count() == 3000
 
 
+@pytest.mark.parametrize("weights", [{"a": 1 / 3, "b": 1 / 3, "c": 1 / 3}, {"rare": 1e-5, "big": 0.6, "rest": 0.39999}, {"a": 0.1, "b": 0.2, "c": 0.7}])
+def test_schedule_holds_the_given_weights_over_many_cycles(weights):
+    total = sum(map(Fraction, weights.values()))
+    exact = {k: Fraction(w) / total for k, w in weights.items()}
+    had = dict.fromkeys(weights, 0)
+    for s, k, slot in itertools.islice(mixing.pfair_slots(mixing.exact_shares(weights)), 120_000):
+        assert k == had[s]
+        had[s] += 1
+        assert all(abs(had[x] - w * (slot + 1)) < 1 for x, w in exact.items())
+
+
+def test_mixture_does_not_drift_from_thirds(spark):
+    docs = spark.range(9000).select(F.col("id").alias("doc_id"), (F.col("id") % 3).cast("string").alias("source"))
+    rows = mixing.mix_sources(docs, weights=dict.fromkeys("012", 1 / 3), block=1).collect()
+    had = collections.Counter()
+    for t, r in enumerate(sorted(rows, key=lambda r: r.mix_position)):
+        assert r.mix_position == r.mix_slot == t and r.mix_block == had[r.source]
+        had[r.source] += 1
+        assert all(abs(had[s] - (t + 1) / 3) < 1 for s in "012")
+    assert len({r.doc_id for r in rows}) == 9000
+
+
+def test_a_short_source_fills_its_slots_across_epochs(spark):
+    docs = spark.range(1005).select(F.col("id").alias("doc_id"), F.when(F.col("id") < 1000, F.lit("big")).otherwise(F.lit("few")).alias("source"))
+    rows = mixing.mix_sources(docs, weights={"big": 0.5, "few": 0.5}, block=8).collect()
+    per_slot = collections.Counter(r.mix_slot for r in rows)
+    assert set(per_slot.values()) == {8} and sorted(per_slot) == list(range(len(per_slot)))
+    few = [r.doc_id for r in sorted(rows, key=lambda r: r.mix_position) if r.source == "few"]
+    assert abs(len(few) - len(rows) / 2) <= 8 and all(few[i] == few[i % 5] for i in range(len(few)))
+
+
 # ---------------------------------------------------------------- quality
 
 
