@@ -27,7 +27,7 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Texts without the lines that occur earlier in the corpus; a text may become empty, its row stays."""
     ship(spark)
-    done = linededup.dedup_lines(docs.select(*COLUMNS))
+    done = linededup.dedup_lines(docs.select(*COLUMNS), short_lines=True)
     return done.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast("long")).select(*COLUMNS)
 
 

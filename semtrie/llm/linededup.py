@@ -3,7 +3,9 @@
 A line occurrence goes if the same line, or a line within one insertion,
 deletion or substitution of it, occurs earlier (by document id, then line
 number); the earliest stays.  Lines are compared without blanks, tabs and
-carriage returns at their ends; lines shorter than ``min_chars`` stay always.
+carriage returns at their ends.  The edit bound holds among lines of
+``min_chars`` characters or more; with ``short_lines`` shorter lines (but empty
+ones) go if the same line occurs earlier, without it they stay always.
 
 Lines within one edit agree outside one of ``SEGMENTS`` equal segments, so a
 line first emits one key per segment: the hash of all it holds outside it.  Only
@@ -78,14 +80,15 @@ def segment_keys(s: _Strings) -> np.ndarray:
 KEYS = [f"k{i}" for i in range(2 * SEGMENTS)]
 
 
-def _lines(batches: Iterator[pa.RecordBatch], min_chars: int) -> Iterator[pa.RecordBatch]:
+def _lines(batches: Iterator[pa.RecordBatch], min_chars: int, short_lines: bool) -> Iterator[pa.RecordBatch]:
+    """Hashes of the lines; the keys of lines below ``min_chars`` are null, so that no edit is sought for them."""
     for part in pieces(batches, "text"):
         ids, numbers, lines = [], [], []
         for doc_id, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
             if text and doc_id is not None:
                 for number, line in enumerate(text.split("\n")):
                     line = line.strip(ENDS)
-                    if len(line) >= min_chars:
+                    if len(line) >= min_chars or (short_lines and line):
                         ids.append(doc_id)
                         numbers.append(number)
                         lines.append(line)
@@ -96,8 +99,9 @@ def _lines(batches: Iterator[pa.RecordBatch], min_chars: int) -> Iterator[pa.Rec
         h1 = mix64(whole + s.size.astype(np.uint64) * np.uint64(BASE))
         h2 = mix64(mix64(halves ^ np.uint64(0x5851F42D4C957F2D)) + whole * np.uint64(0x2545F4914F6CDD1D))
         keys = segment_keys(s) if lines else np.zeros((0, 2 * SEGMENTS), np.uint64)
+        brief = s.size < min_chars
         yield pa.RecordBatch.from_arrays(
-            [pa.array(ids, pa.int64()), pa.array(numbers, pa.int32()), pa.array(h1.view(np.int64)), pa.array(h2.view(np.int64)), *(pa.array(np.ascontiguousarray(c).view(np.int64)) for c in keys.T)],
+            [pa.array(ids, pa.int64()), pa.array(numbers, pa.int32()), pa.array(h1.view(np.int64)), pa.array(h2.view(np.int64)), *(pa.array(np.ascontiguousarray(c).view(np.int64), mask=brief) for c in keys.T)],
             ["doc_id", "line_no", "h1", "h2", *KEYS],
         )
 
@@ -135,7 +139,7 @@ def _nth_line(text, number):
 
 def near_earlier(docs: DataFrame, classes: DataFrame) -> DataFrame:
     """(h1, h2) of the distinct lines that have an earlier line within one edit."""
-    keyed = classes.select("h1", "h2", "first", F.posexplode(F.array(*KEYS)).alias("slot", "key"))
+    keyed = classes.filter(F.col(KEYS[0]).isNotNull()).select("h1", "h2", "first", F.posexplode(F.array(*KEYS)).alias("slot", "key"))
     shared = keyed.groupBy("key").agg(F.min("h1").alias("low"), F.max("h1").alias("high")).filter("low <> high").select("key")
     found = materialize(keyed.join(small(materialize(shared, "keys")), "key", "left_semi"), "survivors")
     wanted = materialize(found.select("h1", "h2", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no")).distinct(), "wanted")
@@ -154,12 +158,12 @@ def near_earlier(docs: DataFrame, classes: DataFrame) -> DataFrame:
     return checked.filter((F.levenshtein("line", "other", 1) >= 0)).select("h1", "h2")
 
 
-def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1) -> DataFrame:
+def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, short_lines: bool = False) -> DataFrame:
     """(doc_id, gone): the line numbers, from 0, that each document loses; documents that lose none do not occur."""
     if max_edits not in (0, 1):
         raise ValueError("the edit bound is 0 or 1")
     narrow = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    lines = narrow.mapInArrow(lambda b: _lines(b, min_chars), LINES)
+    lines = narrow.mapInArrow(lambda b: _lines(b, min_chars, short_lines), LINES)
     classes = materialize(
         lines.groupBy("h1", "h2").agg(F.min(F.struct("doc_id", "line_no")).alias("first"), F.count(F.lit(1)).alias("n"), *[F.first(k).alias(k) for k in KEYS]),
         "classes",
@@ -174,9 +178,9 @@ def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     return gone.groupBy("doc_id").agg(F.collect_set("line_no").alias("gone"))
 
 
-def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, marks: tuple[str, str] | None = None) -> DataFrame:
+def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, short_lines: bool = False, marks: tuple[str, str] | None = None) -> DataFrame:
     """Documents with the repeated lines taken out of the text; ``marks`` names two added columns, lines before and lines gone."""
-    gone = materialize(mark_lines(docs, id_col=id_col, text_col=text_col, min_chars=min_chars, max_edits=max_edits), "gone")
+    gone = materialize(mark_lines(docs, id_col=id_col, text_col=text_col, min_chars=min_chars, max_edits=max_edits, short_lines=short_lines), "gone")
     side = gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone"))
     if (gone.agg(F.sum(F.size("gone"))).first()[0] or 0) <= BROADCAST_LINES:
         side = F.broadcast(side)
@@ -191,7 +195,7 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
 
 
 def op7_line_dedup(spark, sf_dir) -> DataFrame:
-    done = dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), marks=("n_lines", "n_gone"))
+    done = dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), short_lines=True, marks=("n_lines", "n_gone"))
     return done.select("doc_id", "n_lines", "n_gone", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
 
@@ -222,3 +226,6 @@ SELECT doc_id, CAST(count(*) AS BIGINT) AS n_lines, CAST(count(*) FILTER (WHERE
   sha256(coalesce(string_agg(part, chr(10) ORDER BY line_no) FILTER (WHERE NOT gone), '')) AS text_sha256
 FROM marked GROUP BY doc_id
 """
+
+#: The rule of op7 in full: repeats of any non-empty line, the edit bound from 20 characters on.
+OP7_ALL_LINES_SQL = OP7_SQL.replace("WHERE length(line) >= 20 GROUP BY line", "WHERE line <> '' GROUP BY line").replace("FROM u) CROSS JOIN", "FROM u WHERE n >= 20) CROSS JOIN")

@@ -182,6 +182,39 @@ def test_lines_against_edit_distance(spark, seed):
     assert got == expected_lines(rows)
 
 
+def expected_all_lines(rows):
+    """``expected_lines`` and, besides, exact repeats of shorter lines that are not empty."""
+    seen, out = set(), collections.defaultdict(set, {d: set(g) for d, g in expected_lines(rows).items()})
+    for doc_id, text in sorted(rows):
+        for number, line in enumerate(text.split("\n")):
+            line = line.strip(" \t\r")
+            if line and line in seen:
+                out[doc_id].add(number)
+            seen.add(line)
+    return {d: sorted(g) for d, g in out.items()}
+
+
+def test_short_lines_go_when_they_repeat(spark):
+    rng = random.Random(9)
+    bases = ["Les.", "Home", "a", "é", "Hose", "x" * 19, "x" * 20, "x" * 21, "b" * 18 + "c", "", "  \t"]
+    rows = [(d, "\n".join(rng.choice(bases) + rng.choice(["", " ", "\r"]) for _ in range(5))) for d in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: sorted(r.gone) for r in linededup.mark_lines(docs, short_lines=True).collect()}
+    assert got == expected_all_lines(rows) != expected_lines(rows)
+
+
+def test_line_dedup_covers_lines_of_any_length(spark, sf01):
+    check(linededup.op7_line_dedup, linededup.OP7_ALL_LINES_SQL, spark, sf01)
+
+
+def test_rule_of_long_lines_alone_equals_its_sql(spark, sf01):
+    def long_lines(spark, sf):
+        done = linededup.dedup_lines(table(spark, sf, "documents").select("doc_id", "text"), marks=("n_lines", "n_gone"))
+        return done.select("doc_id", "n_lines", "n_gone", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
+
+    check(long_lines, linededup.OP7_SQL, spark, sf01)
+
+
 # ---------------------------------------------------------------- vectors
 
 
