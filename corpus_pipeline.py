@@ -43,12 +43,14 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The documents in the order of the Pfair schedule (weights: square roots of the sources' sizes), each once.
+    """The mixture itself: rows by the Pfair schedule (weights: square roots of the sources' sizes).
 
-    Files and rows follow the schedule: reading them in order reads the mixture.
+    The schedule runs until every source has been read once; a shorter source
+    starts over, so its documents recur and the sources' shares of the rows are
+    their weights.  Files and rows follow the schedule too.
     """
     ship(spark)
-    mixed = mixing.mix_sources(docs.select(*COLUMNS), temperature=0.5, repeat=False)
+    mixed = mixing.mix_sources(docs.select(*COLUMNS), temperature=0.5)
     return mixed.orderBy("mix_position", "doc_id").select(*COLUMNS)
 
 

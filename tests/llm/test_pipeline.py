@@ -57,6 +57,16 @@ def test_mixing_stage_keeps_every_document_once(stages):
     assert sorted(r.doc_id for r in docs[4].collect()) == sorted(r.doc_id for r in docs[3].collect())
 
 
+def test_mixing_stage_gives_the_sources_their_weights(spark):
+    size = {"big": 900, "mid": 90, "few": 10}
+    made = [(d, f"text {d}", "en", s, 8) for d, s in enumerate(s for s, n in size.items() for _ in range(n))]
+    out = P.mixing_stage(spark, spark.createDataFrame(made, "doc_id long, text string, lang string, source string, n_chars long"), "").collect()
+    total = sum(n**0.5 for n in size.values())
+    for s, n in size.items():
+        assert abs(sum(r.source == s for r in out) - n**0.5 / total * len(out)) < 32  # one block
+    assert {tuple(r[c] for c in P.COLUMNS) for r in out} == set(made)
+
+
 def test_last_stage(spark, stages):
     sf, docs = stages
     out = docs[5].collect()
