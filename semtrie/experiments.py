@@ -193,13 +193,22 @@ def exp4_costs(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+def text_vectors(spark: SparkSession, sf: str) -> DataFrame:
+    """(doc_id, emb) of the documents' whole texts: the vectors of ``embed_text``, counted by grouping as texts are long."""
+    docs = T.table(spark, sf, "documents").select("doc_id", "text")
+    grams = docs.select("doc_id", F.explode(profiles.grams(F.col("text"))).alias("gram")).groupBy("doc_id", "gram").count()
+    buckets = grams.groupBy("doc_id", F.pmod(portable_hash(F.col("gram")), F.lit(64)).cast("int").alias("bucket")).agg(F.sum("count").cast("double").alias("n"))
+    held = buckets.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("bucket", "n"))).alias("held"))
+    emb = F.transform(F.sequence(F.lit(0), F.lit(63)), lambda i: F.coalesce(F.try_element_at("held", i), F.lit(0.0)))
+    return docs.select("doc_id").join(held, "doc_id", "left").select("doc_id", emb.alias("emb"))
+
+
 def exp_passages(spark: SparkSession, sf: str) -> DataFrame:
     """Chain hop to any of several holders: benchmark passages sought among (source, language) users."""
     corpus = T.corpus(spark, sf).withColumn("number", F.xxhash64("user_id"))
     vectors = profiles.embed_text(T.table(spark, sf, "benchmark"), dim=64).select("item_id", "emb")
     held = corpus.select(F.col("number").alias("user_id"), F.col("row_id").alias("doc_id"))
-    sample = T.table(spark, sf, "documents").select(F.col("doc_id"), F.substring("text", 1, 400).alias("text"))  # openings as titles; containment below uses whole texts
-    doc_vectors = profiles.embed_text(sample, dim=64).select("doc_id", "emb")
+    doc_vectors = text_vectors(spark, sf)
     profile = materialize(profiles.user_profiles(held, doc_vectors), "corpus-profile")
     s = build(profile, n_cc=10, capacity=8, delta=0.5)
     targets = T.passages(spark, sf).select(F.col("item_id").alias("query_id"), F.col("row_id").alias("doc_id"))

@@ -273,3 +273,15 @@ def test_quantised_bound_holds():
     a, b = packed[:150], packed[150:].reset_index(drop=True)
     exact = (x[:150] * x[150:]).sum(1)
     assert (_upper(a, b).to_numpy() >= exact).all() and (_upper(a, b).to_numpy() - exact).max() < 0.1
+
+
+def test_passages_are_sought_among_vectors_of_whole_texts(spark, sf):
+    from semtrie.sources import tables as T
+
+    length = {r.doc_id: len(r.text.lower()) for r in T.table(spark, sf, "documents").filter("text IS NOT NULL").collect()}
+    rows = X.text_vectors(spark, sf).collect()
+    assert max(length.values()) > 400
+    assert all(sum(r.emb) == max(0, length.get(r.doc_id, 0) - 2) for r in rows)  # one count per trigram
+    short = T.table(spark, sf, "documents").filter("char_length(text) between 1 and 600").orderBy("doc_id").limit(8)
+    got = {r.doc_id: r.emb for r in rows}
+    assert all(got[r.doc_id] == r.emb for r in profiles.embed_text(short, dim=64).collect())
