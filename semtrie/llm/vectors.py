@@ -291,12 +291,13 @@ class Forest:
             out[:, t] = node - len(self.cuts[t])
         return out
 
-    def search(self, x: np.ndarray, sizes: np.ndarray, coverage: float) -> list[list[tuple[int, int]]]:
+    def search(self, x: np.ndarray, sizes: np.ndarray, coverage: float, k: int) -> list[list[tuple[int, int]]]:
         """Leaves to visit per query, from one priority queue shared by all trees.
 
         The queue is ordered by the largest distance to a plane that a path had
         to cross; a query stops when the leaves taken are expected to cover the
-        wanted share of all rows.
+        wanted share of all rows and those of one tree, which share no row, hold
+        more than ``k``: k others besides the query.
         """
         trees, inner = self.cuts.shape
         share = sizes / np.maximum(sizes.sum(1, keepdims=True), 1)
@@ -304,7 +305,7 @@ class Forest:
         out = []
         for row in margins:
             heap = [(0.0, t, 0) for t in range(trees)]
-            taken, seen = [], np.zeros(trees)
+            taken, seen, held = [], np.zeros(trees), np.zeros(trees)
             while heap:
                 crossed, t, node = heapq.heappop(heap)
                 m = row[t]
@@ -315,7 +316,8 @@ class Forest:
                 leaf = node - inner
                 taken.append((t, leaf))
                 seen[t] += share[t, leaf]
-                if 1 - np.prod(1 - np.minimum(seen, 1)) >= coverage:
+                held[t] += sizes[t, leaf]
+                if held.max() > k and 1 - np.prod(1 - np.minimum(seen, 1)) >= coverage:
                     break
             out.append(taken)
         return out
@@ -397,7 +399,7 @@ def nearest_neighbours(
         for batch in batches:
             for lo in range(0, batch.num_rows, 1024):
                 part = batch.slice(lo, 1024)
-                found = forest.search(matrix(part.column("vec"), kind), sizes, coverage)
+                found = forest.search(matrix(part.column("vec"), kind), sizes, coverage, k)
                 yield pa.RecordBatch.from_arrays([part.column("id"), part.column("vec"), pa.array([[t << 16 | leaf for t, leaf in f] for f in found], pa.list_(pa.int32()))], ["id", "vec", "visits"])
 
     queries = indexed.filter(F.pmod("id", F.lit(every)) == 0).select("id", "vec")

@@ -2,6 +2,7 @@
 
 import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -111,6 +112,17 @@ def test_nearest_neighbours(odd_vectors):
     assert vectors.nearest_neighbours(none_of(odd_vectors)).count() == 0
 
 
+@pytest.mark.parametrize("n", [15, 25])
+def test_few_vectors_give_all_neighbours_at_the_usual_coverage(n):
+    x = np.random.default_rng(n).normal(size=(n, 8))
+    forest = vectors.Forest.fit(x, 8, 5, 11)
+    leaves = forest.leaves(x)
+    sizes = np.stack([np.bincount(leaves[:, t], minlength=32) for t in range(8)])
+    for i, visits in enumerate(forest.search(x, sizes, 0.75, 20)):
+        met = {j for t, leaf in visits for j in np.flatnonzero(leaves[:, t] == leaf)} - {i}
+        assert len(met) >= min(20, n - 1)
+
+
 def test_secrets(odd):
     rows = secrets.find_secrets(odd).collect()
     assert len(rows) == 10 and all(not r.all_spans for r in rows)
