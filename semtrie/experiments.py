@@ -150,13 +150,13 @@ def exp2_retrieval(spark: SparkSession, sf: str) -> DataFrame:
     hops = [1, 2, 5, 10]
     train = materialize(prep.thin_holders(w.train, w.queries.select(F.col("target_doc").alias("doc_id")), 3), "thin")
     s = build(w.profile, n_cc=p["n"], capacity=p["capacity"], delta=0.003)
-    known = expand.expand(s.known, w.profile, 3, n_cu=p["n"]).known
+    known = expand.expand(s.known, w.profile, 10, n_cu=p["n"]).known
     run = lambda lists, vectors=None: measures.hit_curve(hop.outcomes(hop.chain_hop(w.queries, lists, w.profile, train, max(hops), vectors=vectors)), hops)
     out = run(known).withColumn("method", F.lit("trie"))
     graph = materialize(overlay.pa_graph(w.profile, overlay.match_m(known)), "pa")
     lists = graph.select(F.col("src").alias("user_id"), F.col("dst").alias("peer_id"))
     for alpha in (1.0, 0.9, 0.5, 0.1):
-        vectors = diffusion.diffuse(graph, w.profile, alpha, n_iter=min(10, diffusion.steps_for(alpha)))
+        vectors = diffusion.diffuse(graph, w.profile, alpha)
         out = out.unionByName(run(lists, vectors).withColumn("method", F.lit(f"graph {alpha:g}")))
     n = w.profile.count()
     for h in hops:
@@ -170,7 +170,7 @@ def exp3_reach(spark: SparkSession, sf: str) -> DataFrame:
     w = Interest.load(spark, sf)
     p = sizes(w.profile)
     s = build(w.profile, n_cc=p["n"], capacity=p["capacity"], delta=0.001)
-    known = expand.expand(s.known, w.profile, 3, n_cu=p["n"]).known
+    known = expand.expand(s.known, w.profile, 10, n_cu=p["n"]).known
     graphs = {"trie": overlay.overlay_graph(known), "attachment": overlay.pa_graph(w.profile, overlay.match_m(known)), "mixed": overlay.mixed_overlay(known, w.profile)}
     out = None
     for name, edges in graphs.items():

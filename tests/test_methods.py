@@ -285,3 +285,27 @@ def test_passages_are_sought_among_vectors_of_whole_texts(spark, sf):
     short = T.table(spark, sf, "documents").filter("char_length(text) between 1 and 600").orderBy("doc_id").limit(8)
     got = {r.doc_id: r.emb for r in rows}
     assert all(got[r.doc_id] == r.emb for r in profiles.embed_text(short, dim=64).collect())
+
+
+def test_experiments_expand_ten_rounds_and_diffuse_to_tolerance(spark, sf, monkeypatch):
+    rounds, steps = [], {}
+
+    def expanded(known, profile, n, **options):
+        rounds.append(n)
+        return expand.Expansion([known])
+
+    def diffused(graph, profile, alpha, *, n_iter=None, **options):
+        steps[alpha] = diffusion.steps_for(alpha) if n_iter is None else n_iter
+        return profile.select("user_id", "emb")
+
+    curve = spark.createDataFrame([(1, 0, 0.0)], "max_hops int, found long, rate double")
+    monkeypatch.setattr(X.expand, "expand", expanded)
+    monkeypatch.setattr(X.diffusion, "diffuse", diffused)
+    monkeypatch.setattr(X.hop, "chain_hop", lambda *a, **b: None)
+    monkeypatch.setattr(X.hop, "outcomes", lambda *a, **b: None)
+    monkeypatch.setattr(X.measures, "hit_curve", lambda *a, **b: curve)
+    monkeypatch.setattr(X.reach, "min_hops", lambda *a, **b: None)
+    monkeypatch.setattr(X.measures, "hop_histogram", lambda *a, **b: curve)
+    X.exp2_retrieval(spark, sf)
+    X.exp3_reach(spark, sf)
+    assert rounds == [10, 10] and steps == {1.0: 0, 0.9: 3, 0.5: 10, 0.1: 66}
