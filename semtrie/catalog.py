@@ -1,8 +1,9 @@
 """All methods, baselines, measures and operators as named queries, with oracle SQL where SQL can state them.
 
 Vectors of the ``interest`` workload carry planted groups; those of ``vectors`` and
-``commerce`` have no structure.  Keys that name a learnt, deep trie (``exp_*``) have
-no oracle: tests compare them with brute force.
+``commerce`` have no structure.  Tries are built to their full depth; their SQL unrolls
+more levels than the tries of the table it is run on have.  The experiments (``exp*``)
+have no oracle: tests compare them with brute force.
 """
 
 from __future__ import annotations
@@ -16,9 +17,10 @@ from semtrie import experiments as X
 from semtrie import oracles as O
 from semtrie.functions import paths as P
 from semtrie.functions import vectors as V
-from semtrie.functions.hashing import sql_hash
+from semtrie.functions.hashing import portable_hash, sql_hash
 from semtrie.functions.ranking import global_rank
 from semtrie.operators import deploy, diffusion, expand, hop, measures, neighbors, overlay, prep, profiles, reach, study, truth
+from semtrie.plans.store import small
 from semtrie.sources import tables as T
 from semtrie.streaming import streams as S
 
@@ -132,6 +134,18 @@ def _(spark, sf):
     return prep.thin_holders(w.train, w.queries.select(F.col("target_doc").alias("doc_id")), 3)
 
 
+@key(
+    "query_noise",
+    O.with_(O.SPLIT2, O.VEC, O.QUERIES2)
+    + f"""SELECT query_id, round(sum(x * y) / sqrt(sum(x * x) * sum(y * y)), 6) AS sim FROM (
+      SELECT query_id, x, x + 0.2 * ({sql_hash("'42'", "'noise'", "query_id", "i")} / 1152921504606846976.0 - 0.5) AS y FROM (SELECT query_id, unnest(emb) AS x, unnest(range(0, len(emb))) AS i FROM queries)) GROUP BY 1""",
+)
+def _(spark, sf):
+    q = X.Interest.load(spark, sf).queries
+    moved = prep.query_noise(q, 0.2).select("query_id", F.col("emb").alias("moved"))
+    return q.join(moved, "query_id").select("query_id", r6(V.vec_cosine(F.col("emb"), F.col("moved")), "sim"))
+
+
 # ------------------------------------------------------------------ embedding and profiles
 
 
@@ -233,55 +247,57 @@ def _(spark, sf):
     return measures.technique_traits(spark)
 
 
-# ------------------------------------------------------------------ trie (shallow, so that SQL can be unrolled)
+# ------------------------------------------------------------------ trie
 
-SHALLOW = {"capacity": 50, "delta": 0.005, "max_iter": 5, "max_depth": 2}
-TRIE = O.with_(O.trie_sql(2, 50, 0.005))
+#: Levels that the SQL unrolls: more than the tries of the table it is run on have.
+LEVELS = 10
+TRIE = O.with_(O.trie_sql(LEVELS, 50, 0.005))
 
 
-def shallow(spark, sf, **options):
-    return X.trie_of(T.plain_vectors(spark, sf), **(SHALLOW | options))
+def vector_trie(spark, sf, **options):
+    """The whole trie over the vector table."""
+    return X.trie_of(T.plain_vectors(spark, sf), **({"capacity": 50, "delta": 0.005} | options))
 
 
-@key("two_means_root", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT round(c0[1], 6) AS a0, round(c0[2], 6) AS a1, round(c1[1], 6) AS b0, round(c1[2], 6) AS b1 FROM k0_5")
+@key("two_means_root", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT round(c0[1], 6) AS a0, round(c0[2], 6) AS a1, round(c1[1], 6) AS b0, round(c1[2], 6) AS b1 FROM k0_20")
 def _(spark, sf):
     at = lambda c, i: r6(F.get(c, F.lit(i)))
-    return shallow(spark, sf, max_depth=1).splits.select(at("c0", 0).alias("a0"), at("c0", 1).alias("a1"), at("c1", 0).alias("b0"), at("c1", 1).alias("b1"))
+    return vector_trie(spark, sf, max_depth=1).splits.select(at("c0", 0).alias("a0"), at("c0", 1).alias("a1"), at("c1", 0).alias("b0"), at("c1", 1).alias("b1"))
 
 
 @key("route_first_level", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT path, user_id FROM placement")
 def _(spark, sf):
-    return shallow(spark, sf, max_depth=1).placements.select("path", "user_id")
+    return vector_trie(spark, sf, max_depth=1).placements.select("path", "user_id")
 
 
 @key("trie_placements", TRIE + "SELECT path, user_id FROM placement")
 def _(spark, sf):
-    return shallow(spark, sf).placements.select("path", "user_id")
+    return vector_trie(spark, sf).placements.select("path", "user_id")
 
 
 @key("trie_placements_outer_loop", TRIE + "SELECT path, user_id FROM placement")
 def _(spark, sf):
     """The same trie with every level split by the distributed loop instead of in one finishing task."""
-    return shallow(spark, sf, local_rows=60).placements.select("path", "user_id")
+    return vector_trie(spark, sf, local_rows=60).placements.select("path", "user_id")
 
 
 @key("trie_level2_sizes", TRIE + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
 def _(spark, sf):
-    return shallow(spark, sf).placements.groupBy("path").agg(n_())
+    return vector_trie(spark, sf).placements.groupBy("path").agg(n_())
 
 
 @key("trie_leaf_fill", TRIE + "SELECT users, CAST(count(*) AS BIGINT) AS leaves, round(count(*) / sum(count(*)) OVER (), 6) AS share FROM (SELECT path, count(*) AS users FROM placement GROUP BY 1) GROUP BY 1")
 def _(spark, sf):
-    return measures.leaf_fill(shallow(spark, sf).placements).select("users", "leaves", r6("share", "share"))
+    return measures.leaf_fill(vector_trie(spark, sf).placements).select("users", "leaves", r6("share", "share"))
 
 
 @key("trie_shape", TRIE + "SELECT length(path) AS depth, CAST(sum(s) AS BIGINT) AS splits, CAST(sum(1 - s) AS BIGINT) AS leaves, CAST(sum(CASE WHEN s = 1 THEN 0 ELSE n END) AS BIGINT) AS placements FROM (SELECT path, n, 1 AS s FROM splits UNION ALL SELECT path, count(*), 0 FROM placement GROUP BY 1) GROUP BY 1")
 def _(spark, sf):
-    return measures.trie_shape(shallow(spark, sf).nodes).select(F.col("depth").cast("long").alias("depth"), "splits", "leaves", "placements")
+    return measures.trie_shape(vector_trie(spark, sf).nodes).select(F.col("depth").cast("long").alias("depth"), "splits", "leaves", "placements")
 
 
 def _stats_sql(delta: float) -> str:
-    trie = O.trie_sql(2, 50, delta)
+    trie = O.trie_sql(LEVELS, 50, delta)
     return f"SELECT CAST({delta} AS DOUBLE) AS delta, * FROM (WITH {trie} SELECT CAST(count(*) AS BIGINT) AS users, median(n) AS median, round(avg(n), 6) AS mean, round(stddev_pop(n), 6) AS std_pop, CAST(count(*) FILTER (WHERE n = 1) AS BIGINT) AS never_cloned FROM (SELECT user_id, count(*) AS n FROM placement GROUP BY 1))"
 
 
@@ -289,48 +305,70 @@ def _stats_sql(delta: float) -> str:
 def _(spark, sf):
     out = None
     for delta in (0.0, 0.005, 0.02):
-        s = measures.clone_stats(shallow(spark, sf, delta=delta).placements).select(F.lit(delta).alias("delta"), "users", "median", r6("mean", "mean"), r6("std_pop", "std_pop"), "never_cloned")
+        s = measures.clone_stats(vector_trie(spark, sf, delta=delta).placements).select(F.lit(delta).alias("delta"), "users", "median", r6("mean", "mean"), r6("std_pop", "std_pop"), "never_cloned")
         out = s if out is None else out.unionByName(s)
     return out
 
 
-@key("clone_histogram", O.with_(O.trie_sql(2, 50, 0.02)) + "SELECT placements, CAST(count(*) AS BIGINT) AS users FROM (SELECT user_id, count(*) AS placements FROM placement GROUP BY 1) GROUP BY 1")
+@key("clone_histogram", O.with_(O.trie_sql(LEVELS, 50, 0.02)) + "SELECT placements, CAST(count(*) AS BIGINT) AS users FROM (SELECT user_id, count(*) AS placements FROM placement GROUP BY 1) GROUP BY 1")
 def _(spark, sf):
-    return measures.clone_histogram(shallow(spark, sf, delta=0.02).placements)
+    return measures.clone_histogram(vector_trie(spark, sf, delta=0.02).placements)
 
 
-@key("trie_clone_on_split", O.with_(O.trie_sql(2, 50, 0.02, clone_on_split=True)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
+@key("trie_clone_on_split", O.with_(O.trie_sql(LEVELS, 50, 0.02, clone_on_split=True)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
 def _(spark, sf):
-    return shallow(spark, sf, delta=0.02, clone_on_split=True).placements.groupBy("path").agg(n_())
+    return vector_trie(spark, sf, delta=0.02, clone_on_split=True).placements.groupBy("path").agg(n_())
 
 
-@key("trie_metric_unit", O.with_(O.trie_sql(2, 50, 0.005, unit=True)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
+@key("trie_metric_unit", O.with_(O.trie_sql(LEVELS, 50, 0.005, unit=True)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
 def _(spark, sf):
-    return shallow(spark, sf, metric="l2_unit").placements.groupBy("path").agg(n_())
+    return vector_trie(spark, sf, metric="l2_unit").placements.groupBy("path").agg(n_())
 
 
-@key("trie_metric_rms", O.with_(O.trie_sql(2, 50, 0.04)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
+@key("trie_metric_rms", O.with_(O.trie_sql(14, 50, 0.04)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
 def _(spark, sf):
-    return shallow(spark, sf, metric="l2_rms", delta=0.005).placements.groupBy("path").agg(n_())
+    return vector_trie(spark, sf, metric="l2_rms", delta=0.005).placements.groupBy("path").agg(n_())
 
 
-@key(
-    "join_new_users",
-    O.with_(O.trie_sql(1, 50, 0.005))
-    + """SELECT user_id, path FROM (SELECT doc_id AS user_id, unnest(CASE WHEN abs(a - b) < 0.02 THEN ['0', '1'] WHEN a <= b THEN ['0'] ELSE ['1'] END) AS path
-      FROM (SELECT doc_id, list_distance(list_transform(emb, lambda x: -x), c0) AS a, list_distance(list_transform(emb, lambda x: -x), c1) AS b FROM vec CROSS JOIN k0_5))""",
-)
+@key("join_new_users", O.with_(O.trie_sql(LEVELS, 50, 0.005), O.frozen_sql(LEVELS, 0.02, "SELECT doc_id AS user_id, list_transform(emb, lambda x: -x) AS emb FROM vec")) + "SELECT user_id, path FROM landed")
 def _(spark, sf):
     from semtrie.operators.trie import join_trie
 
     new = T.plain_vectors(spark, sf).select("user_id", F.transform("emb", lambda x: -x).alias("emb"))
-    return join_trie(new, shallow(spark, sf, max_depth=1), delta=0.02).select("user_id", "path")
+    return join_trie(new, vector_trie(spark, sf), delta=0.02).select("user_id", "path")
+
+
+#: The first half of all arrivals by time, as their order is a hash of 60 bits.
+EARLY = F.col("arrival") < (1 << 59)
+
+
+@key("insert_into_live_trie", TRIE + "SELECT path, user_id FROM placement")
+def _(spark, sf):
+    """A trie of the first half of the users into which the second half is inserted: that of all users."""
+    from semtrie.operators.trie import build_trie, insert_trie
+
+    users = prep.arrival_order(T.plain_vectors(spark, sf))
+    early = users.filter(EARLY)
+    return insert_trie(build_trie(early, capacity=50, delta=0.005), early, users.filter(~EARLY)).placements.select("path", "user_id")
+
+
+@key("stream_into_live_trie", TRIE + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
+def _(spark, sf):
+    """The same with the second half as a stream whose batches split the leaves that overflow."""
+    from semtrie.operators.trie import build_trie
+
+    users = prep.arrival_order(T.plain_vectors(spark, sf))
+    early = users.filter(EARLY)
+    stream = spark.readStream.schema(T.SCHEMAS["embeddings"]).option("pathGlobFilter", "embeddings*.parquet").parquet(sf)
+    arriving = prep.arrival_order(stream.select(F.col("vec_id").alias("user_id"), F.col("embedding").cast("array<double>").alias("emb"))).filter(~EARLY)
+    live = S.LiveTrie(build_trie(early, capacity=50, delta=0.005), early)
+    return live.follow(arriving).placements.groupBy("path").agg(n_())
 
 
 @key("build_messages", TRIE + "SELECT CAST(sum(length(path)) AS BIGINT) AS insertion, CAST(10 * (SELECT count(*) FROM vec) AS BIGINT) AS expansion FROM placement")
 def _(spark, sf):
     profile = T.plain_vectors(spark, sf)
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     return measures.build_cost(t.placements, profile.count(), 10, splits=t.splits.count(), capacity=50).select("insertion", "expansion")
 
 
@@ -492,6 +530,12 @@ def _hop_sql(max_hops: int, lists: str = "known0", extra: str = "", **options) -
     return "WITH " + _state()[5:].rstrip() + ",\n" + O.QUERIES2 + ",\n" + extra + O.hops_sql(max_hops, lists, **options) + "\n"
 
 
+@key("chain_hop_distributed", _hop_sql(3) + "SELECT query_id, hop, user_id, status FROM trace")
+def _(spark, sf):
+    """Hop by hop with lists that stay distributed, as on graphs too large to send."""
+    return X.walk(X.coded(spark, sf), 3, local=False)
+
+
 @key("chain_hop_trace", _hop_sql(3) + "SELECT query_id, hop, user_id, status FROM trace")
 def _(spark, sf):
     return X.walk(X.coded(spark, sf), 3)
@@ -504,7 +548,7 @@ def _(spark, sf):
 
 @key("chain_hop_revisit", _hop_sql(3, revisit=True) + "SELECT query_id, hop, user_id, status FROM trace")
 def _(spark, sf):
-    return X.walk(X.coded(spark, sf), 3, revisit=True)
+    return X.walk(X.coded(spark, sf), 3, revisit=True, local=False)
 
 
 CLOSEST = "near AS MATERIALIZED (SELECT user_id, peer_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY round(sim, 12) DESC, peer_id) AS rk FROM known0) WHERE rk <= 5),\n"
@@ -569,30 +613,31 @@ def _(spark, sf):
     return hop.random_query_simulated(w.train, w.queries, w.profile, 10)
 
 
-def _diffusion(name: str, alpha: float, steps: int):
+def _diffusion(name: str, alpha: float):
+    steps = diffusion.steps_for(alpha)  # until 0.001 of the error is left
     sql = O.with_(O.PROFILE2, O.numbered_sql(), O.pa_sql(4), O.diffuse_sql(alpha, steps, "pa")) + f"SELECT user_id, round(emb[1], 6) AS e0, round(emb[64], 6) AS e63, round(sqrt(list_dot_product(emb, emb)), 6) AS norm FROM v{steps}"
 
     @key(name, sql)
     def _(spark, sf):
         w = X.Interest.load(spark, sf)
-        d = diffusion.diffuse(overlay.pa_graph(w.profile, 4), w.profile, alpha, n_iter=steps)
+        d = diffusion.diffuse(overlay.pa_graph(w.profile, 4), w.profile, alpha)
         return d.select("user_id", r6(F.get("emb", F.lit(0)), "e0"), r6(F.get("emb", F.lit(63)), "e63"), r6(V.vec_norm(F.col("emb")), "norm"))
 
 
-_diffusion("diffuse_alpha_01", 0.1, 3)
-_diffusion("diffuse_alpha_05", 0.5, 3)
-_diffusion("diffuse_alpha_09", 0.9, 3)
-_diffusion("diffuse_alpha_10", 1.0, 0)
+_diffusion("diffuse_alpha_01", 0.1)
+_diffusion("diffuse_alpha_05", 0.5)
+_diffusion("diffuse_alpha_09", 0.9)
+_diffusion("diffuse_alpha_10", 1.0)
 
 
 @key(
     "diffusion_hop_trace",
-    "WITH " + O.PROFILE2 + ",\n" + O.QUERIES2 + ",\n" + O.numbered_sql() + ",\n" + O.pa_sql(4) + ",\nplists AS MATERIALIZED (SELECT src AS user_id, dst AS peer_id FROM pa),\n" + O.diffuse_sql(0.5, 2, "pa") + ",\n" + O.hops_sql(3, "plists", vectors="v2") + "\nSELECT query_id, hop, user_id, status FROM trace",
+    "WITH " + O.PROFILE2 + ",\n" + O.QUERIES2 + ",\n" + O.numbered_sql() + ",\n" + O.pa_sql(4) + ",\nplists AS MATERIALIZED (SELECT src AS user_id, dst AS peer_id FROM pa),\n" + O.diffuse_sql(0.5, diffusion.steps_for(0.5), "pa") + ",\n" + O.hops_sql(3, "plists", vectors=f"v{diffusion.steps_for(0.5)}") + "\nSELECT query_id, hop, user_id, status FROM trace",
 )
 def _(spark, sf):
     w = X.Interest.load(spark, sf)
     graph = overlay.pa_graph(w.profile, 4)
-    moved = diffusion.diffuse(graph, w.profile, 0.5, n_iter=2)
+    moved = diffusion.diffuse(graph, w.profile, 0.5)
     return hop.chain_hop(w.queries, graph.select(F.col("src").alias("user_id"), F.col("dst").alias("peer_id")), w.profile, w.train, 3, vectors=moved)
 
 
@@ -666,13 +711,13 @@ office AS MATERIALIZED (SELECT path, user_id, row_number() OVER (PARTITION BY pa
 
 @key("custodians", CUST + "SELECT c.path, c.user_id, p.user_id AS parent_user_id FROM office c LEFT JOIN office p ON length(c.path) > 0 AND p.path = left(c.path, length(c.path) - 1) AND p.rn = 1 WHERE c.rn = 1")
 def _(spark, sf):
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     return deploy.elect_custodians(t.nodes, t.placements).select("path", "user_id", "parent_user_id")
 
 
 @key("backup_custodians", CUST + "SELECT path, user_id AS backup_user_id FROM office WHERE rn = 2")
 def _(spark, sf):
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     return deploy.elect_custodians(t.nodes, t.placements).select("path", F.get("backups", F.lit(0)).alias("backup_user_id"))
 
 
@@ -684,7 +729,7 @@ SELECT s.path, n.user_id, CASE WHEN a.user_id % 3 <> 0 THEN 'kept' WHEN n.user_i
 FROM splits s LEFT JOIN office a ON a.path = s.path AND a.rn = 1 LEFT JOIN office b ON b.path = s.path AND b.rn = 2 LEFT JOIN stay n ON n.path = s.path AND n.rn = 1""",
 )
 def _(spark, sf):
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     directory = deploy.elect_custodians(t.nodes, t.placements)
     gone = t.placements.filter("user_id % 3 = 0").select("user_id")
     return deploy.leave(t.placements, directory, gone)[1].select("path", "user_id", "event")
@@ -697,6 +742,14 @@ def _(spark, sf):
     return forest.placements.groupBy("tree_id").agg(F.count_distinct("user_id").alias("users"))
 
 
+@key("forest_by_language", "SELECT lang AS tree_id, CAST(count(DISTINCT source) AS BIGINT) AS users FROM documents GROUP BY 1")
+def _(spark, sf):
+    """A tree per language over the (source, language) users of the corpus."""
+    held = T.corpus(spark, sf).select(F.xxhash64("user_id").alias("user_id"), F.col("row_id").alias("doc_id"), "lang")
+    profile = profiles.user_profiles(held.select("user_id", "doc_id"), X.text_vectors(spark, sf)).join(held.select("user_id", "lang").distinct(), "user_id")
+    return X.trie_of(profile, tree_key="lang", capacity=8, delta=0.0).placements.groupBy("tree_id").agg(F.count_distinct("user_id").alias("users"))
+
+
 @key(
     "merge_sparse",
     TRIE.rstrip() + """,
@@ -704,7 +757,7 @@ f AS MATERIALIZED (SELECT left(path, length(path) - 1) AS parent FROM placement
 SELECT DISTINCT user_id, CASE WHEN parent IS NULL THEN path ELSE parent END AS path FROM placement LEFT JOIN f ON length(path) > 0 AND parent = left(path, length(path) - 1)""",
 )
 def _(spark, sf):
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     return deploy.merge_sparse(t.nodes, t.placements, capacity=300, min_fill=0.5).select("user_id", "path")
 
 
@@ -713,11 +766,11 @@ def _(spark, sf):
 
 @key("join_broadcast_nodes", TRIE + "SELECT s.path, s.n, CAST(count(*) AS BIGINT) AS members FROM splits s JOIN below USING (path) GROUP BY 1, 2".replace("below", "(SELECT DISTINCT substr(path, 1, CAST(d AS INT)) AS path, user_id FROM (SELECT path, user_id, unnest(range(0, length(path))) AS d FROM placement))"))
 def _(spark, sf):
-    t = shallow(spark, sf)
+    t = vector_trie(spark, sf)
     up = F.explode(F.sequence(F.lit(0), F.char_length("path") - 1)).alias("d")
     below = t.placements.filter("path <> ''").select("user_id", F.col("path").alias("leaf"), up).select("user_id", F.substr("leaf", F.lit(1), F.col("d")).alias("path")).distinct()
-    nodes = t.splits.select("path", F.col("n_users").alias("n"))
-    return below.join(F.broadcast(nodes), "path").groupBy("path", "n").agg(n_("members"))  # at most one node per depth-2 prefix
+    nodes = small(t.splits.select("path", F.col("n_users").alias("n")))
+    return below.join(nodes, "path").groupBy("path", "n").agg(n_("members"))
 
 
 @key("join_shuffle_hash_vectors", O.with_(O.ACCESS2, O.VEC) + "SELECT user_id, round(sum(emb[1]), 6) AS s FROM holding JOIN vec USING (doc_id) GROUP BY 1")
@@ -918,10 +971,14 @@ def _(spark, sf):
     return p.select("user_id", "path", P.path_depth(c).cast("long").alias("depth"), P.path_parent(c).alias("parent"), P.path_sibling(c).alias("sibling"))
 
 
-@key("string_functions", f"SELECT item_id, md5({NORMAL}) AS digest, CAST(len(string_split_regex(trim(lower(text)), '\\s+')) AS BIGINT) AS words, levenshtein(substr(text, 1, 8), substr(text, 2, 8)) AS edits FROM benchmark WHERE strlen(substr(text, 1, 9)) = 9")
+PLAIN = "regexp_replace(text, '[^\\x00-\\x7F]', '?', 'g')"
+
+
+@key("string_functions", f"SELECT item_id, md5({NORMAL}) AS digest, CAST(len(string_split_regex(trim(lower(text)), '\\s+')) AS BIGINT) AS words, levenshtein({PLAIN}, reverse({PLAIN})) AS edits FROM benchmark")
 def _(spark, sf):
-    b = T.table(spark, sf, "benchmark").filter(F.octet_length(F.substring("text", 1, 9)) == 9)
-    return b.select("item_id", F.md5(T.normal_text(F.col("text"))).alias("digest"), F.size(F.split(F.trim(F.lower("text")), r"\s+")).cast("long").alias("words"), F.levenshtein(F.substring("text", 1, 8), F.substring("text", 2, 8)).cast("long").alias("edits"))
+    b = T.table(spark, sf, "benchmark")
+    plain = F.regexp_replace("text", r"[^\x00-\x7F]", "?")  # the two engines count other characters' edits differently
+    return b.select("item_id", F.md5(T.normal_text(F.col("text"))).alias("digest"), F.size(F.split(F.trim(F.lower("text")), r"\s+")).cast("long").alias("words"), F.levenshtein(plain, F.reverse(plain)).cast("long").alias("edits"))
 
 
 @key("date_functions", "SELECT event_id, date_trunc('week', ts) AS week, date_diff('day', DATE '2020-01-01', CAST(ts AS DATE)) AS days, ts + INTERVAL 36 HOUR AS later FROM events")
@@ -980,10 +1037,19 @@ def _(spark, sf):
     return out.select("user_id", "n_docs", r6(F.get("emb", F.lit(0)), "e0"))
 
 
-@key("stream_trie_join", TRIE + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
+@key("stream_trie_join", O.with_(O.trie_sql(LEVELS, 50, 0.005), O.frozen_sql(LEVELS, 0.005, "SELECT doc_id AS user_id, emb FROM vec")) + "SELECT user_id, path FROM landed")
 def _(spark, sf):
-    """Vectors arrive as a stream and are placed in the frozen trie; heads have no clone by rule, so they are compared apart."""
-    return X.stream_placements(spark, sf, shallow(spark, sf)).groupBy("path").agg(n_())
+    """Vectors arrive as a stream and are placed in the frozen trie."""
+    return X.stream_placements(spark, sf, vector_trie(spark, sf))
+
+
+@key("drift_reroute", O.with_(O.trie_sql(LEVELS, 50, 0.005), O.frozen_sql(LEVELS, 0.005, "SELECT a.doc_id AS user_id, list_transform(list_zip(a.emb, b.emb), lambda z: z[1] * 0.5 + z[2] * 0.5) AS emb FROM vec a JOIN vec b ON b.doc_id = a.doc_id + 1")) + "SELECT user_id, path FROM landed")
+def _(spark, sf):
+    """Users whose profiles moved half-way to another user's are routed again."""
+    t = vector_trie(spark, sf)
+    v = T.plain_vectors(spark, sf).select("user_id", "emb")
+    moved = v.join(v.select((F.col("user_id") - 1).alias("user_id"), F.col("emb").alias("other")), "user_id")
+    return S.reroute(moved.select("user_id", F.zip_with("emb", "other", lambda a, b: a * 0.5 + b * 0.5).alias("emb")), t)
 
 
 @key("stream_join_answered", """WITH e AS (SELECT *, CAST(regexp_extract(props, '"k": *([0-9]+)', 1) AS BIGINT) AS k FROM events) SELECT q.event_id AS q_id, a.event_id, a.user_id, a.k FROM e q JOIN e a ON q.user_id = a.user_id AND q.k = a.k AND a.ts >= q.ts AND a.ts <= q.ts + INTERVAL 10 DAY WHERE q.event_type = 'view' AND a.event_type = 'purchase'""")
@@ -1025,14 +1091,15 @@ def _(spark, sf):
     return by_hop.select("hops", F.sum("n").over(Window.orderBy("hops")).alias("found"))  # one row per hop count
 
 
-@key("join_cross_exact", O.with_(O.PROFILE2) + "SELECT user_id, peer_id, round(sim, 6) AS sim FROM sims WHERE user_id < peer_id")
+LANDMARK = sql_hash("'landmark'", "user_id")
+
+
+@key("join_cross_landmarks", O.with_(O.PROFILE2) + f"SELECT p.user_id, l.user_id AS landmark, round(list_cosine_similarity(p.emb, l.emb), 6) AS sim FROM profile p CROSS JOIN (SELECT * FROM profile ORDER BY {LANDMARK}, user_id LIMIT 16) l")
 def _(spark, sf):
-    """All pairs by nested loops: for counted, small user tables only; larger ones take the blocked product."""
+    """Every user beside the 16 landmark users: a nested-loop join whose one side never grows."""
     p = X.Interest.load(spark, sf).profile
-    if p.count() > 2_000:
-        raise ValueError("too many users for a cross join")
-    a, b = p.select("user_id", "emb"), p.select(F.col("user_id").alias("peer_id"), F.col("emb").alias("other"))
-    return a.crossJoin(F.broadcast(b)).filter("user_id < peer_id").select("user_id", "peer_id", r6(V.vec_cosine(F.col("emb"), F.col("other")), "sim"))
+    marks = p.orderBy(portable_hash("landmark", F.col("user_id")), "user_id").limit(16).select(F.col("user_id").alias("landmark"), F.col("emb").alias("other"))
+    return p.crossJoin(F.broadcast(marks)).select("user_id", "landmark", r6(V.vec_cosine(F.col("emb"), F.col("other")), "sim"))
 
 
 @key("join_self_cooccurrence", O.with_(O.ACCESS2) + "SELECT a.user_id, b.user_id AS other, CAST(count(*) AS BIGINT) AS n FROM holding a JOIN holding b ON a.doc_id = b.doc_id AND a.user_id < b.user_id GROUP BY 1, 2 HAVING count(*) >= 12")
@@ -1049,7 +1116,7 @@ def _(spark, sf):
 
 @key("set_union_all_placements", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM (SELECT path, user_id FROM placement UNION ALL SELECT path, user_id FROM placement WHERE user_id < 100) GROUP BY 1")
 def _(spark, sf):
-    p = shallow(spark, sf, max_depth=1).placements.select("path", "user_id")
+    p = vector_trie(spark, sf, max_depth=1).placements.select("path", "user_id")
     return p.unionAll(p.filter("user_id < 100")).groupBy("path").agg(n_())
 
 
@@ -1059,7 +1126,7 @@ def _(spark, sf):
     return T.vectors_table(spark, sf).select("doc_id", F.get(q, F.lit(0)).alias("q0"), F.get(q, F.lit(63)).alias("q63"))
 
 
-@key("two_means_aggregate", O.with_(O.trie_sql(1, 50, 0.005), "c AS (SELECT c0, c1 FROM k0_5)") + "SELECT CAST(count(*) AS BIGINT) AS n, round(min(list_distance(c0, c1)), 6) AS gap FROM c")
+@key("two_means_aggregate", O.with_(O.trie_sql(1, 50, 0.005), "c AS (SELECT c0, c1 FROM k0_20)") + "SELECT CAST(count(*) AS BIGINT) AS n, round(min(list_distance(c0, c1)), 6) AS gap FROM c")
 def _(spark, sf):
     """The 2-means of a head as an aggregate function over (arrival, vector)."""
     from semtrie.operators.trie import two_means_centroids
@@ -1071,16 +1138,29 @@ def _(spark, sf):
     return c.select(F.lit(1).cast("long").alias("n"), r6(V.vec_l2(half(0), half(1)), "gap"))
 
 
-@key("udtf_trie_paths", O.with_(O.trie_sql(1, 50, 0.005)) + "SELECT user_id, path FROM (SELECT doc_id AS user_id, unnest(CASE WHEN abs(a - b) < 0.02 THEN ['0', '1'] WHEN a <= b THEN ['0'] ELSE ['1'] END) AS path FROM (SELECT doc_id, list_distance(emb, c0) AS a, list_distance(emb, c1) AS b FROM vec CROSS JOIN k0_5)) WHERE user_id < 40")
+@key("udtf_trie_paths", O.with_(O.trie_sql(LEVELS, 50, 0.005), O.frozen_sql(LEVELS, 0.02, "SELECT doc_id AS user_id, emb FROM vec")) + "SELECT user_id, path FROM landed")
 def _(spark, sf):
+    """The table function in SQL, for every vector; split nodes travel as one array, fit for small tries (``join_trie`` for others)."""
     from semtrie.operators.trie import trie_paths_udtf
 
     spark.udtf.register("trie_paths", trie_paths_udtf())
-    nodes = shallow(spark, sf, max_depth=1).splits.agg(F.collect_list(F.struct("path", "c0", "c1")).alias("nodes"))  # the root alone
-    T.plain_vectors(spark, sf).filter("user_id < 40").crossJoin(F.broadcast(nodes)).createOrReplaceTempView("semtrie_new_users")
+    nodes = vector_trie(spark, sf).splits.agg(F.collect_list(F.struct("path", "c0", "c1")).alias("nodes"))
+    T.plain_vectors(spark, sf).crossJoin(F.broadcast(nodes)).createOrReplaceTempView("semtrie_new_users")
     return spark.sql("SELECT u.user_id, p.path FROM semtrie_new_users u, LATERAL trie_paths(u.emb, u.nodes, 0.02D) p")
 
 
+@key("agg_kll_quantiles", "SELECT event_type, CAST(count(*) AS BIGINT) AS n, true AS near FROM events GROUP BY 1")
+def _(spark, sf):
+    """Quartiles of a mergeable sketch, each held to the exact ranks beside it (within two per cent of the rows)."""
+    e = T.table(spark, sf, "events").select("event_type", F.col("value").cast("double").alias("value"))
+    sketches = e.groupBy("event_type").agg(F.expr("kll_sketch_agg_double(value)").alias("s"), n_())
+    cuts = sketches.select("event_type", "n", *[F.expr(f"kll_sketch_get_quantile_double(s, {q}D)").alias(f"q{int(q * 100)}") for q in (0.25, 0.5, 0.75)])
+    counted = e.join(F.broadcast(cuts), "event_type").groupBy("event_type", "n")  # a few kinds of events
+    ranks = counted.agg(*[F.count_if(F.col("value") <= F.col(f"q{q}")).alias(f"r{q}") for q in (25, 50, 75)])
+    near = (F.abs(F.col("r25") / F.col("n") - 0.25) < 0.02) & (F.abs(F.col("r50") / F.col("n") - 0.5) < 0.02) & (F.abs(F.col("r75") / F.col("n") - 0.75) < 0.02)
+    return ranks.select("event_type", "n", near.alias("near"))
+
+
 # ------------------------------------------------------------------ experiments (learnt tries; no oracle)
 
 for _name, _run in X.EXPERIMENTS.items():

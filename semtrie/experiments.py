@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from semtrie.functions.hashing import portable_hash
@@ -79,23 +79,29 @@ def walk(s: State, max_hops: int, lists: DataFrame | None = None, **options) ->
 
 
 def recall_rounds(e: expand.Expansion, profile: DataFrame, n_cu: int) -> DataFrame:
-    exact = materialize(truth.exact_neighbors(profile, n_cu), "truth")
-    out = None
-    for t, known in enumerate(e.rounds):
-        row = measures.recall_at(neighbors.closest(known, n_cu), exact).agg(F.lit(t).alias("round"), F.count(F.lit(1)).alias("users"), F.round(F.avg("recall"), 6).alias("recall"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    """(round, users, recall): mean recall of the exact nearest users after each round, all rounds in one pass.
+
+    Lists only grow, so the list of round t is that of the last one without the
+    peers added later.
+    """
+    exact = materialize(truth.exact_neighbors(profile, n_cu).select("user_id", "peer_id"), "truth")
+    last = len(e.rounds) - 1
+    at = e.known.select("user_id", "peer_id", "sim", F.explode(F.sequence("added_round", F.lit(last))).alias("round"))
+    w = Window.partitionBy("round", "user_id").orderBy(F.desc(F.round("sim", 12)), "peer_id")
+    near = at.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= n_cu).select("round", "user_id", "peer_id")
+    hits = near.join(exact, ["user_id", "peer_id"]).groupBy("round").agg(F.count(F.lit(1)).alias("hits"))
+    users = exact.select("user_id").distinct().count()
+    rounds = e.known.sparkSession.range(last + 1).select(F.col("id").cast("int").alias("round"))
+    return rounds.join(F.broadcast(hits), "round", "left").select("round", F.lit(users).cast("long").alias("users"), F.round(F.coalesce("hits", F.lit(0)) / F.lit(users), 6).alias("recall"))  # one row per round
 
 
 def stream_placements(spark: SparkSession, sf: str, trie: Trie) -> DataFrame:
-    """Users outside the heads arrive as a stream and meet the frozen trie; the heads' members keep their places."""
+    """Vectors arrive as a stream and meet the frozen trie."""
     from semtrie.streaming.streams import run_to_table
 
     stream = spark.readStream.schema(T.SCHEMAS["embeddings"]).option("pathGlobFilter", "embeddings*.parquet").parquet(sf)
     arrived = run_to_table(stream.select(F.col("vec_id").alias("user_id"), F.col("embedding").cast("array<double>").alias("emb")), "append")
-    placed = join_trie(arrived, trie)
-    # a head's member was never cloned at its own split: its placements are those of the build
-    return placed.join(trie.placements.select("user_id", "path"), ["user_id", "path"], "left_semi").select("user_id", "path")
+    return join_trie(arrived, trie).select("user_id", "path")
 
 
 def sizes(profile: DataFrame) -> dict[str, int]:
@@ -104,19 +110,35 @@ def sizes(profile: DataFrame) -> dict[str, int]:
     return {"capacity": 50, "n": 50} if n >= 600 else {"capacity": 10, "n": 10} if n >= 60 else {"capacity": 4, "n": 5}
 
 
+#: The thresholds and contact limits of the published experiments.
+THRESHOLDS = (0.0, 1e-6, 5e-6, 1e-5, 5e-5, 1e-4, 5e-4, 1e-3, 3e-3, 5e-3)
+ROUNDS = 20
+CONTACTS = (2, 5, 10, 20, 50, 100, 200, 400, 600)
+
+
+def as_lists(edges: DataFrame) -> DataFrame:
+    return edges.select(F.col("src").alias("user_id"), F.col("dst").alias("peer_id"))
+
+
 def exp1_recall(spark: SparkSession, sf: str) -> DataFrame:
-    """Recall of the exact nearest users by round, for several thresholds and for random lists of equal length."""
+    """Recall of the exact nearest users over 20 rounds: several thresholds, and two starts without a trie.
+
+    Random lists are as long as the trie's first lists at threshold 0.001; the
+    attachment graph has their mean degree.
+    """
     w = Interest.load(spark, sf)
     p = sizes(w.profile)
-    rounds = 10 if p["n"] == 50 else 5
+    grown = lambda known: recall_rounds(expand.expand(known, w.profile, ROUNDS, n_cu=p["n"]), w.profile, p["n"])
     out, base = None, None
     for delta in (0.0, 0.0005, 0.001, 0.003):
         s = build(w.profile, n_cc=p["n"], capacity=p["capacity"], delta=delta)
         base = s.known if delta == 0.001 else base
-        r = recall_rounds(expand.expand(s.known, w.profile, rounds, n_cu=p["n"]), w.profile, p["n"]).withColumn("method", F.lit(f"trie {delta:g}"))
+        r = materialize(grown(s.known), "curve").withColumn("method", F.lit(f"trie {delta:g}"))
         out = r if out is None else out.unionByName(r)
-    lists = neighbors.init_lists(overlay.random_lists(base, w.profile), w.profile)
-    return out.unionByName(recall_rounds(expand.expand(lists, w.profile, rounds, n_cu=p["n"]), w.profile, p["n"]).withColumn("method", F.lit("random lists")))
+    starts = {"random lists": overlay.random_lists(base, w.profile), "attachment graph": as_lists(overlay.pa_graph(w.profile, overlay.match_m(base)))}
+    for name, lists in starts.items():
+        out = out.unionByName(materialize(grown(neighbors.init_lists(lists, w.profile)), "curve").withColumn("method", F.lit(name)))
+    return out
 
 
 def exp1_clones(spark: SparkSession, sf: str) -> DataFrame:
@@ -124,7 +146,7 @@ def exp1_clones(spark: SparkSession, sf: str) -> DataFrame:
     w = Interest.load(spark, sf)
     p = sizes(w.profile)
     out = None
-    for delta in (0.0, 1e-4, 5e-4, 1e-3, 3e-3):
+    for delta in THRESHOLDS:
         r = measures.clone_stats(build_trie(w.profile, capacity=p["capacity"], delta=delta).placements).withColumn("delta", F.lit(delta))
         out = r if out is None else out.unionByName(r)
     return out
@@ -143,24 +165,25 @@ def exp1_fill(spark: SparkSession, sf: str) -> DataFrame:
 def exp2_retrieval(spark: SparkSession, sf: str) -> DataFrame:
     """Retrieval rate by contacts allowed: trie lists, attachment graph of equal degree, diffusion, random peers.
 
-    Test documents are thinned to three holders, as popular ones hide the differences.
+    Test documents are thinned to three holders, as popular ones hide the
+    differences.  The walk's first contact is the list member nearest to the
+    query; ``home counted`` charges the look at home as a contact too.
     """
     w = Interest.load(spark, sf)
     p = sizes(w.profile)
-    hops = [1, 2, 5, 10]
+    n = w.profile.count()
+    hops = [1, *CONTACTS]
     train = materialize(prep.thin_holders(w.train, w.queries.select(F.col("target_doc").alias("doc_id")), 3), "thin")
     s = build(w.profile, n_cc=p["n"], capacity=p["capacity"], delta=0.003)
     known = expand.expand(s.known, w.profile, 10, n_cu=p["n"]).known
-    run = lambda lists, vectors=None: measures.hit_curve(hop.outcomes(hop.chain_hop(w.queries, lists, w.profile, train, max(hops), vectors=vectors)), hops)
-    out = run(known).withColumn("method", F.lit("trie"))
+    run = lambda lists, **options: measures.hit_curve(hop.outcomes(hop.chain_hop(w.queries, lists, w.profile, train, max(hops), **options)), hops)
+    out = run(known).withColumn("method", F.lit("trie")).unionByName(run(known, count_self=True).withColumn("method", F.lit("trie, home counted")))
     graph = materialize(overlay.pa_graph(w.profile, overlay.match_m(known)), "pa")
-    lists = graph.select(F.col("src").alias("user_id"), F.col("dst").alias("peer_id"))
     for alpha in (1.0, 0.9, 0.5, 0.1):
         vectors = diffusion.diffuse(graph, w.profile, alpha)
-        out = out.unionByName(run(lists, vectors).withColumn("method", F.lit(f"graph {alpha:g}")))
-    n = w.profile.count()
+        out = out.unionByName(run(as_lists(graph), vectors=vectors).withColumn("method", F.lit(f"graph {alpha:g}")))
     for h in hops:
-        e = hop.random_query_expected(train, w.queries, h, n).agg(F.lit(h).alias("max_hops"), F.sum("p").cast("long").alias("found"), F.avg("p").alias("rate"))
+        e = hop.random_query_expected(train, w.queries, min(h, n - 1), n).agg(F.lit(h).alias("max_hops"), F.sum("p").cast("long").alias("found"), F.avg("p").alias("rate"))
         out = out.unionByName(e.withColumn("method", F.lit("random peers")))
     return out
 
@@ -179,20 +202,80 @@ def exp3_reach(spark: SparkSession, sf: str) -> DataFrame:
     return out
 
 
+def skewed_users(spark: SparkSession, n: int) -> DataFrame:
+    """Users who arrive one far beyond the other, so that every split parts one from the rest."""
+    return spark.range(n).select(F.col("id").alias("user_id"), F.array(F.pow(F.lit(4.0), F.col("id"))).alias("emb"), F.col("id").alias("arrival"))
+
+
 def exp4_costs(spark: SparkSession, sf: str) -> DataFrame:
-    """Build messages and shape against capacity and threshold over the plain vectors."""
-    profile = T.plain_vectors(spark, sf)
-    n = profile.count()
+    """Build messages, splits and height against users, capacity and threshold; and the degenerate trie.
+
+    ``bound`` is placements times log2(users / capacity) + 1 levels where splits
+    are about even, and users squared for the skewed arrivals.
+    """
+    users = prep.arrival_order(T.plain_vectors(spark, sf))
     out = None
-    for capacity in (20, 50):
-        for delta in (0.0, 0.005):
-            t = build_trie(profile, capacity=capacity, delta=delta)
-            r = measures.build_cost(t.placements, n, 10, splits=t.splits.count(), capacity=capacity).crossJoin(t.nodes.agg(F.max("depth").alias("height"), F.count_if(F.col("kind") == "split").alias("splits")))
-            r = r.withColumn("capacity", F.lit(capacity)).withColumn("delta", F.lit(delta))
-            out = r if out is None else out.unionByName(r)
+    settings = [("vectors", share, capacity, delta) for share in (4, 2, 1) for capacity in (20, 50) for delta in (0.0, 0.005)] + [("skewed", size, 4, 0.0) for size in (50, 100, 200)]
+    for workload, scale, capacity, delta in settings:
+        profile = materialize(skewed_users(spark, scale) if workload == "skewed" else users.filter(F.col("arrival") < (1 << 60) // scale), "cost-users")
+        n = profile.count()
+        t = build_trie(profile, capacity=capacity, delta=delta, max_depth=256)
+        r = measures.build_cost(t.placements, n, 10, splits=t.splits.count(), capacity=capacity).crossJoin(t.nodes.agg(F.max("depth").alias("height"), F.count_if(F.col("kind") == "split").alias("splits"), F.coalesce(F.sum(F.when(F.col("kind") != "split", F.col("n_users"))), F.lit(0)).alias("placements")))
+        bound = F.col("placements") * (F.log2(F.lit(max(n, 1) / capacity)) + 1) if workload == "vectors" else F.lit(float(n) * n)
+        r = r.select(F.lit(workload).alias("workload"), F.lit(n).alias("users"), F.lit(capacity).alias("capacity"), F.lit(delta).alias("delta"), "insertion", "expansion", "reassigned", "total", "height", "splits", "placements", bound.alias("bound"))
+        out = r if out is None else out.unionByName(r)
     return out
 
 
+def exp4_messages(spark: SparkSession, sf: str) -> DataFrame:
+    """Messages and similarities, as counted, of rounds and of queries, against their formulas.
+
+    ``messages`` of r rounds are users times r; those of queries at most queries
+    times the contacts allowed.
+    """
+    w = Interest.load(spark, sf)
+    p = sizes(w.profile)
+    n, asked = w.profile.count(), w.queries.count()
+    s = build(w.profile, n_cc=p["n"], capacity=p["capacity"], delta=0.001)
+    e = expand.expand(s.known, w.profile, 10, n_cu=p["n"], keep_costs=True)
+    rows = []
+    for r in (1, 5, 10):
+        rows.append(("rounds", r, sum(c["messages"] for c in e.costs[:r]), sum(c["similarities"] for c in e.costs[:r]), n * r))
+    train = materialize(prep.thin_holders(w.train, w.queries.select(F.col("target_doc").alias("doc_id")), 3), "thin")
+    for limit in (2, 10, 50):
+        trace = hop.chain_hop(w.queries, e.known, w.profile, train, limit)
+        work = measures.work_count(trace, e.known, train).agg(F.sum("similarities")).first()[0]
+        rows.append(("queries", limit, measures.message_count(hop.outcomes(trace)).first()["messages"], work, asked * limit))
+    return spark.createDataFrame(rows, "kind string, limit int, messages long, similarities long, formula long")
+
+
+def exp5_deployment(spark: SparkSession, sf: str) -> DataFrame:
+    """A trie in service: half of the users, then arrivals by stream, departures, and sparse leaves folded.
+
+    One row per step: users placed, placements, leaves, and offices by what
+    happened to them.
+    """
+    from semtrie.operators import deploy
+    from semtrie.streaming.streams import LiveTrie
+
+    users = prep.arrival_order(T.plain_vectors(spark, sf))
+    early = users.filter(F.col("arrival") < (1 << 59))
+    live = LiveTrie(build_trie(early, capacity=50, delta=0.005), early)
+    row = lambda step, places, offices=0, lost=0: places.agg(F.lit(step).alias("step"), F.count_distinct("user_id").alias("users"), F.count(F.lit(1)).alias("placements"), F.count_distinct("tree_id", "path").alias("leaves"), F.lit(offices).cast("long").alias("offices"), F.lit(lost).cast("long").alias("lost"))
+    directory = deploy.elect_custodians(live.trie.nodes, live.trie.placements)
+    out = row("1 built", live.trie.placements, directory.count())
+    stream = spark.readStream.schema(T.SCHEMAS["embeddings"]).option("pathGlobFilter", "embeddings*.parquet").parquet(sf)
+    arriving = prep.arrival_order(stream.select(F.col("vec_id").alias("user_id"), F.col("embedding").cast("array<double>").alias("emb"))).filter(F.col("arrival") >= (1 << 59))
+    grown = live.follow(arriving)
+    directory = materialize(deploy.elect_custodians(grown.nodes, grown.placements), "directory")
+    out = out.unionByName(row("2 arrivals", grown.placements, directory.count()))
+    stay, after = deploy.leave(grown.placements, directory, users.filter("user_id % 3 = 0").select("user_id"))
+    stay, after = materialize(stay, "stay"), materialize(after, "offices")
+    out = out.unionByName(row("3 departures", stay, after.filter("event <> 'lost'").count(), after.filter("event = 'lost'").count()))
+    folded = deploy.merge_sparse(grown.nodes, stay, capacity=50, min_fill=0.9)
+    return out.unionByName(row("4 folded", materialize(folded, "folded"), after.filter("event <> 'lost'").count(), after.filter("event = 'lost'").count()))
+
+
 def text_vectors(spark: SparkSession, sf: str) -> DataFrame:
     """(doc_id, emb) of the documents' whole texts: the vectors of ``embed_text``, counted by grouping as texts are long."""
     docs = T.table(spark, sf, "documents").select("doc_id", "text")
@@ -227,5 +310,7 @@ EXPERIMENTS = {
     "exp2_retrieval": exp2_retrieval,
     "exp3_reach": exp3_reach,
     "exp4_costs": exp4_costs,
+    "exp4_messages": exp4_messages,
+    "exp5_deployment": exp5_deployment,
     "exp_passages": exp_passages,
 }

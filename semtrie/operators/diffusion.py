@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semtrie.functions.vectors import as_double, vec_add, vec_l2, vec_mean, vec_scale
-from semtrie.plans.store import materialize
+from semtrie.plans.store import discard, materialize
 
 
 def steps_for(alpha: float, tol: float = 1e-3) -> int:
@@ -45,8 +45,10 @@ def diffuse(edges: DataFrame, profile: DataFrame, alpha: float, *, n_iter: int |
         nxt = materialize(mixed.select("user_id", "emb"), f"diffuse-{i}")
         if tol is not None:
             moved = nxt.join(now.withColumnRenamed("emb", "old"), "user_id").agg(F.max(vec_l2(F.col("emb"), F.col("old")))).first()[0]
-            now = nxt
-            if moved is None or moved < tol:
-                break
+        else:
+            moved = None
+        discard(now)
         now = nxt
+        if tol is not None and (moved is None or moved < tol):
+            break
     return now

@@ -12,6 +12,9 @@ from semtrie.functions.vectors import quantise_packed, upper_bound_packed
 from semtrie.operators.neighbors import ranked, units, with_similarity
 from semtrie.plans.store import materialize
 
+#: Listed peers from which on offers are bounded by one-byte components before whole vectors travel.
+QUANTISE_ROWS = 5_000_000
+
 
 @dataclass
 class Expansion:
@@ -75,20 +78,23 @@ def expand(
     until_stable: bool = False,
     patience: int = 2,
     keep_costs: bool = False,
-    quantised: bool = False,
+    quantised: bool | None = None,
 ) -> Expansion:
     """Known lists over ``rounds`` synchronous rounds.
 
     ``ask_from``: closest | known; ``reply_limit``: peers per answer (all, if
     None); ``reply='everything'`` shares without the similarity test.
     ``quantised`` first rules offers out by a bound from one-byte components, so
-    that whole vectors travel for the rest only; the lists are the same.  With
+    that whole vectors travel for the rest only; the lists are the same.  Unless
+    told, that is done once the lists hold more than ``QUANTISE_ROWS`` peers.  With
     ``until_stable`` the loop ends once no closest list changed for ``patience``
     rounds.
     """
+    state = Expansion([materialize(known.select("user_id", "peer_id", "sim", "added_round"), "known-0")])
+    if quantised is None:
+        quantised = state.known.count() > QUANTISE_ROWS
     unit = units(profile)
     unit = materialize(unit.withColumn("q", quantise_packed("unit")) if quantised else unit, "units")
-    state = Expansion([materialize(known.select("user_id", "peer_id", "sim", "added_round"), "known-0")])
     quiet = 0
     for t in range(1, rounds + 1):
         now = state.known

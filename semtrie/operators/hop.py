@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -12,15 +14,17 @@ from semtrie.operators.neighbors import units
 from semtrie.plans.store import materialize
 
 
-#: Queries of one scoring block: more at one user are dealt out, and the user's list goes to each block.
+#: Queries, and listed peers, of one scoring block: more at one user are dealt out, and every part of the one meets every part of the other.
 CHUNK = 8192
+#: Listed peers and vector bytes up to which the whole graph goes to the tasks and walks end there.
+LOCAL_PEERS, LOCAL_BYTES = 1_000_000, 64 << 20
 
 
 def _best_peers(queries: pa.Table, peers: pa.Table, revisit: bool) -> pa.Table:
-    """Next contact of each query at one user: one matrix product, visited peers masked, ties to the smaller id."""
+    """Best peer of each query in one part of a list: one matrix product, visited peers masked, ties to the smaller id."""
     ids = queries.column("query_id")
     if not queries.num_rows or not peers.num_rows:
-        return pa.table({"query_id": ids, "next": pa.nulls(queries.num_rows, pa.int64())})
+        return pa.table({"query_id": ids, "peer": pa.nulls(queries.num_rows, pa.int64()), "score": pa.nulls(queries.num_rows, pa.float64())})
     peer = peers.column("peer_id").to_numpy()
     order = np.argsort(peer, kind="stable")
     peer = peer[order]
@@ -33,22 +37,75 @@ def _best_peers(queries: pa.Table, peers: pa.Table, revisit: bool) -> pa.Table:
             at, met = at[hit], np.array(met)[hit]
             scores[i, at[peer[at] == met]] = -np.inf
     best = scores.argmax(1)
-    some = np.isfinite(scores[np.arange(len(scores)), best])
-    return pa.table({"query_id": ids, "next": pa.array(peer[best], mask=~some)})
+    top = scores[np.arange(len(scores)), best]
+    return pa.table({"query_id": ids, "peer": pa.array(peer[best], mask=~np.isfinite(top)), "score": pa.array(top, mask=~np.isfinite(top))})
 
 
 def next_contacts(open_: DataFrame, peers: DataFrame, revisit: bool) -> DataFrame:
-    """(query_id, next) for open walks (query_id, cur, unit, visited) and lists (cur, peer_id, peer_unit).
+    """(query_id, next) for open walks (query_id, cur, unit, visited) and lists (cur, peer_id, peer_unit, parts).
 
     Walks and lists meet per current user, so a list travels once per block of
-    walks and not once per walk; lists where no walk stands do not travel.
+    walks and not once per walk; lists where no walk stands do not travel, and a
+    hub's list is cut into ``parts``, of whose bests the best is taken.
     """
     blocks = open_.groupBy("cur").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("blocks"))
-    walks = open_.join(blocks, "cur").withColumn("block", F.pmod(F.xxhash64("query_id"), F.col("blocks")).cast("int"))
-    lists = peers.join(blocks, "cur").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
-    walks = walks.select("cur", "block", "query_id", "unit", "visited")
-    lists = lists.select(*[F.col(c).alias(c) for c in ("cur", "block", "peer_id", "peer_unit")])
-    return walks.groupBy("cur", "block").cogroup(lists.groupBy("cur", "block")).applyInArrow(lambda a, b: _best_peers(a, b, revisit), "query_id long, next long")
+    sizes = blocks.join(peers.groupBy("cur").agg(F.max("parts").alias("parts")), "cur", "left")
+    walks = open_.join(sizes, "cur").withColumn("block", F.pmod(F.xxhash64("query_id"), F.col("blocks")).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.coalesce("parts", F.lit(1)) - 1)))
+    lists = peers.join(blocks, "cur").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("part", F.pmod(F.xxhash64("peer_id"), F.col("parts")).cast("int"))
+    walks = walks.select("cur", "block", "part", "query_id", "unit", "visited")
+    key = ["cur", "block", "part"]
+    lists = lists.select(*[F.col(c).alias(c) for c in (*key, "peer_id", "peer_unit")])
+    offers = walks.groupBy(key).cogroup(lists.groupBy(key)).applyInArrow(lambda a, b: _best_peers(a, b, revisit), "query_id long, peer long, score double")
+    # the smallest of (-score, peer) is the best score and, among equals, the smaller id; null where no peer is left
+    return offers.groupBy("query_id").agg(F.min(F.when(F.col("peer").isNotNull(), F.struct((-F.col("score")).alias("s"), "peer"))).alias("b")).select("query_id", F.col("b.peer").alias("next"))
+
+
+def _walk(batches: Iterator[pa.RecordBatch], sent, max_hops: int, first: int, revisit: bool) -> Iterator[pa.RecordBatch]:
+    """Whole walks of a batch of queries over a graph that fits a task: (user, start, stop, peers, units) by place."""
+    users, start, stop, peers, units_ = sent.value
+    for batch in batches:
+        q_out, hop_out, user_out, status_out = [], [], [], []
+        q = unpack(batch.column("unit").to_pylist())
+        for i, (query, cur, holders) in enumerate(zip(batch.column("query_id").to_pylist(), batch.column("cur").to_pylist(), batch.column("holders").to_pylist(), strict=True)):
+            have, met, hop = set(holders or ()), {cur}, first
+            scores = None
+            while True:
+                status = "found" if cur in have else "max_hops" if hop >= max_hops else "open"
+                q_out.append(query)
+                hop_out.append(hop)
+                user_out.append(cur)
+                status_out.append(status)
+                if status != "open":
+                    break
+                at = np.searchsorted(users, cur)
+                row = peers[start[at] : stop[at]] if at < len(users) and users[at] == cur else peers[:0]
+                if scores is None:
+                    scores = np.round(units_[1] @ q[i], 12)
+                s = scores[row]
+                if not revisit:
+                    s = np.where(np.isin(units_[0][row], list(met)), -np.inf, s)
+                if not len(row) or not np.isfinite(s.max()):
+                    q_out.append(query)
+                    hop_out.append(hop)
+                    user_out.append(cur)
+                    status_out.append("dead_end")
+                    break
+                cur = int(units_[0][row[int(s.argmax())]])  # peers lie in id order: the first of equals is the smallest
+                met.add(cur)
+                hop += 1
+        yield pa.RecordBatch.from_arrays([pa.array(q_out, pa.int64()), pa.array(hop_out, pa.int32()), pa.array(user_out, pa.int64()), pa.array(status_out, pa.string())], ["query_id", "hop", "user_id", "status"])
+
+
+def _whole_graph(unit: DataFrame, lists: DataFrame) -> tuple:
+    """Lists and unit vectors as arrays; both were counted first."""
+    vectors = unit.select("id", "unit").toPandas().sort_values("id")
+    ids, x = vectors["id"].to_numpy(), unpack(vectors["unit"])
+    pairs = lists.toPandas().sort_values(["user_id", "peer_id"])
+    place = np.searchsorted(ids, pairs["peer_id"].to_numpy())
+    known = (place < len(ids)) & (ids[np.minimum(place, len(ids) - 1)] == pairs["peer_id"].to_numpy()) if len(ids) else np.zeros(len(pairs), bool)
+    owner, place = pairs["user_id"].to_numpy()[known], place[known]
+    users, start = np.unique(owner, return_index=True)
+    return users, start, np.append(start[1:], len(owner))[: len(users)], place, (ids, x)
 
 
 def chain_hop(
@@ -62,6 +119,7 @@ def chain_hop(
     revisit: bool = False,
     targets: DataFrame | None = None,
     vectors: DataFrame | None = None,
+    local: bool | None = None,
 ) -> DataFrame:
     """Trace (query_id, hop, user_id, status) of every contact.
 
@@ -73,19 +131,36 @@ def chain_hop(
     ``targets(query_id, doc_id)`` gives several acceptable documents.  ``vectors``
     (user_id, emb) replaces the profiles' vectors (diffused ones, say).
 
-    One row per open query and step travels; finished queries leave the loop.
+    A graph counted to be small (``LOCAL_PEERS``, ``LOCAL_BYTES``; ``local`` decides
+    otherwise) goes to the tasks, and every walk ends in one pass whatever
+    ``max_hops``.  A larger one stays distributed: one row per open query and step
+    travels, and finished queries leave the loop.
     """
     unit = materialize(units(vectors if vectors is not None else profile), "hop-units")
-    peers = lists.select("user_id", "peer_id").join(unit.select(F.col("id").alias("peer_id"), F.col("unit").alias("peer_unit")), "peer_id")
-    peers = materialize(peers.select(F.col("user_id").alias("cur"), "peer_id", "peer_unit"), "hop-lists")
     wanted = targets if targets is not None else queries.select("query_id", F.col("target_doc").alias("doc_id"))
-    holders = materialize(wanted.join(holding.select("user_id", "doc_id").distinct(), "doc_id").select("query_id", F.col("user_id").alias("cur")).distinct(), "hop-holders")
-    start = pack_unit(queries.select("query_id", "user_id", "emb")).select("query_id", F.col("user_id").alias("cur"), "unit", F.array("user_id").alias("visited"), F.lit(1 if count_self else 0).alias("hop"))
+    holders = wanted.join(holding.select("user_id", "doc_id").distinct(), "doc_id").select("query_id", F.col("user_id").alias("cur")).distinct()
+    first = 1 if count_self else 0
+    if local is None:
+        size = unit.agg(F.coalesce(F.sum(F.octet_length("unit")), F.lit(0))).first()[0]
+        local = size <= LOCAL_BYTES and lists.count() <= LOCAL_PEERS
+    if local:
+        sent = lists.sparkSession.sparkContext.broadcast(_whole_graph(unit, lists.select("user_id", "peer_id")))
+        # only users of the counted graph, and those who ask, are ever met
+        met = unit.select(F.col("id").alias("cur")).union(queries.select("user_id")).distinct()
+        at = holders.join(met, "cur", "left_semi").groupBy("query_id").agg(F.collect_list("cur").alias("holders"))
+        begin = pack_unit(queries.select("query_id", "user_id", "emb")).select(F.col("query_id").cast("long").alias("query_id"), F.col("user_id").alias("cur"), "unit")
+        walks = begin.join(at, "query_id", "left").select("query_id", "cur", "unit", "holders")
+        return materialize(walks.mapInArrow(lambda b: _walk(b, sent, max_hops, first, revisit), "query_id long, hop int, user_id long, status string"), "walks")
+    peers = lists.select("user_id", "peer_id").join(unit.select(F.col("id").alias("peer_id"), F.col("unit").alias("peer_unit")), "peer_id")
+    parts = lists.groupBy("user_id").agg(F.ceil(F.count(F.lit(1)) / CHUNK).cast("int").alias("parts"))
+    peers = materialize(peers.join(parts, "user_id").select(F.col("user_id").alias("cur"), "peer_id", "peer_unit", "parts"), "hop-lists")
+    holders = materialize(holders, "hop-holders")
+    start = pack_unit(queries.select("query_id", "user_id", "emb")).select("query_id", F.col("user_id").alias("cur"), "unit", F.array("user_id").alias("visited"), F.lit(first).alias("hop"), F.lit(False).alias("stuck"))
 
     def settle(walk: DataFrame) -> DataFrame:
         met = walk.join(holders.withColumn("hit", F.lit(True)), ["query_id", "cur"], "left")
-        status = F.when(F.col("hit"), F.lit("found")).when(F.col("hop") >= max_hops, F.lit("max_hops")).otherwise(F.lit("open"))
-        return met.withColumn("status", status).drop("hit")
+        status = F.when(F.col("stuck"), F.lit("dead_end")).when(F.col("hit"), F.lit("found")).when(F.col("hop") >= max_hops, F.lit("max_hops")).otherwise(F.lit("open"))
+        return met.withColumn("status", status).drop("hit", "stuck")
 
     row = lambda d: d.select("query_id", "hop", F.col("cur").alias("user_id"), "status")
     walk = materialize(settle(start), "walk-0")
@@ -93,10 +168,12 @@ def chain_hop(
     while True:
         open_ = walk.filter("status = 'open'").drop("status")
         best = next_contacts(open_, peers, revisit)
-        moved = open_.join(best, "query_id", "left")
-        stuck = moved.filter("next IS NULL").select("query_id", "hop", F.col("cur").alias("user_id"), F.lit("dead_end").alias("status"))
-        ahead = moved.filter("next IS NOT NULL").select("query_id", F.col("next").alias("cur"), "unit", F.concat("visited", F.array("next")).alias("visited"), (F.col("hop") + 1).alias("hop"))
-        both = materialize(settle(ahead).unionByName(stuck.select("query_id", F.col("user_id").alias("cur"), F.lit(None).cast("binary").alias("unit"), F.array("user_id").alias("visited"), "hop", "status")), "walk")
+        on = F.col("next").isNotNull()
+        # one projection for both outcomes, so that a hop is scored once
+        moved = open_.join(best, "query_id", "left").select(
+            "query_id", F.coalesce("next", "cur").alias("cur"), "unit", F.when(on, F.concat("visited", F.array("next"))).otherwise(F.col("visited")).alias("visited"), (F.col("hop") + on.cast("int")).alias("hop"), (~on).alias("stuck")
+        )
+        both = materialize(settle(moved), "walk")
         trace = trace.unionByName(row(both))
         walk = both
         if both.filter("status = 'open'").isEmpty():

@@ -17,7 +17,7 @@ class Rule:
     clone_on_split: bool = False
     max_iter: int = 20
     max_depth: int = 64
-    max_placements: int = 10_000
+    max_placements: int | None = None
     retry_overfull: bool = False
 
 
@@ -106,7 +106,7 @@ def grow(path: str, x: np.ndarray, users: np.ndarray, gaps: np.ndarray, rule: Ru
         if cut is not None:
             child_gap = np.maximum(own_gaps[row], gap)
             new = gap >= 0
-            if new.any() and rule.max_placements < len(rows) * 2:
+            if new.any() and rule.max_placements is not None:
                 # the cap: a user's clones of smallest gap survive, the original always does
                 room = np.array([rule.max_placements - 1 - made.get(u, 0) for u in users[rows[row]]])
                 drop = new & (room <= 0)

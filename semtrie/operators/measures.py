@@ -28,7 +28,7 @@ def clone_histogram(placements: DataFrame) -> DataFrame:
 
 def leaf_fill(placements: DataFrame) -> DataFrame:
     """Leaves by number of users, as counts and as shares of all leaves."""
-    per = placements.groupBy("path").agg(F.count(F.lit(1)).alias("users"))
+    per = placements.groupBy(*[c for c in ("tree_id", "path") if c in placements.columns]).agg(F.count(F.lit(1)).alias("users"))
     counts = per.groupBy("users").agg(F.count(F.lit(1)).alias("leaves"))
     return counts.withColumn("share", F.col("leaves") / F.sum("leaves").over(Window.partitionBy()))  # one row per fill, at most capacity + a few
 
@@ -88,6 +88,7 @@ def lift(a: DataFrame, b: DataFrame, key: str, value: str) -> DataFrame:
 
 def technique_traits(spark) -> DataFrame:
     """Which traits each family of techniques has."""
+    # The published table of traits.
     rows = [
         ("central trained index", True, False, False, False),
         ("decentralised trained index", True, False, True, False),

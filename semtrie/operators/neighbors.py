@@ -7,9 +7,7 @@ from pyspark.sql import functions as F
 
 from semtrie.functions.hashing import portable_hash
 from semtrie.functions.vectors import dot_packed, pack_unit
-from semtrie.plans.store import materialize
-
-MAX_RING = 256
+from semtrie.plans.store import discard, materialize
 
 
 def units(profile: DataFrame) -> DataFrame:
@@ -28,9 +26,9 @@ def leaf_rings(placements: DataFrame, n_cc: int) -> DataFrame:
     """(tree_id, leaf, other, ring): leaves around each leaf by tree distance, nearest rings first, as far as needed.
 
     Two leaves are at distance D if their paths part below a common ancestor with
-    D steps in all; that is an equi-join of the leaves' prefixes on the ancestor,
-    made for one D at a time and only for leaves that have not yet met ``n_cc``
-    other users.  Never leaf by leaf.
+    D steps in all; that is an equi-join of the leaves' prefixes on the ancestor
+    and the steps left, made for one D at a time and only for leaves that have met
+    neither ``n_cc`` other users nor all users of their tree.  Never leaf by leaf.
     """
     places = placements.select("tree_id", "path", "user_id").distinct()
     leaves = places.groupBy("tree_id", "path").agg(F.count(F.lit(1)).alias("n"))
@@ -41,16 +39,19 @@ def leaf_rings(placements: DataFrame, n_cc: int) -> DataFrame:
     farthest = anc.groupBy("tree_id").agg(F.max("up").alias("h")).agg(F.max("h")).first()[0] or 0
     rings = materialize(leaves.select("tree_id", F.col("path").alias("leaf"), F.col("path").alias("other"), F.lit(0).alias("ring")), "ring-0")
     seen = rings
-    for d in range(2, min(2 * farthest, MAX_RING) + 1):
+    everybody = places.groupBy("tree_id").agg(F.count_distinct("user_id").alias("all"))
+    for d in range(2, 2 * farthest + 1):
         users = seen.join(places.select("tree_id", F.col("path").alias("other"), "user_id"), ["tree_id", "other"])
-        short = users.groupBy("tree_id", "leaf").agg(F.count_distinct("user_id").alias("k")).filter(F.col("k") - 1 < n_cc).select("tree_id", "leaf")
+        short = users.groupBy("tree_id", "leaf").agg(F.count_distinct("user_id").alias("k")).filter(F.col("k") - 1 < n_cc)
+        short = short.join(everybody, "tree_id").filter(F.col("k") < F.col("all")).select("tree_id", "leaf")
         short = materialize(short, f"short-{d}")
         if short.isEmpty():
             break
-        a = anc.join(short, ["tree_id", "leaf"], "left_semi")
+        a = anc.join(short, ["tree_id", "leaf"], "left_semi").withColumn("up_b", d - F.col("up"))
         b = anc.select("tree_id", F.col("leaf").alias("other"), F.col("up").alias("up_b"), "ancestor", F.col("side").alias("side_b"))
-        pairs = a.join(b, ["tree_id", "ancestor"]).filter((F.col("side") != F.col("side_b")) & (F.col("up") + F.col("up_b") == d))
+        pairs = a.join(b, ["tree_id", "ancestor", "up_b"]).filter(F.col("side") != F.col("side_b"))
         seen = seen.unionByName(materialize(pairs.select("tree_id", "leaf", "other", F.lit(d).alias("ring")), f"ring-{d}"))
+        discard(short)
     return seen
 
 

@@ -14,10 +14,9 @@ def overlay_graph(known: DataFrame) -> DataFrame:
 
 
 def numbered(users: DataFrame) -> DataFrame:
-    """Users with a dense number from 0 in id order, without one task ordering all of them.
+    """Users with a dense number from 0 in the order of the portable hash (ties by id), without one task ordering all of them.
 
-    Local ranks within hash ranges of the id plus the ranges' offsets; the order
-    is that of the portable hash, ties by id.
+    Local ranks within ranges of the hash plus the ranges' offsets.
     """
     h = portable_hash("number", F.col("user_id"))
     keyed = users.select("user_id").distinct().withColumn("h", h).withColumn("bucket", F.shiftright("h", 50).cast("int"))
@@ -29,14 +28,23 @@ def numbered(users: DataFrame) -> DataFrame:
 
 
 def random_lists(known: DataFrame, users: DataFrame, seed: int = 42, oversample: int = 4) -> DataFrame:
-    """Random lists as long as each user's known list: hash draws of user numbers, repeats and self dropped."""
+    """Random lists as long as each user's known list (of at most all others).
+
+    Hash draws of user numbers, repeats and self dropped.  For lists that hold
+    more than half of all users such draws would run short: there all users are
+    ranked by a hash, which is of the order of the list itself.
+    """
     number = numbered(users)
     n = number.count()
     wanted = known.groupBy("user_id").agg(F.count(F.lit(1)).alias("k")).withColumn("k", F.least("k", F.lit(n - 1)))
-    draws = wanted.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("k") * oversample + 40)))
+    most = wanted.filter(F.col("k") * 2 > n)
+    ranks = most.withColumn("number", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long")))) if n else most.withColumn("number", F.lit(0).cast("long"))
+    long_ = ranks.join(number.withColumnRenamed("user_id", "peer_id"), "number").filter("user_id <> peer_id").withColumn("i", portable_hash(seed, F.lit("full"), F.col("user_id"), F.col("number")))
+    draws = wanted.filter(F.col("k") * 2 <= n).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("k") * oversample + 40)))
     drawn = draws.withColumn("number", F.pmod(portable_hash(seed, F.lit("list"), F.col("user_id"), F.col("i")), F.lit(n)))
     found = drawn.join(number.withColumnRenamed("user_id", "peer_id"), "number").filter("user_id <> peer_id").groupBy("user_id", "peer_id", "k").agg(F.min("i").alias("i"))
-    w = Window.partitionBy("user_id").orderBy("i")
+    w = Window.partitionBy("user_id").orderBy("i", "peer_id")
+    found = found.select("user_id", "peer_id", "k", F.col("i").cast("long").alias("i")).unionByName(long_.select("user_id", "peer_id", "k", F.col("i").cast("long").alias("i")))
     return found.withColumn("rn", F.row_number().over(w)).filter(F.col("rn") <= F.col("k")).select("user_id", "peer_id")
 
 

@@ -40,3 +40,9 @@ def thin_holders(train: DataFrame, docs: DataFrame, holders: int, seed: int = 42
     wanted = docs.select("doc_id").distinct().withColumn("thin", F.lit(True))
     marked = train.join(wanted, "doc_id", "left").withColumn("rn", F.row_number().over(w))
     return marked.filter(F.col("thin").isNull() | (F.col("rn") <= holders)).select(train.columns)
+
+
+def query_noise(queries: DataFrame, size: float, seed: int = 42) -> DataFrame:
+    """Queries whose vectors are moved by a seeded offset, uniform in (-size / 2, size / 2) per component: a query that is not its document."""
+    draw = lambda i: portable_hash(seed, F.lit("noise"), F.col("query_id"), i) / F.lit(float(1 << 60)) - 0.5
+    return queries.withColumn("emb", F.transform("emb", lambda x, i: x + size * draw(i)))

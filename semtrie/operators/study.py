@@ -8,7 +8,8 @@ from pyspark.sql import functions as F
 from semtrie.functions.ranking import global_rank
 from semtrie.operators.truth import exact_neighbors
 
-SALT = 8
+#: Holders of one document that one task takes from either side of the pairs.
+HOLDERS = 2048
 
 
 def doc_frequency(holding: DataFrame) -> DataFrame:
@@ -18,8 +19,9 @@ def doc_frequency(holding: DataFrame) -> DataFrame:
 def max_cooccurrence(holding: DataFrame, *, max_df: int | None = None, sample: DataFrame | None = None) -> DataFrame:
     """Per user the largest number of documents shared with one other user, and that user (ties: smallest id).
 
-    Pairs are counted over documents held at least twice.  The salt on one side
-    splits a hot document's pairs over several tasks.  ``max_df`` leaves out
+    Pairs are counted over documents held at least twice.  Both sides of a hot
+    document's pairs are cut into parts of about ``HOLDERS`` users by its counted
+    holders, so no task meets more than one part with one part.  ``max_df`` leaves out
     documents held by more users (a stated approximation); ``sample`` restricts
     the users for whom the answer is wanted, keeping it exact for them.
     """
@@ -27,11 +29,13 @@ def max_cooccurrence(holding: DataFrame, *, max_df: int | None = None, sample: D
     df = doc_frequency(held).filter("df >= 2")
     if max_df is not None:
         df = df.filter(F.col("df") <= max_df)
-    kept = held.join(df.select("doc_id"), "doc_id", "left_semi")
+    kept = held.join(df.select("doc_id", F.ceil(F.col("df") / HOLDERS).cast("int").alias("parts")), "doc_id")
     left = kept if sample is None else kept.join(sample.select("user_id").distinct(), "user_id", "left_semi")
-    left = left.withColumn("salt", F.pmod(F.xxhash64("user_id"), F.lit(SALT)))
-    right = kept.select(F.col("user_id").alias("other"), "doc_id").withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALT - 1).cast("long"))))
-    shared = left.join(right, ["doc_id", "salt"]).filter("user_id <> other").groupBy("user_id", "other").agg(F.count(F.lit(1)).alias("n"))
+    own = lambda c: F.pmod(F.xxhash64(c), F.col("parts")).cast("int")
+    every = F.explode(F.sequence(F.lit(0), F.col("parts") - 1))
+    left = left.withColumn("mine", own("user_id")).withColumn("theirs", every).drop("parts")
+    right = kept.select(F.col("user_id").alias("other"), "doc_id", "parts").withColumn("theirs", own("other")).withColumn("mine", every).drop("parts")
+    shared = left.join(right, ["doc_id", "mine", "theirs"]).filter("user_id <> other").groupBy("user_id", "other").agg(F.count(F.lit(1)).alias("n"))
     # the smallest struct of (-n, other) is the largest count and, among equals, the smallest id
     best = shared.groupBy("user_id").agg(F.min(F.struct((-F.col("n")).alias("m"), "other")).alias("b"))
     users = (held if sample is None else held.join(sample.select("user_id").distinct(), "user_id", "left_semi")).select("user_id").distinct()

@@ -23,12 +23,15 @@ from pyspark.sql import functions as F
 from semtrie.functions.vectors import as_double
 from semtrie.operators.kernels import Rule, grow, scaled, split, two_means
 from semtrie.operators.prep import arrival_order
-from semtrie.plans.store import materialize
+from semtrie.plans.planner import plan_build
+from semtrie.plans.store import discard, materialize
 
 NODE = "tree_id string, path string, depth int, kind string, c0 array<double>, c1 array<double>, n_users long, steps int"
 PLACE = "tree_id string, user_id long, path string, gap double"
-#: Large nodes of one level; their centres travel with the tasks (2 vectors each).
-MAX_LEVEL_NODES = 20_000
+#: Large nodes of one level, and bytes of their centres (two vectors each), which are sent to the tasks; the rest waits for the next pass.
+MAX_LEVEL_NODES, MAX_LEVEL_BYTES = 20_000, 64 << 20
+#: Rows of one finishing task, less where vectors are long.
+LOCAL_ROWS = 20_000
 
 
 @dataclass(frozen=True)
@@ -121,32 +124,49 @@ def _route(batches: Iterator[pa.RecordBatch], centres: dict, rule: Rule) -> Iter
 FRONTIER = "tree_id string, path string, user_id long, arrival long, emb array<double>, gap double"
 
 
-def build_trie(profile: DataFrame, *, seed: int = 42, tree_key: str | None = None, local_rows: int = 20_000, **options) -> Trie:
+def build_trie(profile: DataFrame, *, seed: int = 42, tree_key: str | None = None, local_rows: int | None = None, **options) -> Trie:
     """Trie over ``profile(user_id, emb)``, or a forest with one tree per value of ``tree_key``.
 
     Options (see ``kernels.Rule``): ``capacity`` 50; ``delta`` 0.001, the largest
     difference of the two distances, exclusive, at which a user follows both
     sides; ``metric`` l2 | l2_unit | l2_rms; ``clone_on_split`` also for the head's
-    members; ``max_iter``; ``max_depth``; ``max_placements`` per user;
-    ``retry_overfull``.  A node whose head cannot be separated stays a leaf,
-    marked ``overfull``.
+    members; ``max_iter``; ``max_depth``; ``max_placements`` per user (none by
+    default: no placement is dropped unless asked); ``retry_overfull``.  A node
+    whose head cannot be separated stays a leaf, marked ``overfull``.
+    ``local_rows`` is the size up to which a node is finished in one task; by
+    default what ``planner.plan_build`` allows for the vectors' length.
     """
-    spark = profile.sparkSession
     rule = Rule(**options)
     rows = profile if "arrival" in profile.columns else arrival_order(profile, seed)
     tree = F.lit("") if tree_key is None else F.coalesce(F.col(tree_key).cast("string"), F.lit("null"))
     frontier = rows.select(tree.alias("tree_id"), F.lit("").alias("path"), F.col("user_id").cast("long").alias("user_id"), F.col("arrival").cast("long").alias("arrival"), as_double(F.col("emb")).alias("emb"), F.lit(-1.0).alias("gap"))
-    nodes, done, level = [], [], 0
+    return _grow_all(frontier, rule, local_rows)
+
+
+def _grow_all(frontier: DataFrame, rule: Rule, local_rows: int | None) -> Trie:
+    """The subtrees below the nodes (tree_id, path) of ``frontier``, whose rows came in order of arrival."""
+    spark = frontier.sparkSession
+    one = frontier.select(F.size("emb").alias("dim")).first()
+    dim = max(1, one["dim"]) if one else 1
+    if local_rows is None:
+        local_rows = min(LOCAL_ROWS, plan_build(0, dim, capacity=rule.capacity).local_rows)
+    at_once = max(1, min(MAX_LEVEL_NODES, MAX_LEVEL_BYTES // (16 * dim)))
+    nodes, done, level, superseded = [], [], 0, []
     while True:
         sizes = frontier.groupBy("tree_id", "path").agg(F.count(F.lit(1)).alias("n"))
-        large = sizes.filter((F.col("n") > local_rows) & (F.char_length("path") < rule.max_depth)).limit(MAX_LEVEL_NODES + 1).collect()
-        if len(large) > MAX_LEVEL_NODES:
-            raise ValueError("too many large nodes on one level: raise local_rows")
+        is_large = (F.col("n") > local_rows) & (F.char_length("path") < rule.max_depth)
+        large = sizes.filter(is_large).orderBy(F.desc("n"), "tree_id", "path").limit(at_once).collect()
         if not large:
             done.append(frontier)
             break
         keys = F.broadcast(spark.createDataFrame([(r["tree_id"], r["path"]) for r in large], "tree_id string, path string"))
         big = frontier.join(keys, ["tree_id", "path"], "left_semi")
+        others = frontier.join(keys, ["tree_id", "path"], "left_anti")
+        waiting = None
+        if len(large) == at_once:
+            rest = sizes.filter(is_large).join(keys, ["tree_id", "path"], "left_anti").select("tree_id", "path")
+            waiting = others.join(rest, ["tree_id", "path"], "left_semi")
+            others = others.join(rest, ["tree_id", "path"], "left_anti")
         w = Window.partitionBy("tree_id", "path").orderBy("arrival", "user_id")
         heads = big.withColumn("rn", F.row_number().over(w)).filter(F.col("rn") <= rule.capacity + 1).drop("rn", "gap")
         cut = heads.groupBy("tree_id", "path").applyInArrow(lambda t: _head(t, rule), "tree_id string, path string, c0 array<double>, c1 array<double>, steps int, last_arrival long, last_user long").collect()
@@ -155,13 +175,15 @@ def build_trie(profile: DataFrame, *, seed: int = 42, tree_key: str | None = Non
         closed = [k for k in size_of if k not in centres]
         nodes += [(k[0], k[1], len(k[1]), "split", c[0].tolist(), c[1].tolist(), size_of[k], s) for (k, c), s in zip(centres.items(), [r["steps"] for r in cut if r["c0"] is not None], strict=True)]
         nodes += [(k[0], k[1], len(k[1]), "overfull", None, None, size_of[k], 0) for k in closed]
-        done.append(frontier.join(keys, ["tree_id", "path"], "left_anti"))
+        done.append(others)
         if closed:
             shut = F.broadcast(spark.createDataFrame(closed, "tree_id string, path string"))
             done.append(("placed", big.join(shut, ["tree_id", "path"], "left_semi")))
             big = big.join(shut, ["tree_id", "path"], "left_anti")
-        moved = big.select("tree_id", "path", "user_id", "arrival", "emb", "gap").mapInArrow(lambda b, c=centres: _route(b, c, rule), FRONTIER)
-        frontier = materialize(moved, f"trie-level-{level}")
+        sent = spark.sparkContext.broadcast(centres)
+        moved = big.select("tree_id", "path", "user_id", "arrival", "emb", "gap").mapInArrow(lambda b, c=sent: _route(b, c.value, rule), FRONTIER)
+        frontier = materialize(moved if waiting is None else moved.unionByName(waiting), f"trie-level-{level}")
+        superseded.append(frontier)
         level += 1
     grown, placed = [], []
     for part in done:
@@ -178,12 +200,44 @@ def build_trie(profile: DataFrame, *, seed: int = 42, tree_key: str | None = Non
     places = made.filter("kind <> 'split'").select("tree_id", F.explode(F.arrays_zip("users", "gaps")).alias("u"), "path").select("tree_id", F.col("u.users").alias("user_id"), "path", F.col("u.gaps").alias("gap"))
     for p in placed:
         places = places.unionByName(p)
-    if rule.max_placements < Rule.max_placements:
+    if not placed:  # the finished rows are in ``made``, and nothing else reads the levels
+        for d in superseded:
+            discard(d)
+    if rule.max_placements is not None:
         w = Window.partitionBy("tree_id", "user_id").orderBy("gap", "path")
         places = places.withColumn("rn", F.row_number().over(w)).filter(F.col("rn") <= rule.max_placements).drop("rn")
     return Trie(all_nodes, places, rule, level)
 
 
+def insert_trie(trie: Trie, members: DataFrame, new: DataFrame, *, seed: int = 42, local_rows: int | None = None) -> Trie:
+    """The trie after users arrived at a live one: the one a rebuild in order of arrival gives.
+
+    ``members(user_id, emb, arrival)`` are the users it holds, ``new(user_id, emb)``
+    come after them, in the order of their own ``arrival`` if they have one or of
+    its hash.  New users walk down to their leaves (and both sides of a boundary
+    within ``delta``); a leaf that overflows is split among its members by order of
+    arrival, as often as needed; other leaves and all split nodes stay as they
+    are.  One tree; several are inserted into one by one.
+    """
+    if trie.rule.max_placements is not None:
+        raise ValueError("a cap on placements is set over the whole trie: rebuild")
+    fresh = materialize((new if "arrival" in new.columns else arrival_order(new, seed)).select(F.col("user_id").cast("long").alias("user_id"), as_double(F.col("emb")).alias("emb"), F.col("arrival").cast("long").alias("arrival")), "arrived")
+    landed = materialize(join_trie(fresh, trie).select("tree_id", "user_id", "path"), "landed")
+    touched = materialize(landed.select("tree_id", "path").distinct(), "touched")
+    old = trie.placements.select("tree_id", "user_id", "path").join(touched, ["tree_id", "path"], "left_semi")
+    vectors = lambda d: d.select("user_id", as_double(F.col("emb")).alias("emb"), F.col("arrival").cast("long").alias("arrival"))
+    # whoever was there came before whoever arrives now, whatever the numbers
+    last = members.agg(F.max("arrival")).first()[0]
+    first = fresh.agg(F.min("arrival")).first()[0]
+    shift = max(0, (last + 1 - first)) if last is not None and first is not None else 0
+    rows = old.join(vectors(members), "user_id").unionByName(landed.join(fresh.withColumn("arrival", F.col("arrival") + shift), "user_id"))
+    frontier = materialize(rows.select("tree_id", "path", "user_id", "arrival", "emb", F.lit(-1.0).alias("gap")), "overflow")
+    grown = _grow_all(frontier, trie.rule, local_rows)
+    nodes = trie.nodes.join(touched, ["tree_id", "path"], "left_anti").select(*trie.nodes.columns).unionByName(grown.nodes)
+    places = trie.placements.join(touched, ["tree_id", "path"], "left_anti").select(*trie.placements.columns).unionByName(grown.placements)
+    return Trie(materialize(nodes, "nodes"), materialize(places, "placements"), trie.rule, trie.levels)
+
+
 def descend(x: np.ndarray, centres: dict[str, tuple[np.ndarray, np.ndarray]], delta: float) -> tuple[np.ndarray, list[str], np.ndarray]:
     """(row, leaf path, contacts made) of every placement of new rows in a frozen trie."""
     rows, paths, steps = [], [], []

@@ -2,18 +2,19 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from semtrie.functions.vectors import pack_unit, unpack
+from semtrie.plans.store import materialize
 
-BLOCK = 4096
-#: Queries of one call; more are processed in several passes, so that what is sent to all tasks stays bounded.
-QUERIES = 20_000
+#: Rows of one block of items and of one block of queries.
+ITEMS = 32_768
+QUERIES = 4_096
+#: Blocks of items that even a small table is cut into, so that all cores take part, and the least rows worth a block.
+SPREAD, LEAST = 16, 256
 
 
 def top_k(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -32,38 +33,42 @@ def top_k(scores: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.n
     return np.concatenate(rows) if rows else np.zeros(0, int), np.concatenate(cols) if cols else np.zeros(0, int)
 
 
+def _block(queries: pa.Table, items: pa.Table, k: int, exclude_same: bool) -> pa.Table:
+    """Exact top k of one block of items for one block of queries: one matrix product, in slices."""
+    rows, found, sims = [], [], []
+    if queries.num_rows and items.num_rows:
+        qid, ids = queries.column("id").to_numpy(), items.column("id").to_numpy()
+        q, x = unpack(queries.column("unit").to_pylist()), unpack(items.column("unit").to_pylist())
+        for lo in range(0, len(qid), 256):
+            s = q[lo : lo + 256] @ x.T
+            if exclude_same:
+                s[qid[lo : lo + 256][:, None] == ids[None]] = -np.inf
+            r, c = top_k(s, ids, k)
+            rows.append(qid[lo + r])
+            found.append(ids[c])
+            sims.append(s[r, c])
+    cat = lambda parts, kind: np.concatenate(parts) if parts else np.zeros(0, kind)
+    return pa.table({"query": pa.array(cat(rows, np.int64)), "item": pa.array(cat(found, np.int64)), "sim": pa.array(cat(sims, np.float64))})
+
+
 def blocked_top_k(queries: DataFrame, items: DataFrame, k: int, *, exclude_same: bool) -> DataFrame:
     """(query, item, sim): exact top k of ``items(id, unit)`` for each of ``queries(id, unit)``.
 
-    Both sides are packed unit vectors with bigint ids.  Query blocks are sent to
-    every task in turn, each task keeps k candidates per query and Arrow batch,
-    and a final rank merges them: work is the matrix product, traffic is k rows
-    per query and task.
+    Both sides are packed unit vectors with bigint ids.  Each is dealt into blocks
+    of bounded size and every pair of blocks meets in one task, which keeps k rows
+    per query; a final rank merges them.  Nothing but two counts reaches the
+    driver, and no task holds more than one block of either side.  The exact
+    answer for all N rows is N * N products: at scale pass a sample of queries.
     """
-    spark = items.sparkSession
-    n = queries.count()
-    parts = max(1, -(-n // QUERIES))
-    out = None
-    for p in range(parts):
-        chosen = queries if parts == 1 else queries.filter(F.pmod(F.xxhash64("id"), F.lit(parts)) == p)
-        pdf = chosen.toPandas()  # at most about QUERIES rows
-        sent = spark.sparkContext.broadcast((pdf["id"].to_numpy(), unpack(pdf["unit"])))
-
-        def scan(batches: Iterator[pd.DataFrame], sent=sent) -> Iterator[pd.DataFrame]:
-            qid, q = sent.value
-            for items_ in batches:
-                if not len(items_) or not len(qid):
-                    continue
-                ids, x = items_["id"].to_numpy(), unpack(items_["unit"])
-                for lo in range(0, len(qid), 512):
-                    s = q[lo : lo + 512] @ x.T
-                    if exclude_same:
-                        s[qid[lo : lo + 512][:, None] == ids[None]] = -np.inf
-                    r, c = top_k(s, ids, k)
-                    yield pd.DataFrame({"query": qid[lo + r], "item": ids[c], "sim": s[r, c]})
-
-        found = items.select("id", "unit").mapInPandas(scan, "query long, item long, sim double")
-        out = found if out is None else out.unionByName(found)
+    queries, items = materialize(queries.select("id", "unit"), "queries"), materialize(items.select("id", "unit"), "items")
+    n, m = queries.count(), items.count()
+    i_blocks = max(1, -(-m // ITEMS), min(SPREAD, m // LEAST))
+    q_blocks = max(1, -(-n // QUERIES))
+    deal = lambda blocks: F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")
+    every = lambda blocks: F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
+    q = queries.select(deal(q_blocks).alias("qb"), every(i_blocks).alias("ib"), "id", "unit")
+    x = items.select(every(q_blocks).alias("qb"), deal(i_blocks).alias("ib"), "id", "unit")
+    out = q.groupBy("qb", "ib").cogroup(x.groupBy("qb", "ib")).applyInArrow(lambda a, b: _block(a, b, k, exclude_same), "query long, item long, sim double")
     w = Window.partitionBy("query").orderBy(F.desc(F.round("sim", 12)), "item")
     return out.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 

@@ -110,11 +110,12 @@ walk{i} AS MATERIALIZED (
     return ",\n".join(out)
 
 
-def trie_sql(levels: int, capacity: int, delta: float, steps: int = 5, *, clone_on_split: bool = False, unit: bool = False, source: str = "") -> str:
+def trie_sql(levels: int, capacity: int, delta: float, steps: int = 20, *, clone_on_split: bool = False, unit: bool = False, source: str = "") -> str:
     """node and placement tables of a trie of at most ``levels`` splits in depth over one user per vector.
 
     The level-synchronous build: heads by arrival, a farthest-pair start, a fixed
-    number of averaging steps, routing with clones.
+    number of averaging steps (those after the last change repeat it), routing
+    with clones.  With levels to spare it is the whole trie.
     """
     emb = "list_transform(emb, lambda x: x / sqrt(list_dot_product(emb, emb)))" if unit else "emb"
     src = source or f"SELECT doc_id AS user_id, {emb} AS emb FROM vec"
@@ -143,6 +144,19 @@ m{n + 1} AS MATERIALIZED (
     return ",\n".join(out)
 
 
+def frozen_sql(levels: int, delta: float, source: str, steps: int = 20) -> str:
+    """landed(user_id, path): where the rows of ``source`` (user_id, emb) end in the finished trie of ``trie_sql``."""
+    out = [f"f0 AS MATERIALIZED (SELECT user_id, '' AS path, emb FROM ({source}))"]
+    for n in range(levels):
+        out.append(f"""z{n} AS MATERIALIZED (SELECT f.*, list_distance(f.emb, c0) AS d0, list_distance(f.emb, c1) AS d1 FROM f{n} f JOIN k{n}_{steps} USING (path)),
+f{n + 1} AS MATERIALIZED (
+  SELECT user_id, path || CASE WHEN d0 <= d1 THEN '0' ELSE '1' END AS path, emb FROM z{n}
+  UNION ALL SELECT user_id, path || CASE WHEN d0 <= d1 THEN '1' ELSE '0' END, emb FROM z{n} WHERE abs(d0 - d1) < {delta!r})""")
+    ends = [f"SELECT user_id, path FROM f{n} WHERE path NOT IN (SELECT path FROM k{n}_{steps})" for n in range(levels)] + [f"SELECT user_id, path FROM f{levels}"]
+    out.append("landed AS MATERIALIZED (" + " UNION ALL ".join(ends) + ")")
+    return ",\n".join(out)
+
+
 def diffuse_sql(alpha: float, steps: int, edges: str) -> str:
     """v0 .. vT: repeated mixing of own vectors with the mean of the neighbours'."""
     out = ["v0 AS MATERIALIZED (SELECT user_id, emb FROM profile)"]
@@ -174,11 +188,13 @@ pa AS MATERIALIZED (SELECT src, dst FROM one UNION SELECT dst, src FROM one)"""
 
 def random_lists_sql(known: str, out: str = "rlists", users: str = "numbered", seed: int = 42) -> str:
     return f"""{out}_w AS MATERIALIZED (SELECT user_id, least(count(*), (SELECT count(*) - 1 FROM {users})) AS k FROM {known} GROUP BY 1),
-{out}_d AS MATERIALIZED (SELECT user_id, k, i, {h(f"'{seed}'", "'list'", "user_id", "i")} % (SELECT count(*) FROM {users}) AS number FROM (SELECT user_id, k, unnest(range(0, k * 4 + 41)) AS i FROM {out}_w)),
+{out}_d AS MATERIALIZED (SELECT user_id, k, i, {h(f"'{seed}'", "'list'", "user_id", "i")} % (SELECT count(*) FROM {users}) AS number FROM (SELECT user_id, k, unnest(range(0, k * 4 + 41)) AS i FROM {out}_w WHERE 2 * k <= (SELECT count(*) FROM {users}))),
 {out} AS MATERIALIZED (
   SELECT user_id, peer_id FROM (
     SELECT d.user_id, n.user_id AS peer_id, any_value(k) AS k, row_number() OVER (PARTITION BY d.user_id ORDER BY min(i)) AS rn
-    FROM {out}_d d JOIN {users} n USING (number) WHERE d.user_id <> n.user_id GROUP BY 1, 2) WHERE rn <= k)"""
+    FROM {out}_d d JOIN {users} n USING (number) WHERE d.user_id <> n.user_id GROUP BY 1, 2
+    UNION ALL SELECT w.user_id, n.user_id, k, row_number() OVER (PARTITION BY w.user_id ORDER BY {h(f"'{seed}'", "'full'", "w.user_id", "number")}, n.user_id)
+    FROM {out}_w w CROSS JOIN {users} n WHERE w.user_id <> n.user_id AND 2 * k > (SELECT count(*) FROM {users})) WHERE rn <= k)"""
 
 
 def bfs_sql(edges: str, depth: int, docs: str) -> str:

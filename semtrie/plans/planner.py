@@ -27,16 +27,10 @@ def plan_build(users: int, dim: int, *, capacity: int = 50, mean_placements: flo
     return BuildPlan(local, levels, 2 ** max(0, levels - 1) * 2 * dim * 8 / 1e6)
 
 
-def truth_work(users: int, sample: int, dim: int) -> dict[str, float]:
-    """Multiplications and passes of the exact nearest users for a sample."""
-    from semtrie.operators.truth import QUERIES
-
-    return {"products": float(users) * sample * dim, "passes": -(-sample // QUERIES)}
-
-
-def expansion_traffic(users: int, list_size: float, dim: int) -> dict[str, float]:
-    """Bytes of one round if peers' vectors travel to the asker, or the asker's to the answerer."""
-    return {"peer_vectors": users * list_size * dim * 8.0, "asker_vectors": users * dim * 8.0}
+def shuffled_bytes(spark) -> int:
+    """Bytes that the session's tasks have written to shuffles so far: the difference over a step is its traffic."""
+    found = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(found.apply(i).totalShuffleWrite() for i in range(found.size()))
 
 
 def executed_plan(df: DataFrame) -> str:

@@ -12,9 +12,18 @@ from pyspark.sql import SparkSession
 
 _shipped: set[str] = set()
 
+ARROW_BYTES, UNBOUNDED = "spark.sql.execution.arrow.maxBytesPerBatch", (1 << 31) - 1
+BATCH_BYTES = 64 << 20
+
 
 def ship(spark: SparkSession) -> None:
-    """Send the package to the executors once per application; a later executor fetches it on its first task."""
+    """Send the package to the executors once per application; a later executor fetches it on its first task.
+
+    Also bounds Arrow batches in bytes where the session does not: by rows alone,
+    some thousand very long texts would meet in one Python worker.
+    """
+    if int(spark.conf.get(ARROW_BYTES, str(UNBOUNDED))) >= UNBOUNDED:
+        spark.conf.set(ARROW_BYTES, str(BATCH_BYTES))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return

@@ -7,14 +7,14 @@ cast it to a timestamp (session time zone UTC) first.
 from __future__ import annotations
 
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from semtrie.plans.store import shared_dir
+from semtrie.plans.store import materialize, shared_dir
 from semtrie.sources.tables import SCHEMAS
 
 LATENESS = "30 days"
@@ -101,16 +101,42 @@ def streaming_profiles(stream: DataFrame, doc_vectors: DataFrame, doc_col: str =
     return joined.groupBy("user_id").applyInPandasWithState(_fold, PROFILE, "n long, total array<double>", "update", "EventTimeTimeout")
 
 
-def place_arrivals(profiles: DataFrame, trie, on_batch: Callable[[DataFrame, int], None] | None = None):
-    """A foreachBatch sink body: re-route changed profiles in the frozen trie and hand the placements on."""
-    from semtrie.operators.trie import join_trie
+class LiveTrie:
+    """A trie that grows with a stream of new users: the body of a foreachBatch sink.
+
+    Each batch is inserted by ``insert_trie``, so leaves that overflow split.  A
+    batch number seen before is a retry and changes nothing.  ``members`` are the
+    users held so far with their order of arrival.
+    """
+
+    def __init__(self, trie, members: DataFrame):
+        self.trie = trie
+        self.members = members.select("user_id", "emb", "arrival")
+        self.batch = -1
+
+    def __call__(self, batch: DataFrame, number: int) -> None:
+        from semtrie.operators.trie import insert_trie
 
-    def body(batch: DataFrame, number: int) -> None:
-        placed = join_trie(batch.select("user_id", "emb"), trie)
-        if on_batch:
-            on_batch(placed, number)
+        if number <= self.batch:
+            return
+        fresh = materialize(batch.select("user_id", "emb", "arrival"), "batch")
+        self.trie = insert_trie(self.trie, self.members, fresh)
+        self.members = self.members.unionByName(fresh)
+        self.batch = number
+
+    def follow(self, stream: DataFrame):
+        """Insert all that the stream of (user_id, emb, arrival) has now."""
+        base = f"{shared_dir(stream.sparkSession)}/semtrie/live-{uuid.uuid4().hex}"
+        query = stream.writeStream.option("checkpointLocation", base).trigger(availableNow=True).foreachBatch(self).start()
+        query.awaitTermination()
+        return self.trie
+
+
+def reroute(profiles: DataFrame, trie) -> DataFrame:
+    """(user_id, path) of users whose profiles have moved: each walks down the trie again."""
+    from semtrie.operators.trie import join_trie
 
-    return profiles.writeStream.outputMode("update").foreachBatch(body)
+    return join_trie(profiles.select("user_id", "emb"), trie).select("user_id", "path")
 
 
 def answered_queries(queries: DataFrame, accesses: DataFrame, within: str = "INTERVAL 1 HOUR") -> DataFrame:

@@ -102,6 +102,22 @@ def test_chain_hop_on_a_ring(ring):
     assert ends(hop.chain_hop(queries, lists, profile, holding, 10, targets=several))[3] == ("found", 5)
 
 
+def test_walks_in_one_pass_equal_walks_hop_by_hop(spark, sf01):
+    s = X.coded(spark, sf01)
+    key = lambda d: sorted((r.query_id, r.hop, r.user_id, r.status) for r in d.collect())
+    hubs = s.known.select("user_id", "peer_id").union(s.workload.profile.select(F.lit(s.workload.profile.agg(F.min("user_id")).first()[0]).alias("user_id"), F.col("user_id").alias("peer_id"))).filter("user_id <> peer_id").distinct()
+    for options in ({}, {"revisit": True}, {"count_self": True}):
+        assert key(X.walk(s, 4, lists=hubs, local=True, **options)) == key(X.walk(s, 4, lists=hubs, local=False, **options))
+
+
+def test_long_lists_are_cut_into_parts(ring, monkeypatch):
+    profile, lists, holding, queries = ring
+    monkeypatch.setattr(hop, "CHUNK", 2)
+    everybody = profile.select("user_id").crossJoin(profile.select(F.col("user_id").alias("peer_id"))).filter("user_id <> peer_id")
+    key = lambda d: sorted((r.query_id, r.hop, r.user_id, r.status) for r in d.collect())
+    assert key(hop.chain_hop(queries, everybody, profile, holding, 5, local=False)) == key(hop.chain_hop(queries, everybody, profile, holding, 5, local=True))
+
+
 def test_hit_curve_and_work(ring, spark):
     profile, lists, holding, queries = ring
     trace = hop.chain_hop(queries, lists, profile, holding, 10)
@@ -176,6 +192,30 @@ def test_random_lists_have_equal_length_and_no_self(toy, spark):
     assert all(r.user_id != r.peer_id for r in got)
 
 
+@pytest.mark.parametrize("n", [2, 3, 12, 40])
+def test_random_lists_of_nearly_everybody_are_complete(spark, n):
+    users = spark.range(n).select(F.col("id").alias("user_id"))
+    for want in (n - 1, max(1, n - 2), n // 2, n + 5):
+        quota = users.withColumn("peer_id", F.explode(F.sequence(F.lit(1), F.lit(want))))
+        got = overlay.random_lists(quota, users).groupBy("user_id").agg(F.count_distinct("peer_id").alias("k")).collect()
+        assert len(got) == n and all(r.k == min(want, n - 1) for r in got)
+
+
+def test_contacts_reach_beyond_any_ring(spark):
+    # a caterpillar: leaves 1, 01, 001, ... lie ever farther apart
+    paths = ["0" * i + "1" for i in range(12)]
+    places = spark.createDataFrame([("", i, p) for i, p in enumerate(paths)], "tree_id string, user_id long, path string")
+    rings = neighbors.leaf_rings(places.filter("user_id IN (0, 11)"), 1).filter("ring > 0").collect()
+    assert {(r.leaf, r.other, r.ring) for r in rings} == {(paths[0], paths[11], 13), (paths[11], paths[0], 13)}
+
+
+def test_hot_documents_are_cut_on_both_sides(spark, monkeypatch):
+    monkeypatch.setattr(study, "HOLDERS", 3)
+    holding = spark.createDataFrame([(u, d) for u in range(20) for d in (1, 2)] + [(0, 3), (1, 3)], "user_id long, doc_id long")
+    got = {r.user_id: (r.max_shared, r.partner) for r in study.max_cooccurrence(holding).collect()}
+    assert got == {u: (3, 1 - u) if u < 2 else (2, 0) for u in range(20)}
+
+
 def test_random_query_rate_agrees_with_its_simulation(spark, sf01):
     w = X.Interest.load(spark, sf01)
     p = [r.p for r in hop.random_query_expected(w.train, w.queries, 10, w.profile.count()).collect()]
@@ -234,15 +274,67 @@ def test_embedding_models(spark):
     assert {r.id: r.emb for r in custom.collect()} == {1: [9.0], 2: [0.0], 3: [0.0]}
 
 
-def test_shapes_of_the_experiments(spark, sf01):
+def test_shapes_of_the_experiments(spark, sf01, monkeypatch):
+    assert X.ROUNDS == 20
+    monkeypatch.setattr(X, "ROUNDS", 5)  # the shape shows early
     rows = {(r.method, r["round"]): r.recall for r in X.exp1_recall(spark, sf01).collect()}
     assert rows["trie 0.001", 0] > 3 * rows["random lists", 0]  # the trie leads at the start
     assert rows["trie 0", 5] - rows["trie 0", 0] < 1  # without clones rounds hardly help
     assert rows["trie 0.003", 5] - rows["trie 0.003", 0] > 2  # with them they do
+    assert {m for m, _ in rows} == {"trie 0", "trie 0.0005", "trie 0.001", "trie 0.003", "random lists", "attachment graph"} and max(t for _, t in rows) == 5
+    assert rows["trie 0.001", 0] > rows["attachment graph", 0]
     clones = {round(r.delta, 5): r["mean"] for r in X.exp1_clones(spark, sf01).collect()}
     assert clones[0.0] == 1 and clones[0.003] > clones[0.001] > clones[0.0001]
 
 
+def test_clone_and_fill_tables_against_insertion(spark, sf, sf01):
+    from semtrie.operators.kernels import Rule, grow_one_by_one
+    from semtrie.sources import tables as T
+
+    def placed(rows, **rule):
+        order = sorted(rows, key=lambda r: (r.arrival, r.user_id))
+        leaves = grow_one_by_one(np.array([r.emb for r in order], dtype=float), np.array([r.user_id for r in order]), Rule(**rule))
+        return {p: u for p, u in leaves.items() if u}
+
+    w = X.Interest.load(spark, sf)
+    rows, p = prep.arrival_order(w.profile).collect(), X.sizes(w.profile)
+    got = {r.delta: (r.users, r["mean"], r.std_pop) for r in X.exp1_clones(spark, sf).collect()}
+    assert set(got) == set(X.THRESHOLDS)
+    for delta in X.THRESHOLDS:
+        per = {}
+        for us in placed(rows, capacity=p["capacity"], delta=delta).values():
+            for u in us:
+                per[u] = per.get(u, 0) + 1
+        n = list(per.values())
+        assert got[delta][0] == len(n) and np.allclose(got[delta][1:], (np.mean(n), np.std(n)))
+    rows = prep.arrival_order(T.plain_vectors(spark, sf01)).collect()
+    fill = {}
+    for r in X.exp1_fill(spark, sf01).collect():
+        fill.setdefault(r.delta, {})[r.users] = r.leaves
+    for delta in (0.0, 0.005):
+        sizes = [len(u) for u in placed(rows, capacity=50, delta=delta).values()]
+        assert fill[delta] == {s: sizes.count(s) for s in set(sizes)}
+
+
+def test_costs_follow_their_formulas(spark, sf):
+    rows = X.exp4_costs(spark, sf).collect()
+    assert {r.users for r in rows if r.workload == "skewed"} == {50, 100, 200} and len(rows) == 15
+    for r in rows:
+        assert r.expansion == 10 * r.users and r.total == r.insertion + r.expansion
+        if r.workload == "skewed":  # every split parts one user: height near N, insertion near N * N / 2
+            assert r.height >= 0.9 * (r.users - r.capacity) and 0.3 * r.bound < r.insertion < r.bound
+        else:
+            assert r.insertion <= 2.5 * r.bound
+    for r in X.exp4_messages(spark, sf).collect():
+        assert r.messages == r.formula if r.kind == "rounds" else r.messages <= r.formula
+
+
+def test_a_trie_in_service(spark, sf):
+    rows = {r.step[0]: r for r in X.exp5_deployment(spark, sf).collect()}
+    assert rows["1"].users < rows["2"].users == 500 and rows["2"].leaves > rows["1"].leaves
+    assert rows["3"].users == 333 and rows["4"].users == 333 and rows["4"].leaves <= rows["3"].leaves
+
+
 def test_global_rank_equals_one_sort(spark):
     from semtrie.functions.ranking import global_rank
 

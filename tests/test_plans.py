@@ -1,8 +1,9 @@
+import pytest
 from pyspark.sql import functions as F
 
 from semtrie.operators import prep, profiles, truth
 from semtrie.operators.neighbors import ranked
-from semtrie.plans.planner import executed_plan, plan_build
+from semtrie.plans.planner import executed_plan, plan_build, shuffled_bytes
 from semtrie.sources import sinks
 from semtrie.sources import tables as T
 from semtrie.streaming import streams as S
@@ -40,6 +41,62 @@ def test_build_plan_bounds_a_task():
     assert p.local_rows * 8 * 768 * 4 <= 256e6 and 10 <= p.outer_levels <= 20
 
 
+def test_scratch_tables_need_a_shared_folder_on_a_cluster(spark):
+    from types import SimpleNamespace as Of
+
+    from semtrie.plans import store
+
+    def session(master, conf=None, given=None):
+        folder = Of(isDefined=lambda: given is not None, get=lambda: given)
+        context = Of(master=master, applicationId="app", _jsc=Of(sc=lambda: Of(getCheckpointDir=lambda: folder)))
+        return Of(conf=Of(get=lambda name, default: conf or default), sparkContext=context)
+
+    assert store.is_local("local") and store.is_local("local[8]") and not any(map(store.is_local, ("yarn", "spark://h:7077", "local-cluster[2,1,1024]")))
+    assert store.shared_dir(session("yarn", "hdfs:///a/", "hdfs:///b")) == "hdfs:///a" and store.shared_dir(session("yarn", None, "hdfs:///b")) == "hdfs:///b"
+    assert store.shared_dir(session("local[2]")).startswith("file:///")
+    with pytest.raises(ValueError):
+        store.shared_dir(session("yarn"))
+    table = store.materialize(spark.range(3), "gone")
+    store.discard(table)
+    with pytest.raises(Exception, match="PATH_NOT_FOUND|FILE_NOT_EXIST|does not exist"):
+        spark.read.parquet(table._scratch_path).count()
+
+
+def test_the_graph_stays_off_the_driver_when_walks_are_distributed(spark, sf01, monkeypatch):
+    from semtrie import experiments as X
+    from semtrie.operators import hop
+
+    s = X.coded(spark, sf01)
+    monkeypatch.setattr(hop, "_whole_graph", lambda *a: 1 / 0)
+    assert not X.walk(s, 1, local=False).isEmpty()
+    monkeypatch.setattr(hop, "LOCAL_PEERS", 10)  # counted: above the bound the graph is not sent
+    assert not X.walk(s, 1).isEmpty()
+
+
+def test_shuffled_bytes_are_counted(spark):
+    before = shuffled_bytes(spark)
+    spark.range(10_000).repartition(5).count()
+    assert shuffled_bytes(spark) > before
+
+
+def test_placements_by_prefix_and_by_bucket(spark, tmp_path):
+    places = spark.createDataFrame([("", 1, "0101"), ("", 2, "1"), ("", 3, "")], "tree_id string, user_id long, path string")
+    sinks.write_placements(places, str(tmp_path / "p"))
+    back = spark.read.parquet(str(tmp_path / "p"))
+    assert {(r.user_id, r.path) for r in back.collect()} == {(1, "0101"), (2, "1"), (3, "")}
+    assert "PartitionFilters: [isnotnull(path_prefix" in executed_plan(back.filter("path_prefix = '0101'"))
+    spark.sql("CREATE DATABASE IF NOT EXISTS buckets_test LOCATION '" + str(tmp_path / "db") + "'")
+    for name in ("a", "b"):
+        sinks.save_bucketed(places, f"buckets_test.{name}", buckets=4)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plan = executed_plan(spark.table("buckets_test.a").join(spark.table("buckets_test.b"), "user_id"))
+        assert "Exchange" not in plan
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+        spark.sql("DROP DATABASE buckets_test CASCADE")
+
+
 def test_log_formats_round_trip(spark, tmp_path):
     rows = spark.createDataFrame([(1, "a", "q one"), (2, "b", None)], "user_id long, doc_id string, query string").withColumn("ts", F.lit("2024-01-01 00:00:00").cast("timestamp")).select("user_id", "doc_id", "ts", "query")
     for fmt in sinks.FORMATS:

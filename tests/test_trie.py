@@ -4,7 +4,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from semtrie.operators.kernels import Rule, grow, grow_one_by_one, two_means
-from semtrie.operators.trie import _join_by_level, build_forest, build_trie, join_trie
+from semtrie.operators.trie import _join_by_level, build_forest, build_trie, insert_trie, join_trie
 from semtrie.sources import tables as T
 
 
@@ -89,6 +89,45 @@ def test_members_routed_again_reach_a_place_they_own(spark, sf):
     assert by_level == own
 
 
+@pytest.mark.parametrize("delta,local_rows", [(0.0, None), (0.02, None), (0.02, 60)])
+def test_insertion_into_a_live_trie_equals_a_rebuild(spark, sf, delta, local_rows):
+    from pyspark.sql import functions as F
+
+    users = T.plain_vectors(spark, sf).withColumn("arrival", (F.col("user_id") * 7919) % 10_007)
+    twice = users.filter("user_id < 40").select((F.col("user_id") + 10_000).alias("user_id"), "emb", (F.col("arrival") + 5_000).alias("arrival"))
+    users = users.select("user_id", "emb", "arrival").unionByName(twice)  # equal vectors too
+    cuts = [(-1, 3_000), (3_000, 3_100), (3_100, 20_000)]
+    parts = [users.filter((F.col("arrival") > a) & (F.col("arrival") <= b)) for a, b in cuts]
+    live, members = build_trie(parts[0], capacity=20, delta=delta), parts[0]
+    for part in parts[1:]:
+        live = insert_trie(live, members, part, local_rows=local_rows)
+        members = members.unionByName(part)
+    whole = build_trie(users, capacity=20, delta=delta)
+    key = lambda t: sorted((r.user_id, r.path) for r in t.placements.collect())
+    shape = lambda t: sorted((r.path, r.kind, r.n_users) for r in t.nodes.collect() if r.kind != "split")
+    assert key(live) == key(whole) and shape(live) == shape(whole)
+    assert key(insert_trie(whole, users, users.limit(0))) == key(whole)
+
+
+def test_levels_of_many_nodes_are_done_in_passes(spark, sf, monkeypatch):
+    from semtrie.operators import trie as M
+
+    p = T.plain_vectors(spark, sf)
+    key = lambda t: sorted((r.user_id, r.path) for r in t.placements.collect())
+    whole = key(build_trie(p, capacity=20, delta=0.02))
+    monkeypatch.setattr(M, "MAX_LEVEL_NODES", 2)
+    assert key(build_trie(p, capacity=20, delta=0.02, local_rows=70)) == whole
+
+
+def test_no_placement_is_dropped_unless_asked(spark):
+    import numpy as np
+
+    x = np.random.default_rng(0).normal(size=(60, 2)) * 1e-6
+    rows = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "user_id long, emb array<double>")
+    a, b = (build_trie(rows, capacity=10, delta=1.0, max_depth=9, **o).placements.groupBy("user_id").count().agg({"count": "max"}).first()[0] for o in ({}, {"max_placements": 20}))
+    assert a > 20 >= b
+
+
 def test_cap_on_placements(spark, sf):
     t = build_trie(T.plain_vectors(spark, sf), capacity=20, delta=0.2, max_placements=3, max_depth=8)
     most = t.placements.groupBy("user_id").count().agg({"count": "max"}).first()[0]
