@@ -15,9 +15,17 @@ from semtrie.functions.vectors import as_double, vec_mean
 
 
 def grams(text: Column, n: int = 3) -> Column:
-    """Character n-grams of the lower-cased text."""
-    t = F.lower(F.coalesce(text, F.lit("")))
-    return F.when(F.char_length(t) >= n, F.transform(F.sequence(F.lit(1), F.char_length(t) - n + 1), lambda i: F.substr(t, i, F.lit(n)))).otherwise(F.array().cast("array<string>"))
+    """Character n-grams of the lower-cased text.
+
+    The text is split into characters once, as finding the i-th character of a
+    string means walking there.
+    """
+    chars = F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), "", -1), lambda c: c != "")
+    out = chars
+    for i in range(1, n):
+        # the shorter side runs out with null, which makes the last, incomplete grams null
+        out = F.zip_with(out, F.slice(chars, i + 1, 1 << 30), lambda a, b: F.concat(a, b))
+    return F.filter(out, lambda g: g.isNotNull())
 
 
 def embed_text(df: DataFrame, col: str = "text", out: str = "emb", *, model: str | Callable[[pd.Series], pd.Series] = "hash_ngram", dim: int = 64, max_df: int | None = None) -> DataFrame:
