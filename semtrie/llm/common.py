@@ -10,9 +10,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from semtrie.plans.store import shared_dir, small
+from semtrie.plans.store import BROADCAST_ROWS, discard, materialize, shared_dir, small
 
-__all__ = ["components", "discard", "materialize", "mix64", "pieces", "scratch", "shared_dir", "small", "table", "text_bytes"]
+__all__ = ["BROADCAST_ROWS", "components", "discard", "materialize", "mix64", "pieces", "scratch", "shared_dir", "small", "table", "text_bytes"]
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -23,25 +23,6 @@ def scratch(spark: SparkSession, tag: str) -> str:
     return f"{shared_dir(spark)}/semtrie/{tag}-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
-    """Cut the lineage by writing ``df`` into the shared folder and reading it again."""
-    path = scratch(df.sparkSession, tag)
-    df.write.parquet(path)
-    out = df.sparkSession.read.schema(df.schema).parquet(path)
-    out._scratch_path = path
-    return out
-
-
-def discard(df: DataFrame | None) -> None:
-    """Remove a scratch table that nothing reads any more."""
-    path = getattr(df, "_scratch_path", None)
-    if path is None:
-        return
-    spark = df.sparkSession
-    hadoop_path = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop_path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop_path, True)
-
-
 def components(edges: DataFrame, tag: str = "cc") -> DataFrame:
     """Connected components of ``edges(a, b)`` as ``(id, component)``, component = smallest id reachable.
 

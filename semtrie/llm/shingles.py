@@ -15,13 +15,36 @@ FOLD = np.arange(256, dtype=np.uint64)
 FOLD[65:91] += 32
 
 
-@functools.lru_cache(maxsize=1)
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse modulo 2^64."""
+#: Places of the power tables; powers beyond come from two factors, so that tables never grow with a text.
+LOW = 1 << 20
+
+
+@functools.lru_cache(maxsize=4)
+def _table(inverse: bool, step: int, n: int) -> np.ndarray:
+    """The first ``n`` powers of the base (or its inverse) to the ``step``, modulo 2^64."""
+    base = pow(pow(BASE, -1, 1 << 64) if inverse else BASE, step, 1 << 64)
     with np.errstate(over="ignore"):
-        up = np.multiply.accumulate(np.append(np.uint64(1), np.full(n, BASE, dtype=np.uint64)))
-        down = np.multiply.accumulate(np.append(np.uint64(1), np.full(n, pow(BASE, -1, 1 << 64), dtype=np.uint64)))
-    return up, down
+        return np.multiply.accumulate(np.append(np.uint64(1), np.full(n - 1, base, dtype=np.uint64)))
+
+
+def powers(at: np.ndarray, inverse: bool = False) -> np.ndarray:
+    """Powers of the base (or of its inverse) modulo 2^64, for any exponents."""
+    if not len(at) or int(at.max()) < LOW:
+        return _table(inverse, 1, LOW)[at]
+    return _table(inverse, 1, LOW)[at & (LOW - 1)] * _table(inverse, LOW, int(at.max()) // LOW + 1)[at // LOW]
+
+
+def prefix_sums(values: np.ndarray) -> np.ndarray:
+    """n + 1 running sums of ``values[i] * base^i`` modulo 2^64: one entry more than values."""
+    n = len(values)
+    total = np.zeros(n + 1, dtype=np.uint64)
+    for lo in range(0, n, LOW):
+        hi = min(lo + LOW, n)
+        lead = np.uint64(pow(BASE, lo, 1 << 64))
+        with np.errstate(over="ignore"):
+            np.cumsum(values[lo:hi] * (_table(False, 1, LOW)[: hi - lo] * lead), out=total[lo + 1 : hi + 1])
+            total[lo + 1 : hi + 1] += total[lo]
+    return total
 
 
 def word_hashes(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -37,11 +60,18 @@ def word_hashes(raw: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray
     end = word.copy()
     end[:-1] &= ~word[1:] | cut[1:n]
     starts, ends = np.flatnonzero(begin), np.flatnonzero(end) + 1
-    up, down = _powers(max(1 << 20, 1 << int(n).bit_length()))
-    total = np.empty(n + 1, dtype=np.uint64)
-    total[0] = 0
-    np.cumsum((FOLD[raw] + np.uint64(1)) * up[:n], out=total[1:])
-    h = (total[ends] - total[starts]) * down[starts]
+    h = np.zeros(len(starts), dtype=np.uint64)
+    # block by block, so that memory beside the text stays the same for texts of any length
+    for lo in range(0, n, LOW):
+        hi = min(lo + LOW, n)
+        first, last = np.searchsorted(ends, lo, side="right"), np.searchsorted(starts, hi, side="left")
+        if first == last:
+            continue
+        total = prefix_sums(FOLD[raw[lo:hi]] + np.uint64(1))
+        s, e = np.maximum(starts[first:last], lo), np.minimum(ends[first:last], hi)
+        part = (total[e - lo] - total[s - lo]) * powers(s - lo, True)
+        # a word that began in an earlier block goes on where it was cut
+        h[first:last] += part * powers(s - starts[first:last])
     return mix64(h + (ends - starts).astype(np.uint64) * np.uint64(0xD1B54A32D192ED03)), np.searchsorted(at, starts, side="right") - 1
 
 
