@@ -30,8 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import materialize, mix64, pieces, small, table
-from semtrie.llm.shingles import BASE, _powers
+from semtrie.llm.common import BROADCAST_ROWS, materialize, mix64, pieces, small, table
+from semtrie.llm.shingles import BASE, powers, prefix_sums
 
 SEGMENTS = 4
 MIN_CHARS = 20
@@ -47,17 +47,11 @@ class _Strings:
         self.size = np.array([len(s) for s in strings], dtype=np.int64)
         self.at = np.concatenate([[0], np.cumsum(self.size)])
         codes = np.frombuffer("".join(strings).encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint64)
-        n = len(codes)
-        up, self.down = _powers(max(1 << 20, 1 << int(n + 1).bit_length()))
-        self.total = np.zeros(n + 1, dtype=np.uint64)
-        np.cumsum(mix64(codes + np.uint64(1)) * up[:n], out=self.total[1:])
+        self.total = prefix_sums(mix64(codes + np.uint64(1)))
 
     def part(self, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
         """Polynomial hash of code points [start, stop) of the joined text, independent of its place."""
-        return (self.total[stop] - self.total[start]) * self.down[start]
-
-    def power(self, n: np.ndarray) -> np.ndarray:
-        return _powers(len(self.down) - 1)[0][n]
+        return (self.total[stop] - self.total[start]) * powers(start, True)
 
 
 def _borders(m: np.ndarray, i: int) -> tuple[np.ndarray, np.ndarray]:
@@ -72,7 +66,7 @@ def segment_keys(s: _Strings) -> np.ndarray:
         m = s.size - less
         for i in range(SEGMENTS):
             a, b = _borders(m, i)
-            rest = s.part(start, start + a) + s.part(stop - (m - b), stop) * s.power(a)
+            rest = s.part(start, start + a) + s.part(stop - (m - b), stop) * powers(a)
             out[:, less * SEGMENTS + i] = mix64(rest ^ mix64(m.astype(np.uint64) * np.uint64(SEGMENTS) + np.uint64(i + 1)))
     return out
 
@@ -122,7 +116,7 @@ def _variants(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = hi - lo
         row = np.repeat(np.arange(len(n)), n)
         at = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n) + lo[row]
-        gone = s.part(lo[row], at) + s.part(at + 1, hi[row]) * s.power(at - lo[row])
+        gone = s.part(lo[row], at) + s.part(at + 1, hi[row]) * powers(at - lo[row])
         variant = mix64(gone + key[row] + (n[row] - 1).astype(np.uint64))
         itself = mix64(s.part(lo, hi) + key + n.astype(np.uint64))
         rows = np.concatenate([np.arange(len(n)), row])
@@ -133,8 +127,18 @@ def _variants(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         )
 
 
-def _nth_line(text, number):
-    return F.btrim(F.get(F.split(F.coalesce(text, F.lit("")), "\n", -1), number), F.lit(ENDS))
+def _pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The asked lines of each document, its text split once."""
+    for part in pieces(batches, "text"):
+        lines, first, second = [], [], []
+        for text, asked in zip(part.column("text").to_pylist(), part.column("asked").to_pylist(), strict=True):
+            own = (text or "").split("\n")
+            for a in asked:
+                if a["line_no"] < len(own):
+                    lines.append(own[a["line_no"]].strip(ENDS))
+                    first.append(a["h1"])
+                    second.append(a["h2"])
+        yield pa.RecordBatch.from_arrays([pa.array(first, pa.int64()), pa.array(second, pa.int64()), pa.array(lines, pa.string())], ["h1", "h2", "line"])
 
 
 def near_earlier(docs: DataFrame, classes: DataFrame) -> DataFrame:
@@ -143,9 +147,12 @@ def near_earlier(docs: DataFrame, classes: DataFrame) -> DataFrame:
     shared = keyed.groupBy("key").agg(F.min("h1").alias("low"), F.max("h1").alias("high")).filter("low <> high").select("key")
     found = materialize(keyed.join(small(materialize(shared, "keys")), "key", "left_semi"), "survivors")
     wanted = materialize(found.select("h1", "h2", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no")).distinct(), "wanted")
-    texts = docs.join(small(wanted), "doc_id").select("h1", "h2", _nth_line(F.col("text"), F.col("line_no")).alias("line"))
+    # one row per document, which holds at most the document's own lines
+    asked = wanted.groupBy("doc_id").agg(F.collect_list(F.struct("line_no", "h1", "h2")).alias("asked"))
+    side = F.broadcast(asked) if wanted.count() <= BROADCAST_ROWS else asked
+    texts = docs.join(side, "doc_id").select("text", "asked").mapInArrow(_pick, "h1 long, h2 long, line string")
     # an id may repeat with another text: keep the copies that really hold the line
-    texts = materialize(texts.filter(F.col("line").isNotNull()).groupBy("h1", "h2").agg(F.max("line").alias("line")), "lines")
+    texts = materialize(texts.groupBy("h1", "h2").agg(F.max("line").alias("line")), "lines")
     spread = found.join(texts, ["h1", "h2"]).select("key", "slot", "h1", "h2", F.col("first.doc_id").alias("doc_id"), F.col("first.line_no").alias("line_no"), "line")
     variants = spread.mapInArrow(_variants, "variant long, place int, h1 long, h2 long, doc_id long, line_no int")
     own = F.struct("doc_id", "line_no", "h1", "h2")
@@ -181,12 +188,15 @@ def mark_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
 def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, max_edits: int = 1, short_lines: bool = False, marks: tuple[str, str] | None = None) -> DataFrame:
     """Documents with the repeated lines taken out of the text; ``marks`` names two added columns, lines before and lines gone."""
     gone = materialize(mark_lines(docs, id_col=id_col, text_col=text_col, min_chars=min_chars, max_edits=max_edits, short_lines=short_lines), "gone")
-    side = gone.select(F.col("doc_id").alias("__line_doc"), F.col("gone").alias("__line_gone"))
+    side = gone.select(F.col("doc_id").alias("__line_doc"), F.array_sort("gone").alias("__line_gone"))
     if (gone.agg(F.sum(F.size("gone"))).first()[0] or 0) <= BROADCAST_LINES:
         side = F.broadcast(side)
     joined = docs.join(side, F.col(id_col) == F.col("__line_doc"), "left")
-    split = F.split(F.col(text_col), "\n", -1)
-    kept = F.filter(split, lambda line, i: ~F.array_contains("__line_gone", i))
+    # marks in line order, one character a line up to the last one gone: lines and marks pair up in one pass
+    last = F.transform("__line_gone", lambda n, i: n - F.coalesce(F.get("__line_gone", i - 1), F.lit(-1)) - 1)
+    marked = F.split(F.array_join(F.transform(last, lambda gap: F.concat(F.repeat(F.lit("0"), gap), F.lit("1"))), ""), "", -1)
+    pairs = F.arrays_zip(F.split(F.col(text_col), "\n", -1).alias("line"), marked.alias("mark"))
+    kept = F.transform(F.filter(pairs, lambda p: p["line"].isNotNull() & ~p["mark"].eqNullSafe("1")), lambda p: p["line"])
     out = F.when(F.col("__line_gone").isNull(), F.col(text_col)).otherwise(F.array_join(kept, "\n"))
     columns = [out.alias(c) if c == text_col else F.col(c) for c in docs.columns]
     if marks:
@@ -195,6 +205,7 @@ def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
 
 
 def op7_line_dedup(spark, sf_dir) -> DataFrame:
+    """Query of operator 7 over all of ``documents``: lines before, lines gone, digest of what is left."""
     done = dedup_lines(table(spark, sf_dir, "documents").select("doc_id", "text"), short_lines=True, marks=("n_lines", "n_gone"))
     return done.select("doc_id", "n_lines", "n_gone", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
@@ -207,10 +218,10 @@ WITH docs AS (
 ), l AS (
   SELECT doc_id, line_no, part, trim(part, ' ' || chr(9) || chr(13)) AS line FROM raw
 ), u AS (
-  SELECT line, length(line) AS n, min({'d': doc_id, 'l': line_no}) AS f FROM l WHERE length(line) >= 20 GROUP BY line
+  SELECT line, length(line) AS n, min({'d': doc_id, 'l': line_no}) AS f FROM l WHERE line <> '' GROUP BY line
 ), k AS (
   SELECT line, n, f, m, i, line[1:CAST(floor(i * m / 4.0) AS INT)] AS head, right(line, CAST(m - floor((i + 1) * m / 4.0) AS INT)) AS rest
-  FROM (SELECT *, unnest([n, n - 1]) AS m FROM u) CROSS JOIN (SELECT unnest(range(0, 4)) AS i)
+  FROM (SELECT *, unnest([n, n - 1]) AS m FROM u WHERE n >= 20) CROSS JOIN (SELECT unnest(range(0, 4)) AS i)
 ), late AS (
   SELECT DISTINCT x.line FROM k x JOIN k y ON x.m = y.m AND x.i = y.i AND x.head = y.head AND x.rest = y.rest
   WHERE y.f < x.f AND x.line <> y.line AND (
@@ -226,6 +237,3 @@ SELECT doc_id, CAST(count(*) AS BIGINT) AS n_lines, CAST(count(*) FILTER (WHERE
   sha256(coalesce(string_agg(part, chr(10) ORDER BY line_no) FILTER (WHERE NOT gone), '')) AS text_sha256
 FROM marked GROUP BY doc_id
 """
-
-#: The rule of op7 in full: repeats of any non-empty line, the edit bound from 20 characters on.
-OP7_ALL_LINES_SQL = OP7_SQL.replace("WHERE length(line) >= 20 GROUP BY line", "WHERE line <> '' GROUP BY line").replace("FROM u) CROSS JOIN", "FROM u WHERE n >= 20) CROSS JOIN")
