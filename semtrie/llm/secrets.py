@@ -35,6 +35,36 @@ ALLOW_LIST = (
 )
 
 
+#: Elements of a block in running values; the blocks' own values make a second, shorter run.
+RUN = 256
+
+
+def _let(value: Column, use) -> Column:
+    """``use(value)`` with the value worked out once, however often it is used."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
+def _running(values: Column, join, zero: Column) -> Column:
+    """For each element what ``join`` (sum, maximum) makes of all elements before it.
+
+    Run block by block: appending to one array would copy it once per element.
+    """
+
+    def run(block, start):
+        grown = F.aggregate(block, F.array(start), lambda acc, x: F.concat(acc, F.array(join(F.element_at(acc, F.lit(-1)), x))))
+        return F.slice(grown, F.lit(1), F.size(block))
+
+    def blocks_of(v):
+        return F.transform(F.sequence(F.lit(0), F.floor((F.size(v) - 1) / RUN).cast("int")), lambda b: F.slice(v, b * RUN + 1, F.lit(RUN)))
+
+    def over(blocks):
+        whole = F.transform(blocks, lambda block: F.aggregate(block, zero, join))
+        starts = _let(whole, lambda w: F.aggregate(w, F.array(zero), lambda acc, x: F.concat(acc, F.array(join(F.element_at(acc, F.lit(-1)), x)))))
+        return _let(starts, lambda at: F.flatten(F.transform(blocks, lambda block, i: run(block, F.get(at, i)))))
+
+    return _let(values, lambda v: F.when(F.size(v) == 0, v).otherwise(_let(blocks_of(v), over)))
+
+
 def _located(text: Column, pattern: str, groups: dict[str, int]) -> Column:
     """Array of (start, end, one string per group) of the leftmost non-overlapping matches.
 
@@ -46,17 +76,14 @@ def _located(text: Column, pattern: str, groups: dict[str, int]) -> Column:
     columns = [F.transform(between, lambda p: F.char_length(p)).alias("gap"), F.regexp_extract_all(text, regex, F.lit(0)).alias("whole")]
     columns += [F.regexp_extract_all(text, regex, F.lit(g)).alias(name) for name, g in groups.items()]
     zipped = F.filter(F.arrays_zip(*columns), lambda m: m["whole"].isNotNull())
-    fields = ["start int", "end int", *(f"{name} string" for name in groups)]
-    kind = f"struct<at:int,found:array<struct<{','.join(f.replace(' ', ':') for f in fields)}>>>"
-    empty = F.struct(F.lit(0).alias("at"), F.array().alias("found")).cast(kind)
+    kind = "array<struct<" + ",".join(["start:int", "end:int", *(f"{name}:string" for name in groups)]) + ">>"
 
-    def step(state, m):
-        start = state["at"] + m["gap"]
-        end = start + F.char_length(m["whole"])
-        hit = F.struct(start.alias("start"), end.alias("end"), *(m[name].alias(name) for name in groups))
-        return F.struct(end.alias("at"), F.concat(state["found"], F.array(hit)).alias("found")).cast(kind)
+    def place(found):
+        steps = F.transform(found, lambda m: m["gap"] + F.char_length(m["whole"]))
+        ends = _running(steps, lambda a, b: a + b, F.lit(0))
+        return F.zip_with(found, ends, lambda m, at: F.struct((at + m["gap"]).alias("start"), (at + m["gap"] + F.char_length(m["whole"])).alias("end"), *(m[name].alias(name) for name in groups)))
 
-    return F.when(text.rlike(pattern), F.aggregate(zipped, empty, step)["found"]).otherwise(empty["found"])
+    return F.when(text.rlike(pattern), _let(zipped, place).cast(kind)).otherwise(F.array().cast(kind))
 
 
 def _spans(hits: Column, order: int) -> Column:
@@ -75,39 +102,44 @@ def count_weights(window: int) -> list[int]:
 def _windows(candidate: Column, symbols: str, window: int, bits: float) -> Column:
     """First start and last end of the windows whose Shannon entropy reaches ``bits`` (null if none does).
 
-    One pass over the characters; the counts and the sum of c * log2(c) change
-    by the entering and the leaving character only.  The sum is kept in scaled
+    One pass over the characters, whatever their number; the counts and the sum
+    of c * log2(c) change by the entering and the leaving character only.  The sum is kept in scaled
     integers so that the running value never drifts.
     """
-    weights = F.array(*[F.lit(w).cast("long") for w in count_weights(window)])
+    weights = count_weights(window)
+    gain = F.array(*[F.lit(y - x).cast("long") for x, y in zip(weights, weights[1:], strict=False)])  # what a count adds as it grows by one
     at_most = entropy_units(window, bits)
-    n = F.char_length(candidate)
-    kind = "struct<counts:array<int>,total:bigint,first:int,last:int>"
-    zero = F.struct(F.array_repeat(F.lit(0), len(symbols) + 1).alias("counts"), F.lit(0).cast("long").alias("total"), F.lit(-1).alias("first"), F.lit(-1).alias("last")).cast(kind)
-
-    def symbol(i):
-        return F.instr(F.lit(symbols), F.substr(candidate, i + F.lit(1), F.lit(1)))
-
-    def step(state, i):
-        entering = symbol(i)
-        leaving = F.when(i >= window, symbol(i - window)).otherwise(F.lit(-1))
-        count_in = F.get(state["counts"], entering)
-        grown = F.get(weights, count_in + 1) - F.get(weights, count_in)
+    # a count takes ``wide`` bits and a long holds ``per`` of them, so that a step rewrites a few longs
+    wide = window.bit_length()
+    per = 62 // wide
+    none = F.lit(0).cast("long")
+    unit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), c["shift"])
+    count_of = lambda counts, c: F.call_function("shiftright", F.get(counts, c["slot"]), c["shift"]).bitwiseAND(F.lit((1 << wide) - 1)).cast("int")
+    kind = "struct<counts:array<bigint>,total:bigint,at:int,first:int,last:int>"
+    zero = F.struct(F.array_repeat(none, len(symbols) // per + 1).alias("counts"), none.alias("total"), F.lit(0).alias("at"), F.lit(-1).alias("first"), F.lit(-1).alias("last")).cast(kind)
+    # a window is judged from the state it left, so that its sum is worked out once
+    good = lambda state: (state["at"] >= window) & (state["total"] <= at_most)
+    first = lambda state: F.when((state["first"] < 0) & good(state), state["at"] - window).otherwise(state["first"])
+    last = lambda state: F.when(good(state), state["at"]).otherwise(state["last"])
+
+    def step(state, pair):
+        new, old = pair["enters"], pair["leaves"]
+        grown = state["total"] + F.get(gain, count_of(state["counts"], new))
         # a character that enters and leaves at once changes nothing
-        count_out = F.get(state["counts"], F.greatest(leaving, F.lit(0)))
-        shrunk = F.get(weights, count_out) - F.get(weights, F.greatest(count_out - 1, F.lit(0)))
-        total = state["total"] + F.when(entering == leaving, F.lit(0).cast("long")).otherwise(grown - F.when(leaving >= 0, shrunk).otherwise(F.lit(0).cast("long")))
-        counts = F.transform(state["counts"], lambda c, k: c + F.when(k == entering, 1).otherwise(0) - F.when(k == leaving, 1).otherwise(0))
-        good = (i >= window - 1) & (total <= at_most)
-        return F.struct(
-            counts.alias("counts"),
-            total.alias("total"),
-            F.when(good & (state["first"] < 0), i - (window - 1)).otherwise(state["first"]).alias("first"),
-            F.when(good, i + 1).otherwise(state["last"]).alias("last"),
-        ).cast(kind)
-
-    run = F.aggregate(F.sequence(F.lit(0), n - 1), zero, step)
-    return F.when((n >= window), F.struct(run["first"].alias("first"), run["last"].alias("last")))
+        total = F.when(old.isNull(), grown).when(new == old, state["total"]).otherwise(grown - F.get(gain, count_of(state["counts"], old) - 1))
+        counts = F.transform(state["counts"], lambda c, k: c + F.when(k == new["slot"], unit(new)).otherwise(none) - F.when(k == old["slot"], unit(old)).otherwise(none))
+        return F.struct(counts.alias("counts"), total.alias("total"), (state["at"] + 1).alias("at"), first(state).alias("first"), last(state).alias("last")).cast(kind)
+
+    def scan(codes):
+        # each character beside the one that leaves the window as it enters
+        n = F.size(codes)
+        leaves = F.slice(F.concat(F.array_repeat(F.lit(None).cast("struct<slot:int,shift:int>"), window), codes), F.lit(1), n)
+        return F.aggregate(F.arrays_zip(codes.alias("enters"), leaves.alias("leaves")), zero, step, lambda run: F.struct(first(run).alias("first"), last(run).alias("last")))
+
+    # the characters as places among the symbols, once: a character's place in a long string is found by walking there
+    places = F.transform(F.filter(F.split(candidate, "", -1), lambda c: c != ""), lambda c: F.instr(F.lit(symbols), c))
+    coded = F.transform(places, lambda c: F.struct(F.floor(c / per).cast("int").alias("slot"), (F.pmod(c, F.lit(per)) * wide).alias("shift")))
+    return F.when(F.char_length(candidate) >= window, _let(coded, scan))
 
 
 def _entropy(text: Column, pattern: str, symbols: str, window: int, bits: float, allow: tuple[str, ...], fold: bool) -> Column:
@@ -149,8 +181,20 @@ def find_secrets(
     base = F.concat(_spans(F.col("__assign"), 0), _spans(F.col("__access"), 1), _spans(F.col("__hex"), 2))
     staged = staged.withColumn("base_spans", F.array_sort(base)).drop("__assign", "__access", "__hex")
     added = F.concat(_spans(F.col("__eh"), 3), _spans(F.col("__et"), 4))
-    fresh = F.filter(added, lambda a: ~F.exists("base_spans", lambda b: (b["start"] <= a["start"]) & (a["end"] <= b["end"])))
-    return staged.withColumn("all_spans", F.array_sort(F.concat("base_spans", fresh))).drop("__eh", "__et")
+    # in order of start, the farthest end of the base spans so far tells whether a span lies inside one of them
+    tagged = F.array_sort(F.concat(
+        F.transform("base_spans", lambda b: F.struct(b["start"].alias("start"), F.lit(0).alias("added"), b["kind"].alias("kind"), b["end"].alias("end"))),
+        F.transform(added, lambda a: F.struct(a["start"].alias("start"), F.lit(1).alias("added"), a["kind"].alias("kind"), a["end"].alias("end"))),
+    ))
+
+    def uncovered(spans):
+        farthest = _running(F.transform(spans, lambda x: F.when(x["added"] == 0, x["end"]).otherwise(-1)), lambda a, b: F.greatest(a, b), F.lit(-1))
+        judged = F.zip_with(spans, farthest, lambda x, f: F.when((x["added"] == 1) & (f < x["end"]), F.struct(x["start"].alias("start"), x["kind"].alias("kind"), x["end"].alias("end"))))
+        return F.filter(judged, lambda x: x.isNotNull())
+
+    fresh = F.when((F.size("__eh") > 0) | (F.size("__et") > 0), _let(tagged, uncovered))
+    every = F.when(fresh.isNull(), F.col("base_spans")).otherwise(F.array_sort(F.concat("base_spans", fresh)))
+    return staged.withColumn("all_spans", every).drop("__eh", "__et")
 
 
 def spans_text(spans: Column) -> Column:
@@ -160,6 +204,7 @@ def spans_text(spans: Column) -> Column:
 
 
 def op6_secret_scan(spark, sf_dir) -> DataFrame:
+    """Contract query of operator 6 over every whole text of ``documents``."""
     from semtrie.llm.common import table
 
     found = find_secrets(table(spark, sf_dir, "documents").select("doc_id", "text"))
