@@ -1,10 +1,11 @@
 """Vector operators: near-duplicate links by product quantisation, nearest neighbours by a random-projection forest.
 
-Defined cases for both: vectors that are null, empty, zero, of another length
-than most, or that hold null or non-finite components take no part (they link
-with nothing and are neither queries nor candidates); a null id takes no part;
-rows that repeat an id and its vector are one row; ties go to the smaller id;
-other columns are not read; an empty table gives an empty result.
+Defined cases for both: vectors that are null, empty, zero, or that hold null or
+non-finite components take no part (they link with nothing and are neither
+queries nor candidates); vectors of different lengths have no cosine or inner
+product, so each length is a table of its own; a null id takes no part; rows that
+repeat an id and its vector are one row; ties go to the smaller id; other columns
+are not read; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -22,6 +23,8 @@ from semtrie.llm.common import components, materialize, table
 
 SAMPLE = 16_384
 BLOCK = 4_096
+#: Visitors of one block: they are many more than members, and members travel once per block of them.
+GUESTS = 4 * BLOCK
 
 
 def _dtype(df: DataFrame, col: str) -> str:
@@ -54,9 +57,9 @@ def matrix(column, kind: str) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), dtype=kind).reshape(n, -1).astype(np.float64)
 
 
-def usual_size(rows: DataFrame) -> int | None:
-    top = rows.groupBy(F.octet_length("vec").alias("size")).count().orderBy(F.desc("count"), "size").first()
-    return top["size"] if top else None
+def lengths(rows: DataFrame) -> list[int]:
+    """The packed sizes that occur, commonest first: one index is made for each."""
+    return [r["size"] for r in rows.groupBy(F.octet_length("vec").alias("size")).count().orderBy(F.desc("count"), "size").collect()]
 
 
 def sample_matrix(rows: DataFrame, kind: str, limit: int) -> np.ndarray:
@@ -78,12 +81,19 @@ def squared_distances(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return np.maximum((a * a).sum(1)[:, None] - 2 * a @ b.T + (b * b).sum(1)[None], 0)
 
 
+def nearest(x: np.ndarray, centres: np.ndarray) -> np.ndarray:
+    """Number of the nearest centre of each row, in slices of bounded memory."""
+    if not len(x):
+        return np.zeros(0, dtype=np.int64)
+    return np.concatenate([squared_distances(x[lo : lo + 2048], centres).argmin(1) for lo in range(0, len(x), 2048)])
+
+
 def kmeans(x: np.ndarray, k: int, rounds: int = 8) -> np.ndarray:
     """Lloyd's iterations from evenly spaced rows; an empty cell keeps its centre."""
     k = min(k, len(x))
     centres = x[np.linspace(0, len(x) - 1, k).astype(int)].copy()
     for _ in range(rounds):
-        cell = squared_distances(x, centres).argmin(1)
+        cell = nearest(x, centres)
         count = np.bincount(cell, minlength=k)
         total = np.zeros_like(centres)
         np.add.at(total, cell, x)
@@ -93,44 +103,66 @@ def kmeans(x: np.ndarray, k: int, rounds: int = 8) -> np.ndarray:
 
 @dataclass(frozen=True)
 class Quantiser:
-    """Coarse cells, and codes of the residual in each of several subspaces."""
+    """Coarse cells on two levels, and codes of the residual in each of several subspaces.
+
+    Cells are numbered so that those of a group follow each other: group g holds
+    the cells from ``bounds[g]`` on.
+    """
 
     coarse: np.ndarray
+    bounds: np.ndarray
     parts: list[np.ndarray]
     books: list[np.ndarray]
 
     @classmethod
-    def fit(cls, sample: np.ndarray, cells: int, subspaces: int = 8, codes: int = 64) -> Quantiser:
+    def fit(cls, sample: np.ndarray, cells: int, groups: int = 1, subspaces: int = 8, codes: int = 64) -> Quantiser:
         coarse = np.unique(kmeans(sample, cells), axis=0)
-        residual = sample - coarse[squared_distances(sample, coarse).argmin(1)]
+        group = nearest(coarse, kmeans(coarse, groups))
+        coarse, group = coarse[np.argsort(group, kind="stable")], np.sort(group)
+        bounds = np.append(np.flatnonzero(np.diff(group, prepend=-1)), len(coarse))
+        residual = sample - coarse[nearest(sample, coarse)]
         parts = np.array_split(np.arange(sample.shape[1]), min(subspaces, sample.shape[1]))
-        return cls(coarse, parts, [kmeans(residual[:, p], codes, 6) for p in parts])
+        return cls(coarse, bounds, parts, [kmeans(residual[:, p], codes, 6) for p in parts])
 
     def encode(self, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Cell, codes and the exact length of what the codes leave out."""
-        cell = squared_distances(x, self.coarse).argmin(1)
+        cell = nearest(x, self.coarse)
         residual = x - self.coarse[cell]
         codes = np.stack([squared_distances(residual[:, p], b).argmin(1) for p, b in zip(self.parts, self.books, strict=True)], axis=1)
         left = residual - np.hstack([b[codes[:, s]] for s, b in enumerate(self.books)])
         return cell, codes.astype(np.uint8), np.sqrt((left * left).sum(1))
 
-    def probes(self, x: np.ndarray, cell: np.ndarray, reach: float) -> list[np.ndarray]:
-        """Cells of at least the own number that can hold a vector within ``reach``.
+    def group_of(self, cell: np.ndarray) -> np.ndarray:
+        return np.searchsorted(self.bounds, cell, side="right") - 1
+
+    def inside(self, x: np.ndarray, cell: np.ndarray, reach: float, lo: int, hi: int) -> np.ndarray:
+        """Which of the cells lo..hi, of at least the own number, can hold a vector within ``reach`` of each row.
 
         A vector in cell c is nearer to c's centre than to x's own centre, so x
         lies within ``reach`` of the plane between the two: this bound leaves no
         cell out that matters.
         """
-        d = squared_distances(x, self.coarse)
-        gap = np.sqrt(squared_distances(self.coarse, self.coarse))[cell]
-        inside = d - d[np.arange(len(x)), cell][:, None] <= 2 * gap * (reach + 1e-6) + 1e-9
-        inside &= np.arange(len(self.coarse))[None] >= cell[:, None]
-        return [np.flatnonzero(row) for row in inside]
-
-    def tables(self, x: np.ndarray, cell: int) -> list[np.ndarray]:
-        """Squared distance of each query's residual to every code, per subspace."""
-        residual = x - self.coarse[cell]
-        return [squared_distances(residual[:, p], b) for p, b in zip(self.parts, self.books, strict=True)]
+        d = squared_distances(x, self.coarse[lo:hi])
+        own = ((x - self.coarse[cell]) ** 2).sum(1)
+        gap = np.sqrt(squared_distances(self.coarse[cell], self.coarse[lo:hi]))
+        return (d - own[:, None] <= 2 * gap * (reach + 1e-6) + 1e-9) & (np.arange(lo, hi)[None] >= cell[:, None])
+
+    def visits(self, x: np.ndarray, cell: np.ndarray, reach: float) -> list[np.ndarray]:
+        """The groups with a cell to probe."""
+        probed = self.inside(x, cell, reach, 0, len(self.coarse))
+        return [np.flatnonzero(row) for row in np.logical_or.reduceat(probed, self.bounds[:-1], axis=1)]
+
+    def decoded(self, cell: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """The vectors that cells and codes stand for."""
+        return self.coarse[cell] + np.hstack([b[codes[:, s]] for s, b in enumerate(self.books)])
+
+    def tables(self, x: np.ndarray) -> list[np.ndarray]:
+        """Inner product of each query with every code, per subspace.
+
+        The asymmetric distance is ``|x|^2 + |y|^2 - 2 (x.c + sum of table entries)``
+        for the decoded y of cell centre c, so one set of tables serves all cells.
+        """
+        return [(x[:, p] @ b.T).astype(np.float32) for p, b in zip(self.parts, self.books, strict=True)]
 
 
 def local_components(i: np.ndarray, j: np.ndarray, n: int) -> np.ndarray:
@@ -150,35 +182,49 @@ LINK_SCHEMA = "id long, links long, root long"
 
 
 def _link_block(members: pa.Table, queries: pa.Table, q: Quantiser, kind: str, cosine: float) -> pa.Table:
-    """Links between one block of a cell's members and one block of the vectors that probe the cell."""
+    """Links between one block of a group's members and one block of the vectors that probe a cell of the group."""
     if not members.num_rows or not queries.num_rows:
         return pa.table({"id": pa.array([], pa.int64()), "links": pa.array([], pa.int64()), "root": pa.array([], pa.int64())})
     reach = np.sqrt(2 - 2 * cosine)
+    members = members.take(pa.array(np.argsort(members.column("cell").to_numpy(), kind="stable")))
     mid, qid = members.column("id").to_numpy(), queries.column("id").to_numpy()
     many, qmany = members.column("n").to_numpy(), queries.column("n").to_numpy()
     y, x = unit(matrix(members.column("vec"), kind)), unit(matrix(queries.column("vec"), kind))
     codes = np.frombuffer(b"".join(members.column("codes").to_pylist()), dtype=np.uint8).reshape(len(mid), -1)
-    bound = (reach + members.column("left").to_numpy() + 1e-6) ** 2
-    cell = members.column("cell")[0].as_py()
-    own = queries.column("home").to_numpy() == cell
+    inhabited = members.column("cell").to_numpy()
+    # least inner product with the decoded member at which the distance can lie within reach (x has length 1)
+    decoded = q.decoded(inhabited, codes)
+    least = (1 + (decoded * decoded).sum(1) - (reach + members.column("left").to_numpy() + 1e-6) ** 2) / 2 - 1e-5
+    home = queries.column("home").to_numpy()
+    cells, first = np.unique(inhabited, return_index=True)
+    stop = np.append(first[1:], len(mid))
     ids = np.unique(np.concatenate([mid, qid]))
     m_at, q_at = np.searchsorted(ids, mid), np.searchsorted(ids, qid)
     links, label = np.zeros(len(ids), dtype=np.int64), np.arange(len(ids))
-    for start in range(0, len(qid), 256):
-        rows = slice(start, start + 256)
-        distance = np.zeros((len(x[rows]), len(mid)))
-        for s, lut in enumerate(q.tables(x[rows], cell)):
-            distance += lut[:, codes[:, s]]
-        a, b = np.nonzero(distance <= bound)
-        a = a + start
-        # inside its own cell a pair is seen from both ends: take it once
-        once = ~own[a] | (qid[a] < mid[b])
-        a, b = a[once], b[once]
-        good = np.zeros(len(a), dtype=bool)
-        for lo in range(0, len(a), 1 << 16):
-            part = slice(lo, lo + (1 << 16))
-            good[part] = (x[a[part]] * y[b[part]]).sum(1) >= cosine
-        a, b = a[good], b[good]
+    for start in range(0, len(qid), 512):
+        rows = slice(start, start + 512)
+        probed = q.inside(x[rows], home[rows], reach, int(cells[0]), int(cells[-1]) + 1)
+        tables, centre = q.tables(x[rows]), x[rows] @ q.coarse[cells].T
+        left, right = [], []
+        for j, (cell, lo, hi) in enumerate(zip(cells, first, stop, strict=True)):
+            ask = np.flatnonzero(probed[:, cell - cells[0]])
+            if not len(ask):
+                continue
+            product = np.zeros((len(ask), hi - lo), dtype=np.float32)
+            for s, table_ in enumerate(tables):
+                product += table_[ask].take(codes[lo:hi, s], axis=1)
+            a, b = np.nonzero(product >= (least[lo:hi] - centre[ask, j][:, None]))
+            a, b = ask[a] + start, b + lo
+            # inside its own cell a pair is seen from both ends: take it once
+            once = (home[a] != cell) | (qid[a] < mid[b])
+            a, b = a[once], b[once]
+            good = np.zeros(len(a), dtype=bool)
+            for at in range(0, len(a), 1 << 16):
+                part = slice(at, at + (1 << 16))
+                good[part] = (x[a[part]] * y[b[part]]).sum(1) >= cosine
+            left.append(a[good])
+            right.append(b[good])
+        a, b = (np.concatenate(p) if p else np.zeros(0, np.int64) for p in (left, right))
         if len(a):
             np.add.at(links, q_at[a], many[b])
             np.add.at(links, m_at[b], qmany[a])
@@ -194,62 +240,65 @@ def vector_links(df: DataFrame, *, id_col: str = "vec_id", vec_col: str = "embed
     Equal vectors are one class with a multiplicity.  Every class sits in the
     inverted list of its nearest coarse cell; it probes all cells that can hold a
     vector in reach; table-lookup distances plus the exact residual left-overs
-    rule pairs out without loss; the rest is reranked by exact cosine.  Lists and
-    their visitors are dealt out in blocks of at most about ``BLOCK`` rows; blocks
-    return counts and local stars, never pairs.
+    rule pairs out without loss; the rest is reranked by exact cosine.
+
+    Cells grow in number with the table and are dealt out by groups: a vector
+    travels once to each group with a cell it probes, and picks the cells there.
+    Large groups and their visitors are cut into blocks (``BLOCK`` and ``GUESTS``
+    rows); blocks return counts and local stars, never pairs.
     """
-    spark = df.sparkSession
     rows, kind = clean_vectors(df, id_col, vec_col)
     rows = materialize(rows, "vectors")
-    size = usual_size(rows)
     every = df.select(F.col(id_col).cast("long").alias("vec_id")).distinct()
-    if size is None:
-        return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    rows = rows.filter(F.octet_length("vec") == size)
+    out = every.join(rows.select(F.col("id").alias("vec_id")).distinct(), "vec_id", "left_anti").select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
+    for size in lengths(rows):
+        out = _links_of_one_length(rows.filter(F.octet_length("vec") == size), kind, cosine, cells).unionByName(out)
+    return out.withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+
+
+def _links_of_one_length(rows: DataFrame, kind: str, cosine: float, cells: int | None) -> DataFrame:
+    spark = rows.sparkSession
     classes = rows.groupBy(F.sha2("vec", 256).alias("content")).agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n"), F.first("vec").alias("vec"))
     classes = materialize(classes, "vector-classes")
     total = classes.count()
     sample = unit(sample_matrix(classes, kind, SAMPLE))
-    wanted = cells or int(2 ** round(np.log2(max(8, np.sqrt(total)))))
-    q = Quantiser.fit(sample, min(wanted, 1024))
+    wanted = cells or int(np.clip(2 ** round(np.log2(4 * np.sqrt(total))), 8, 2048))
+    q = Quantiser.fit(sample, wanted, int(np.clip(-(-total // BLOCK), 1, 256)))
     reach = float(np.sqrt(2 - 2 * cosine))
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for lo in range(0, batch.num_rows, 2048):
-                part = batch.slice(lo, 2048)
+            for lo in range(0, batch.num_rows, 1024):
+                part = batch.slice(lo, 1024)
                 x = unit(matrix(part.column("vec"), kind))
                 cell, codes, left = q.encode(x)
-                probes = q.probes(x, cell, reach)
                 yield pa.RecordBatch.from_arrays(
-                    [*(part.column(c) for c in ("id", "n", "vec")), pa.array(cell.astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(left), pa.array(probes, pa.list_(pa.int32()))],
-                    ["id", "n", "vec", "cell", "codes", "left", "probes"],
+                    [*(part.column(c) for c in ("id", "n", "vec")), pa.array(cell.astype(np.int32)), pa.array(q.group_of(cell).astype(np.int32)), pa.array([c.tobytes() for c in codes], pa.binary()), pa.array(left), pa.array([v.astype(np.int32) for v in q.visits(x, cell, reach)], pa.list_(pa.int32()))],
+                    ["id", "n", "vec", "cell", "part", "codes", "left", "visits"],
                 )
 
-    placed = materialize(classes.select("id", "n", "vec").mapInArrow(place, "id long, n long, vec binary, cell int, codes binary, left double, probes array<int>"), "placed")
-    visits = placed.select("id", F.explode("probes").alias("to"))
-    sizes = placed.groupBy("cell").agg(F.count(F.lit(1)).alias("rows")).join(visits.groupBy(F.col("to").alias("cell")).agg(F.count(F.lit(1)).alias("guests")), "cell", "left")
-    blocks = {r["cell"]: (-(-r["rows"] // BLOCK), -(-(r["guests"] or 1) // BLOCK)) for r in sizes.collect()}  # one row per cell, at most 1024
-    plan = F.broadcast(spark.createDataFrame([(c, a, b) for c, (a, b) in blocks.items()], "cell int, member_blocks int, guest_blocks int"))
+    placed = materialize(classes.select("id", "n", "vec").mapInArrow(place, "id long, n long, vec binary, cell int, part int, codes binary, left double, visits array<int>"), "placed")
+    visits = placed.select(F.explode("visits").alias("part")).groupBy("part").agg(F.count(F.lit(1)).alias("guests"))
+    sizes = placed.groupBy("part").agg(F.count(F.lit(1)).alias("rows")).join(visits, "part", "left").collect()  # one row per group, at most 256
+    blocks = [(r["part"], -(-r["rows"] // BLOCK), -(-(r["guests"] or 1) // GUESTS)) for r in sizes]
+    plan = F.broadcast(spark.createDataFrame(blocks, "part int, member_blocks int, guest_blocks int"))
     deal = lambda c: F.pmod(F.xxhash64("id"), F.col(c)).cast("int")
-    members = placed.drop("probes").join(plan, "cell").withColumn("m", deal("member_blocks")).withColumn("g", F.explode(F.sequence(F.lit(0), F.col("guest_blocks") - 1)))
-    guests = placed.select("id", "n", "vec", F.col("cell").alias("home"), F.explode("probes").alias("cell")).join(plan, "cell").withColumn("g", deal("guest_blocks")).withColumn("m", F.explode(F.sequence(F.lit(0), F.col("member_blocks") - 1)))
-    members = members.select("cell", "m", "g", "id", "n", "vec", "codes", "left")
+    members = placed.drop("visits").join(plan, "part").withColumn("m", deal("member_blocks")).withColumn("g", F.explode(F.sequence(F.lit(0), F.col("guest_blocks") - 1)))
+    guests = placed.select("id", "n", "vec", F.col("cell").alias("home"), F.explode("visits").alias("part")).join(plan, "part").withColumn("g", deal("guest_blocks")).withColumn("m", F.explode(F.sequence(F.lit(0), F.col("member_blocks") - 1)))
+    members = members.select("part", "m", "g", "cell", "id", "n", "vec", "codes", "left")
     # fresh attribute names: both sides stem from one table
-    guests = guests.select(*[F.col(c).alias(c) for c in ("cell", "m", "g", "id", "n", "vec", "home")])
-    found = members.groupBy("cell", "m", "g").cogroup(guests.groupBy("cell", "m", "g")).applyInArrow(lambda a, b: _link_block(a, b, q, kind, cosine), LINK_SCHEMA)
+    guests = guests.select(*[F.col(c).alias(c) for c in ("part", "m", "g", "id", "n", "vec", "home")])
+    found = members.groupBy("part", "m", "g").cogroup(guests.groupBy("part", "m", "g")).applyInArrow(lambda a, b: _link_block(a, b, q, kind, cosine), LINK_SCHEMA)
     found = materialize(found, "links")
     grouped = components(found.select(F.col("id").alias("a"), F.col("root").alias("b")))
     counts = found.groupBy("id").agg(F.sum("links").alias("links"))
     told = classes.select("content", "id", "n").join(counts, "id", "left").join(grouped, "id", "left")
     told = told.select("content", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "id").alias("component_id"))
-    own = rows.select(F.col("id").alias("vec_id"), F.sha2("vec", 256).alias("content")).join(told, "content").drop("content")
-    rest = every.join(rows.select(F.col("id").alias("vec_id")), "vec_id", "left_anti")
-    rest = rest.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"))
-    return own.unionByName(rest).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+    return rows.select(F.col("id").alias("vec_id"), F.sha2("vec", 256).alias("content")).join(told, "content").drop("content")
 
 
 def op3_vector_near_duplicates(spark, sf_dir) -> DataFrame:
+    """Contract query of operator 3 over every row of ``embeddings``."""
     return vector_links(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
 
 
@@ -365,17 +414,22 @@ def nearest_neighbours(
     """The k nearest found rows by inner product for each query (ids divisible by ``every``).
 
     Split planes are fitted on a bounded sample; every row is indexed in every
-    tree.  Queries visit the leaves that the shared queue picks; leaf members and
-    visitors meet in blocks of bounded size and are scored exactly.  A higher
+    tree.  Queries visit the leaves that the shared queue picks, until these hold
+    the wanted share of all rows and, in one tree, more than ``k`` rows (or there
+    are no more); leaf members and visitors meet in blocks of bounded size and are
+    scored exactly.  A higher
     ``coverage`` raises recall and work; 1 is exhaustive.
     """
-    spark = df.sparkSession
     rows, kind = clean_vectors(df, id_col, vec_col)
     rows = materialize(rows, "points")
-    size = usual_size(rows)
-    if size is None:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score double")
-    rows = rows.filter(F.octet_length("vec") == size)
+    out = df.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
+    for size in lengths(rows):
+        out = out.unionByName(_neighbours_of_one_length(rows.filter(F.octet_length("vec") == size), kind, k, every, trees, coverage, leaf_rows, seed))
+    return out
+
+
+def _neighbours_of_one_length(rows: DataFrame, kind: str, k: int, every: int, trees: int, coverage: float, leaf_rows: int, seed: int) -> DataFrame:
+    spark = rows.sparkSession
     total = rows.count()
     depth = int(np.clip(np.ceil(np.log2(max(total, 1) / leaf_rows)), 5, 10))
     forest = Forest.fit(sample_matrix(rows, kind, SAMPLE), trees, depth, seed)
@@ -403,12 +457,14 @@ def nearest_neighbours(
                 yield pa.RecordBatch.from_arrays([part.column("id"), part.column("vec"), pa.array([[t << 16 | leaf for t, leaf in f] for f in found], pa.list_(pa.int32()))], ["id", "vec", "visits"])
 
     queries = indexed.filter(F.pmod("id", F.lit(every)) == 0).select("id", "vec")
-    visits = queries.mapInArrow(visit, "id long, vec binary, visits array<int>").select("id", "vec", F.explode("visits").alias("to"))
+    visits = materialize(queries.mapInArrow(visit, "id long, vec binary, visits array<int>"), "visits").select("id", "vec", F.explode("visits").alias("to"))
     visits = visits.select("id", "vec", F.shiftright("to", 16).alias("tree"), F.col("to").bitwiseAND(0xFFFF).alias("leaf"))
-    most = max(1, -(-rows.filter(F.pmod("id", F.lit(every)) == 0).count() // BLOCK))
-    plan = F.broadcast(spark.createDataFrame([(r["tree"], r["leaf"], -(-r["count"] // (2 * leaf_rows))) for r in counts], "tree int, leaf int, parts int"))
-    members = spread(indexed).join(plan, ["tree", "leaf"]).withColumn("m", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(most - 1)))).drop("parts")
-    guests = visits.join(plan, ["tree", "leaf"]).withColumn("g", F.pmod(F.xxhash64("id"), F.lit(most)).cast("int")).withColumn("m", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts")
+    visitors = {(r["tree"], r["leaf"]): r["count"] for r in visits.groupBy("tree", "leaf").count().collect()}  # at most trees x leaves
+    # both sides of a leaf are cut into blocks by their own numbers; a leaf that nobody visits does not travel
+    cut = [(r["tree"], r["leaf"], -(-r["count"] // (2 * leaf_rows)), -(-visitors[r["tree"], r["leaf"]] // BLOCK)) for r in counts if (r["tree"], r["leaf"]) in visitors]
+    plan = F.broadcast(spark.createDataFrame(cut, "tree int, leaf int, parts int, rounds int"))
+    members = spread(indexed).join(plan, ["tree", "leaf"]).withColumn("m", F.pmod(F.xxhash64("id"), F.col("parts")).cast("int")).withColumn("g", F.explode(F.sequence(F.lit(0), F.col("rounds") - 1))).drop("parts", "rounds")
+    guests = visits.join(plan, ["tree", "leaf"]).withColumn("g", F.pmod(F.xxhash64("id"), F.col("rounds")).cast("int")).withColumn("m", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).drop("parts", "rounds")
     key = ["tree", "leaf", "m", "g"]
     guests = guests.select(*[F.col(c).alias(c) for c in (*key, "id", "vec")])  # fresh attribute names
     met = members.groupBy(key).cogroup(guests.groupBy(key)).applyInArrow(lambda a, b: best_of_block(a, b, kind, k), "query_id long, vec_id long, score double")
@@ -418,6 +474,7 @@ def nearest_neighbours(
 
 
 def op5_nearest_neighbours(spark, sf_dir) -> DataFrame:
+    """Contract query of operator 5: the 20 nearest found for each id divisible by 20, among all rows of ``embeddings``."""
     return nearest_neighbours(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
 
 
