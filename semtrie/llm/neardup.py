@@ -25,7 +25,8 @@ from semtrie.llm.common import components, materialize, mix64, pieces, small, ta
 from semtrie.llm.shingles import jaccard_at_least, shingle_sets, super_minhash
 
 SLOTS, ROWS = 128, 4
-BLOCK = 2048
+#: Rows, and shingles in all, of one block of a bucket's members or of its outsiders.
+BLOCK, BLOCK_SHINGLES = 2048, 1 << 22
 #: Signature agreement below which a pair is not verified; a pair of 80 % is below it with a chance of about 1e-8.
 ESTIMATE = 0.60
 
@@ -180,24 +181,31 @@ def _cross_links(member: DataFrame, sizes: DataFrame, grouped: DataFrame, texts:
     """Pairs of one bucket in different components whose sets reach the similarity.
 
     Each bucket's members outside its largest component are compared with all
-    its members; members lie in blocks of about ``BLOCK`` rows, and outsiders
-    visit every block of their bucket.
+    its members.  Both lie in blocks bounded in rows and in shingles, and every
+    block of outsiders visits every block of members.
     """
     told = member.select("key", "id").join(grouped, "id", "left").select("key", "id", F.coalesce("component", "id").alias("component"))
-    parts = told.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"))
-    mixed = parts.groupBy("key").agg(F.max_by("component", F.struct("n", "component")).alias("main"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("k")).filter("k > 1")
-    rows = materialize(told.join(mixed, "key").join(sizes, "id"), "mixed")
+    told = told.join(sizes, "id")
+    parts = told.groupBy("key", "component").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("s"))
+    largest = F.struct("n", "component", "s")
+    mixed = parts.groupBy("key").agg(F.max(largest).alias("largest"), F.sum("n").alias("n"), F.sum("s").alias("s"), F.count(F.lit(1)).alias("k")).filter("k > 1")
+    cut = lambda n, s: F.ceil(F.greatest(n / BLOCK, s / BLOCK_SHINGLES)).cast("int")
+    mixed = mixed.select("key", F.col("largest.component").alias("main"), cut(F.col("n"), F.col("s")).alias("blocks"), cut(F.col("n") - F.col("largest.n"), F.col("s") - F.col("largest.s")).alias("rounds"))
+    rows = materialize(told.join(mixed, "key"), "mixed")
     own = texts_of(texts, rows.select(F.col("id").alias("doc_id")), "mixed-texts")
     values = materialize(own.mapInArrow(lambda b: _values(b, words), "id long, values binary").dropDuplicates(["id"]), "mixed-sets")
-    rows = rows.join(values, "id").withColumn("blocks", F.ceil(F.col("n") / BLOCK).cast("int"))
-    at_home = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("outsider", F.lit(False))
-    guests = rows.filter("component <> main").withColumn("block", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumn("outsider", F.lit(True))
-    columns = ["key", "block", "id", "component", "size", "values", "outsider"]
+    rows = rows.join(values, "id")
+    deal = lambda c: F.pmod(F.xxhash64("id"), F.col(c)).cast("int")
+    every = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+    at_home = rows.withColumn("block", deal("blocks")).withColumn("round", every("rounds")).withColumn("outsider", F.lit(False))
+    guests = rows.filter("component <> main").withColumn("round", deal("rounds")).withColumn("block", every("blocks")).withColumn("outsider", F.lit(True))
+    columns = ["key", "block", "round", "id", "component", "size", "values", "outsider"]
     both = at_home.select(columns).union(guests.select(columns))
-    return both.groupBy("key", "block").applyInArrow(lambda t: _compare_block(t, percent), "a long, b long").distinct()
+    return both.groupBy("key", "block", "round").applyInArrow(lambda t: _compare_block(t, percent), "a long, b long").distinct()
 
 
 def op4_near_duplicates(spark, sf_dir) -> DataFrame:
+    """Contract query of operator 4 over every whole text of ``documents``: four-word shingles, similarity 0.8."""
     return near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"), words=4)
 
 
