@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import scratch, table
+from semtrie.llm.common import components, materialize, scratch, table
 
 CRLF = "\r\n"
 VERSION = "WARC/1.1\r\n"
@@ -173,22 +173,54 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
     return raw.mapInArrow(lambda batches: _parse(batches, schema), RECORD_SCHEMA)
 
 
-def assemble_transactions(records: DataFrame, *, chain: bool = False) -> DataFrame:
+def _captures_of(records: DataFrame, depth: int | None) -> DataFrame:
+    """(record_id, capture_id) of every record, by its ties.
+
+    Anchors (responses, revisits, resources) are their own capture.  A record
+    belongs to every anchor it is tied to, in either direction; a record without
+    such a tie belongs to the captures of the records it is tied to, and so on for
+    as many steps as it takes.  What no anchor reaches is grouped among itself
+    under the identifier it waits for, or else its smallest record id.
+    """
+    is_anchor = F.col("record_type").isin("response", "revisit", "resource")
+    known = records.select("record_id", is_anchor.alias("anchor"), "concurrent_to")
+    ties = known.select(F.col("record_id").alias("x"), F.explode("concurrent_to").alias("y")).filter("x <> y")
+    ties = materialize(ties.union(ties.select("y", "x")).distinct(), "ties")
+    ids = materialize(known.groupBy("record_id").agg(F.max("anchor").alias("anchor")), "record-ids")
+    reached = ids.filter("anchor").select("record_id", F.col("record_id").alias("capture_id"))
+    front, open_ = reached, ids.filter("NOT anchor").select("record_id")
+    step = 0
+    while depth is None or step < depth:
+        met = open_.join(ties, open_.record_id == ties.x).select("record_id", "y").join(front.select(F.col("record_id").alias("y"), "capture_id"), "y")
+        front = materialize(met.select("record_id", "capture_id").distinct(), f"captures-{step}")
+        reached = reached.unionByName(front)
+        open_ = materialize(open_.join(front.select("record_id").distinct(), "record_id", "left_anti"), f"open-{step}")
+        step += 1
+        if front.isEmpty() or open_.isEmpty():
+            break
+    if open_.isEmpty():
+        return reached
+    # identifiers without a record sort before those with one
+    missing = ties.select(F.col("y").alias("record_id")).distinct().join(ids, "record_id", "left_anti").withColumn("lost", F.lit("0"))
+    left = ties.join(open_.withColumnRenamed("record_id", "x"), "x", "left_semi").join(missing.withColumnRenamed("record_id", "y"), "y", "left")
+    grouped = components(left.select(F.concat(F.lit("1"), "x").alias("a"), F.concat(F.coalesce("lost", F.lit("1")), "y").alias("b")), "lost")
+    name = F.concat(F.lit("1"), "record_id")
+    lost = open_.join(grouped, name == grouped.id, "left").select("record_id", F.coalesce(F.substring("component", 2, 1 << 30), F.col("record_id")).alias("capture_id"))
+    return reached.unionByName(lost)
+
+
+def assemble_transactions(records: DataFrame, *, chain: bool = True) -> DataFrame:
     """One nested row per capture: ``capture_id``, ``response``, ``requests``, ``metadata``.
 
-    Requests and metadata meet their response or revisit on the concurrent-to
-    identifier.  ``chain`` also follows ties that point at another non-response
-    record, or from the response to its request.  A request or metadata whose
-    response is missing gives a capture with a null response.
+    Records meet through all their concurrent-to identifiers; with ``chain`` (the
+    default) also through other records, to any depth, without it by direct ties
+    only.  A nested record keeps all columns, its payload too.  A request or
+    metadata whose response is missing gives a capture with a null response.
+    ``records`` is read twice, so hand over a written table where parsing is dear.
     """
     is_anchor = F.col("record_type").isin("response", "revisit", "resource")
-    keyed = records.withColumn("capture_id", F.when(is_anchor, F.col("record_id")).otherwise(F.coalesce(F.get("concurrent_to", F.lit(0)), F.col("record_id"))))
-    if chain:
-        others = records.filter(~is_anchor & (F.size("concurrent_to") > 0)).select(F.col("record_id").alias("from_id"), F.get("concurrent_to", F.lit(0)).alias("to_id"))
-        back = records.filter(is_anchor).select(F.explode("concurrent_to").alias("from_id"), F.col("record_id").alias("to_id"))
-        hops = others.union(back).groupBy("from_id").agg(F.min("to_id").alias("to_id"))
-        keyed = keyed.join(hops, keyed.capture_id == hops.from_id, "left").withColumn("capture_id", F.when(is_anchor, F.col("capture_id")).otherwise(F.coalesce("to_id", "capture_id"))).drop("from_id", "to_id")
     whole = F.struct(*[F.col(c) for c in records.columns])
+    keyed = records.join(_captures_of(records, None if chain else 1), "record_id")
     return keyed.groupBy("capture_id").agg(
         F.first(F.when(is_anchor, whole), ignorenulls=True).alias("response"),
         F.collect_list(F.when(F.col("record_type") == "request", whole)).alias("requests"),
@@ -197,6 +229,10 @@ def assemble_transactions(records: DataFrame, *, chain: bool = False) -> DataFra
 
 
 def op1_warc_transactions(spark, sf_dir) -> DataFrame:
+    """Contract query of operator 1: archives written from ``pages``, read back and assembled.
+
+    Payloads are measured as they are read and not carried on, as no column asks for them.
+    """
     path = scratch(spark, "warc")
     write_warc(plan_captures(table(spark, sf_dir, "pages").select("page_id", "url", "html")), path)
     records = (
@@ -205,6 +241,7 @@ def op1_warc_transactions(spark, sf_dir) -> DataFrame:
         .withColumn("payload_digest", F.coalesce(base32_sha1(F.col("payload")), F.col("declared_digest")))
         .drop("payload")
     )
+    records = materialize(records, "records")
     page_of = lambda name: name.try_cast("long")
     captures = assemble_transactions(records)
     return captures.filter("response IS NOT NULL").select(
