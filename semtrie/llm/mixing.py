@@ -6,10 +6,12 @@ deadline first fills every slot with one released block, so after any number of
 slots each source has had its weight's share to within one block.  The weights
 enter as whole numbers in the exact ratio of the given ones, so nothing is
 rounded and no error adds up; the driver runs the schedule to its end, one step
-per block, and every block finds its slot by one join.
+per block, and every block finds its slot by one join.  On large tables blocks
+grow, so that the driver never runs more than about ``max_slots`` steps.
 
 Defined cases: a null source is a source of its own; rows of equal id keep their
-number and are ordered by their other values; an empty table gives an empty
+number and are ordered by their other values (maps and variants, which have no
+order, excepted); null and empty texts are rows like any other; an empty table gives an empty
 schedule; a source with no target weight is left out of an explicit weight map
 only by raising an error; other columns pass through (the four added names
 replace columns of the same name).
@@ -105,13 +107,15 @@ def mix_sources(
     cycle: int = 1000,
     repeat: bool = True,
     max_sources: int = 20_000,
+    max_slots: int = 2_000_000,
     seed: int = 0,
 ) -> DataFrame:
     """Give each document its place in the mixture: position, slot, block and epoch.
 
     ``weights`` are the target weights by source; without them a source of n
     documents weighs ``n ** temperature``.  Documents of a source come in a
-    seeded hash order, ``block`` to a slot; ``mix_block`` counts the blocks of a
+    seeded hash order, ``block`` to a slot (more where the schedule would
+    otherwise have more than ``max_slots`` slots); ``mix_block`` counts the blocks of a
     source.  With ``repeat`` the schedule runs
     until every source has been read once, and shorter sources start over (next
     epoch), so the weights hold to the last slot; without it each document
@@ -140,6 +144,9 @@ def mix_sources(
     else:
         target = {k: n**temperature for k, n in sizes.items()}
     shares = exact_shares(target)
+    # the schedule ends when the source that takes longest has been read once
+    rows_to_come = max((n * sum(shares.values()) // shares[s] for s, n in sizes.items()), default=0)
+    block = max(block, -(-rows_to_come // max_slots))
     number = {s: i for i, s in enumerate(sizes)}
     blocks = {s: -(-n // block) for s, n in sizes.items()}
     had = dict.fromkeys(sizes, 0)
@@ -163,7 +170,7 @@ def mix_sources(
 
     before = Window.partitionBy("__src").orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
     offsets = counts.withColumn("__before", F.coalesce(F.sum("__n").over(before), F.lit(0))).drop("__n")
-    local = Window.partitionBy("__src", "__bucket").orderBy("__h", id_col, *[F.col(c) for c in base.columns if c != id_col and dict(base.dtypes)[c] in ("string", "bigint", "int")])
+    local = Window.partitionBy("__src", "__bucket").orderBy("__h", id_col, *[F.col(c) for c in base.columns if c != id_col and not any(t in dict(base.dtypes)[c] for t in ("map<", "variant"))])
     ranked = keyed.withColumn("__local", F.row_number().over(local) - 1)
     # the plan is bounded by max_sources, so it may be broadcast
     placed = (
@@ -185,4 +192,5 @@ def mix_sources(
 
 
 def op8_mix_sources(spark, sf_dir) -> DataFrame:
+    """Query of operator 8 over all of ``documents``: each row's places in the mixture, epochs of short sources included."""
     return mix_sources(table(spark, sf_dir, "documents").select("doc_id", "source"))
