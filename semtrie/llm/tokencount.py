@@ -31,6 +31,9 @@ DEFAULT_RANKS = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 # Fixed value: the pre-tokenisation pattern published with this vocabulary.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 HEADER = 6
+MARK = b"\0\0"
+CHUNK = 8 << 20
+CHUNKS_PER_FILE = 16
 DIGITS = 5
 
 
@@ -58,21 +61,32 @@ def id_of(header: np.ndarray) -> list[int | None]:
     return out
 
 
-def _encode(batches: Iterator[pa.RecordBatch], ranks_path: str) -> Iterator[pa.RecordBatch]:
+def _encode(batches: Iterator[pa.RecordBatch], ranks_path: str, chunk_bytes: int) -> Iterator[pa.RecordBatch]:
+    """Stretches of the flat file of about ``chunk_bytes``, whole documents each; the last end mark is left to the writer."""
     enc = encoding(ranks_path)
+    held, size = [], 0
     for part in pieces(batches, "text"):
-        out = []
         for doc_id, text in zip(part.column("doc_id").to_pylist(), part.column("text").to_pylist(), strict=True):
             ids = np.array(enc.encode_ordinary(text or ""), dtype=np.uint16) + np.uint16(1)
-            out.append(np.array(header_of(doc_id), dtype="<u2").tobytes() + ids.astype("<u2").tobytes())
-        yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], ["value"])
+            held.append(np.array(header_of(doc_id), dtype="<u2").tobytes() + ids.astype("<u2").tobytes())
+            size += len(held[-1]) + 2
+            if size >= chunk_bytes:
+                yield pa.RecordBatch.from_arrays([pa.array([MARK.join(held)], pa.binary())], ["value"])
+                held, size = [], 0
+    if held:
+        yield pa.RecordBatch.from_arrays([pa.array([MARK.join(held)], pa.binary())], ["value"])
 
 
-def write_flat_tokens(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text", ranks_path: str = DEFAULT_RANKS) -> None:
-    """Tokenise documents into gzip-compressed flat files; the writer's line separator is the end mark."""
+def write_flat_tokens(docs: DataFrame, path: str, *, id_col: str = "doc_id", text_col: str = "text", ranks_path: str = DEFAULT_RANKS, chunk_bytes: int = CHUNK, chunks_per_file: int = CHUNKS_PER_FILE) -> None:
+    """Tokenise documents into gzip-compressed flat files; the writer's line separator is the end mark.
+
+    A file ends after ``chunks_per_file`` stretches of about ``chunk_bytes``, so
+    its size is bounded in bytes whatever the documents' sizes (one longer
+    document is a stretch of its own).
+    """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    encoded = rows.mapInArrow(lambda b: _encode(b, ranks_path), "value binary")
-    encoded.select(F.col("value").cast("string")).write.option("lineSep", "\0\0").option("compression", "gzip").option("maxRecordsPerFile", 20_000).text(path)
+    encoded = rows.mapInArrow(lambda b: _encode(b, ranks_path, chunk_bytes), "value binary")
+    encoded.select(F.col("value").cast("string")).write.option("lineSep", "\0\0").option("compression", "gzip").option("maxRecordsPerFile", chunks_per_file).text(path)
 
 
 BLOCK_SCHEMA = "file string, block long, first_mark long, last_mark long, n_marks long, head array<int>, tail array<int>, inner array<struct<doc_id:long,n_tokens:long>>"
@@ -167,6 +181,7 @@ def count_tokens(spark: SparkSession, path: str, *, block_bytes: int = 1 << 18)
 
 
 def op9_token_counts(spark, sf_dir) -> DataFrame:
+    """Query of operator 9 over every whole text of ``documents``: doc_id, n_tokens."""
     path = scratch(spark, "flat")
     write_flat_tokens(table(spark, sf_dir, "documents"), path)
     return count_tokens(spark, path).select("doc_id", "n_tokens")
