@@ -17,7 +17,12 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the preference ranking accepts; the ranking is fitted on the labelled ones among ``docs``."""
+    """Documents that the preference ranking accepts; the ranking is fitted on the labelled ones among ``docs``.
+
+    Null and empty texts are scored like any other; rows of a null or repeated id
+    are judged by their own text; without labels of both kinds, or on an empty
+    table, nothing is rejected.
+    """
     ship(spark)
     ranker = quality.fit_ranker(docs, table(spark, sf_dir, "labels"))
     scored = quality.score_documents(docs.select(*COLUMNS), ranker, out_col="__score")
@@ -25,7 +30,11 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the lines that occur earlier in the corpus; a text may become empty, its row stays."""
+    """Texts without the lines that occur earlier in the corpus; a text may become empty, its row stays.
+
+    Null texts stay null; rows of a null id are left as they are; of equal lines
+    the one of smallest id, then line number, stays; an empty table stays empty.
+    """
     ship(spark)
     done = linededup.dedup_lines(docs.select(*COLUMNS), short_lines=True)
     return done.withColumn("n_chars", F.coalesce(F.char_length("text"), F.lit(0)).cast("long")).select(*COLUMNS)
@@ -34,7 +43,9 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies (five-word shingles, similarity 0.8): the one of smallest id.
 
-    Documents without words belong to no group and stay.
+    Documents without words (null texts too) belong to no group and stay, as do
+    rows of a null id; rows that repeat an id stay or go together; an empty table
+    stays empty.
     """
     ship(spark)
     groups = neardup.near_duplicates(docs, words=5, percent=80)
@@ -47,7 +58,9 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
     The schedule runs until every source has been read once; a shorter source
     starts over, so its documents recur and the sources' shares of the rows are
-    their weights.  Files and rows follow the schedule too.
+    their weights.  Files and rows follow the schedule too.  A null source is a
+    source of its own; texts are not read; repeated rows are rows like any other;
+    an empty table stays empty.
     """
     ship(spark)
     mixed = mixing.mix_sources(docs.select(*COLUMNS), temperature=0.5)
@@ -55,10 +68,14 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def segmentation_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Two distinct sampled segmentations per document, with scores and a digest of the pieces."""
+    """Two distinct sampled segmentations per row, as piece ids with scores.
+
+    A null or empty text gives one segmentation of no piece; equal ids and texts
+    give equal samples; an empty table gives an empty result.
+    """
     ship(spark)
     # executors still hold the earlier stages' memory here
-    return segment.sample_segmentations(docs, k=2, with_ids=False, batch_bytes=1 << 18)
+    return segment.sample_segmentations(docs, k=2, batch_bytes=1 << 18)
 
 
 STAGES = [

@@ -485,7 +485,7 @@ def _sample(batches: Iterator[pa.RecordBatch], k: int, seed: int, model: str, sl
         texts = [t or "" for t in part.column("text").to_pylist()]
         lat, nodes = unit_lattices(texts, vocab)
         names: dict[str, list] = {n.split()[0]: [] for n in SCHEMA.split(", ")}
-        ids_out: list[list[int]] = []
+        ids_out: list[np.ndarray] = []
         keys = part.column("doc_id").to_pylist()
         for doc_id, text, samples in zip(keys, texts, search_texts(nodes, [key or 0 for key in keys], k, seed, lat), strict=True):
             raw = (" " + text).encode("utf-8", "surrogatepass") if text else b""
@@ -496,10 +496,11 @@ def _sample(batches: Iterator[pa.RecordBatch], k: int, seed: int, model: str, sl
                 for column, x in zip(names.values(), row, strict=True):
                     column.append(x)
                 if with_ids:
-                    ids_out.append(ids.tolist())
+                    ids_out.append(ids)
         columns = [pa.array(v, t) for v, t in zip(names.values(), (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.bool_(), pa.string()), strict=True)]
         if with_ids:
-            columns.append(pa.array(ids_out, pa.list_(pa.int32())))
+            ends = np.cumsum([0, *map(len, ids_out)]).astype(np.int32)
+            columns.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids_out).astype(np.int32, copy=False))))
         yield pa.RecordBatch.from_arrays(columns, [*names, *(["ids"] if with_ids else [])])
 
 
@@ -563,4 +564,5 @@ def encode_best(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "tex
 
 
 def op10_sample_segmentations(spark, sf_dir) -> DataFrame:
-    return sample_segmentations(table(spark, sf_dir, "documents"), with_ids=False)
+    """Query of operator 10: two sampled segmentations of every whole text of ``documents``, piece ids included."""
+    return sample_segmentations(table(spark, sf_dir, "documents"))

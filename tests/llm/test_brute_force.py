@@ -5,17 +5,19 @@ import itertools
 import math
 import random
 import re
+import time
 import zlib
 from fractions import Fraction
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from oracle import check
 from pyspark.sql import functions as F
 
-from semtrie.llm import linededup, mixing, neardup, quality, registry, secrets, segment, shingles, vectors
+from semtrie.llm import linededup, mixing, neardup, quality, registry, secrets, segment, shingles, tokencount, vectors
 from semtrie.llm.common import table
 
 
@@ -64,6 +66,19 @@ def test_secrets_against_regular_expressions(spark, sf01):
     assert added > 10
 
 
+def test_many_matches_and_long_strings_take_time_in_proportion(spark):
+    rng = random.Random(5)
+    many = "\n".join("token=" + "".join(rng.choice("0123456789abcdef") for _ in range(20)) for _ in range(50_000))
+    one = "".join(rng.choice("ABCDEFabcdefghijklmnopqrstuvwxyz0123456789+/") for _ in range(100_000))
+    docs = spark.createDataFrame([(1, many), (2, one)], "doc_id long, text string").repartition(2)
+    began = time.monotonic()
+    rows = {r.doc_id: r for r in secrets.find_secrets(docs).collect()}
+    assert time.monotonic() - began < 120
+    assert [tuple(x) for x in rows[1].base_spans] == base_spans(many) and rows[1].all_spans == rows[1].base_spans
+    (span,) = rows[2].all_spans
+    assert span.kind == 4 and span.start < 100 and span.end > 99_900
+
+
 # ---------------------------------------------------------------- near duplicates
 
 
@@ -122,6 +137,21 @@ def test_a_group_whose_similarities_straddle_the_bound(spark):
     assert got == want
 
 
+def test_blocks_of_outsiders_change_nothing(spark, monkeypatch):
+    rng = random.Random(3)
+    base = [f"w{i}" for i in range(60)]
+    rows = []
+    for d in range(120):
+        words = list(base)
+        for _ in range(rng.randrange(10)):
+            words[rng.randrange(60)] = f"x{rng.randrange(10**6)}"
+        rows.append((d, " ".join(words)))
+    monkeypatch.setattr(neardup, "BLOCK", 7)
+    monkeypatch.setattr(neardup, "BLOCK_SHINGLES", 300)
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in neardup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), words=4).collect()}
+    assert got == expected_groups(rows)
+
+
 def test_signatures_estimate_similarity_with_less_noise_than_plain_sampling():
     rng = np.random.default_rng(0)
     errors = []
@@ -203,16 +233,30 @@ def test_short_lines_go_when_they_repeat(spark):
     assert got == expected_all_lines(rows) != expected_lines(rows)
 
 
-def test_line_dedup_covers_lines_of_any_length(spark, sf01):
-    check(linededup.op7_line_dedup, linededup.OP7_ALL_LINES_SQL, spark, sf01)
-
-
 def test_rule_of_long_lines_alone_equals_its_sql(spark, sf01):
     def long_lines(spark, sf):
         done = linededup.dedup_lines(table(spark, sf, "documents").select("doc_id", "text"), marks=("n_lines", "n_gone"))
         return done.select("doc_id", "n_lines", "n_gone", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
 
-    check(long_lines, linededup.OP7_SQL, spark, sf01)
+    check(long_lines, linededup.OP7_SQL.replace("WHERE line <> ''", "WHERE length(line) >= 20"), spark, sf01)
+
+
+def test_a_document_of_many_lines_takes_time_in_proportion(spark):
+    lines = [f"line number {i} of a long list, {'x' * (i % 7)}" for i in range(100_000)]
+    lines[50_000] = lines[10]  # an exact repeat
+    lines[70_000] = lines[20].replace("long", "lung")  # one substitution
+    docs = spark.createDataFrame([(1, "\n".join(lines))], "doc_id long, text string")
+    began = time.monotonic()
+    row = linededup.dedup_lines(docs, short_lines=True, marks=("n_lines", "n_gone")).first()
+    assert time.monotonic() - began < 60
+    gone = set(range(100_000)) - {i for i, x in enumerate(lines) if x in set(row.text.split("\n"))}
+    assert row.n_lines == 100_000 and {70_000} <= gone and row.n_gone == 100_000 - row.text.count("\n") - 1
+
+
+def test_lines_gone_at_both_ends_and_in_the_middle(spark):
+    texts = [(1, "a\nb\nc\nd"), (2, "a\nx\nb\ny\nd"), (3, "d"), (4, "q\n\nq\n"), (5, "z\na")]
+    rows = {r.doc_id: r.text for r in linededup.dedup_lines(spark.createDataFrame(texts, "doc_id long, text string"), short_lines=True).collect()}
+    assert rows == {1: "a\nb\nc\nd", 2: "x\ny", 3: "", 4: "q\n\n", 5: "z"}
 
 
 # ---------------------------------------------------------------- vectors
@@ -256,6 +300,34 @@ def test_neighbour_recall_on_the_given_vectors(spark, sf01):
     assert np.mean(hits) >= 0.9
 
 
+@pytest.mark.parametrize("n", [2, 10, 15, 21, 25, 30, 60])
+def test_small_tables_give_every_neighbour_asked_for(spark, n):
+    x = np.random.default_rng(n).normal(size=(n, 8))
+    df = spark.createDataFrame([(20 * i if i < 3 else 1000 + 2 * i + 1, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    ids = np.array([r.vec_id for r in df.collect()])
+    got = collections.defaultdict(list)
+    for r in vectors.nearest_neighbours(df).collect():
+        got[r.query_id].append((r["rank"], r.vec_id))
+    for i in range(min(n, 3)):
+        s = x @ x[i]
+        order = [int(ids[j]) for j in np.lexsort((ids, -s)) if j != i][:20]
+        mine = [v for _, v in sorted(got[20 * i])]
+        assert len(mine) == min(20, n - 1)
+        assert mine == order or n > 21  # with up to 20 others there is nothing to miss
+
+
+def test_each_length_of_vector_is_searched_and_linked(spark):
+    rng = np.random.default_rng(4)
+    a, b = rng.normal(size=(30, 8)), rng.normal(size=(5, 4))
+    b[1] = b[0] * 2
+    rows = [(i, v.tolist()) for i, v in enumerate(a)] + [(100 + 20 * i, v.tolist()) for i, v in enumerate(b)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    links = {r.vec_id: (r.n_links, r.component_id) for r in vectors.vector_links(df).collect()}
+    assert links[100] == (1, 100) and links[120] == (1, 100) and len(links) == 35
+    near = collections.Counter(r.query_id for r in vectors.nearest_neighbours(df).collect())
+    assert near == {0: 20, 20: 20, **{100 + 20 * i: 4 for i in range(5)}}
+
+
 # ---------------------------------------------------------------- mixing
 
 
@@ -319,6 +391,27 @@ def test_a_short_source_fills_its_slots_across_epochs(spark):
     assert abs(len(few) - len(rows) / 2) <= 8 and all(few[i] == few[i % 5] for i in range(len(few)))
 
 
+def test_the_registered_mixture_holds_its_weights_slot_by_slot(spark, sf01):
+    rows = registry.queries()["op8_mix_sources"](spark, sf01).collect()
+    docs = {r.doc_id: r.source for r in table(spark, sf01, "documents").collect()}
+    size = collections.Counter(docs.values())
+    weight = {s: n**0.5 for s, n in size.items()}
+    total = sum(weight.values())
+    assert all(docs[r.doc_id] == r.source for r in rows) and len({r.mix_position for r in rows}) == len(rows)
+    order = sorted(rows, key=lambda r: r.mix_position)
+    assert [r.mix_position for r in order] == list(range(len(order)))  # no hole: every slot is full
+    had, seen = collections.Counter(), collections.defaultdict(list)
+    for slot, part in itertools.groupby(order, key=lambda r: r.mix_slot):
+        part = list(part)
+        assert len(part) == 32 and len({r.source for r in part}) == 1 and {r.mix_block for r in part} == {had[part[0].source]}
+        had[part[0].source] += 1
+        seen[part[0].source] += [r.doc_id for r in part]
+        assert all(abs(had[s] - (slot + 1) * w / total) < 1 + 1e-9 for s, w in weight.items())
+    for s, n in size.items():  # whole epochs in one fixed order, each document once per epoch
+        assert set(seen[s]) == {d for d, x in docs.items() if x == s} and len(set(seen[s][:n])) == n
+        assert all(seen[s][i] == seen[s][i % n] for i in range(len(seen[s])))
+
+
 # ---------------------------------------------------------------- quality
 
 
@@ -335,6 +428,53 @@ def test_held_out_quality(spark):
     assert np.mean([p for _, p, y in held if y == 1]) > 0.99 and np.mean([p for _, p, y in held if y == 0]) < 0.05
 
 
+def plain_features(text):
+    """The features of one text, word by word."""
+    raw = (text or "").encode()
+    blank = b" \t\n\x0b\x0c\r"
+    words = [w for w in re.split(rb"[ \t-\r]+", raw) if w]
+    punct = lambda w: sum(c < 128 and not chr(c).isalnum() and c not in blank for c in w)
+    n, size = len(words), len(raw)
+    share = lambda x, of: x / max(of, 1)
+    f = dict.fromkeys(quality.NAMES, 0.0) | {"log_distinct_share": math.log(0.01)}
+    p, u = share(punct(raw), size), share(sum(65 <= c <= 90 for c in raw), size)
+    f |= {"log_words": math.log1p(n), "punct_share": p, "log_punct": math.log(p + 0.005), "upper_share": u, "log_upper": math.log(u + 0.005), "digit_share": share(sum(48 <= c <= 57 for c in raw), size), "space_share": share(sum(c in blank for c in raw), size)}
+    f |= {"end_marks": share(raw.count(b"."), n), "commas": share(raw.count(b","), n), "pipe_share": share(raw.count(b"|"), n), "lines_per_word": share(raw.count(b"\n"), n), "bang_share": share(raw.count(b"!"), n), "short_text": float(n < 20)}
+    if n:
+        low = [w.lower() for w in words]
+        d = len(set(low)) / n
+        again = [i > 0 and low[i] == low[i - 1] for i in range(n)]
+        heavy = [punct(w) >= 2 for w in words]
+        f |= {"mean_word": sum(map(len, words)) / n, "distinct_share": d, "log_distinct_share": math.log(d + 0.01), "repeat_next": sum(again) / n, "top_word_share": max(collections.Counter(low).values()) / n}
+        f |= {"symbol_word_share": sum(2 * punct(w) >= len(w) > 1 for w in words) / n, "odd_start": sum(punct(w[:1]) for w in words) / n, "long_words": sum(len(w) >= 12 for w in words) / n, "run_share": sum(heavy) / n}
+        for name, marks in (("worst_repeat", again), ("worst_symbol", heavy)):
+            f[name] = max(sum(marks[i : i + 32]) / len(marks[i : i + 32]) for i in range(0, n, 32))
+    return [f[k] for k in quality.NAMES]
+
+
+def test_features_and_fit_against_plain_loops(spark, sf01):
+    prefix = "a" * 24
+    texts = [r.text for r in table(spark, sf01, "documents").limit(150).collect()] + [None, "", " \n", f"{prefix}b {prefix}c {prefix}d", "É é ü !!! two  two"]
+    got = quality.text_features(*quality.text_bytes(pa.array(texts, pa.string())))
+    want = np.array([plain_features(t) for t in texts])
+    assert np.allclose(got, want, atol=1e-9)
+    assert got[-2][quality.NAMES.index("distinct_share")] == 1  # words that part after 24 bytes differ
+    # the fitted weights leave no slope: the gradient, summed pair by pair, is that of the ridge
+    x, y = got[:40], np.array([i % 3 != 0 for i in range(40)], int)
+    ranker = quality.fit_bradley_terry(x, y, pairs=10**6, steps=60)
+    z = quality.expand(x, ranker.centre, ranker.scale)
+    slope, count = np.zeros(z.shape[1]), 0
+    for i in np.flatnonzero(y == 1):
+        for j in np.flatnonzero(y == 0):
+            d = z[i] - z[j]
+            slope += d / (1 + math.exp(float(d @ ranker.weights)))
+            count += 1
+    assert np.allclose(slope / count, 1e-3 * ranker.weights, atol=1e-6)
+    s = z @ ranker.weights
+    assert any(abs(ranker.threshold - np.quantile(s, q)) < 1e-9 for q in np.unique(np.clip(14 / 40 * np.linspace(0.3, 1.3, 81), 0, 1)))
+    assert ((ranker.score(x) >= quality.ACCEPT) == (s >= ranker.threshold - 1e-12)).all()
+
+
 # ---------------------------------------------------------------- segmentations
 
 
@@ -380,3 +520,21 @@ def test_all_segmentations_come_out_if_asked():
     found = segment.search_texts([nodes], [3], len(exact) + 5, 1, lat)[0]
     assert {tuple(x[2].tolist()) for x in found} == set(exact)
     assert all(x[3] == 0 for x in found)
+
+
+def test_piece_ids_of_the_whole_table_decode_to_its_texts(spark, sf01):
+    got = segment.decode_column(registry.queries()["op10_sample_segmentations"](spark, sf01))
+    texts = {r.doc_id: r.text or "" for r in table(spark, sf01, "documents").collect()}
+    rows = got.select("doc_id", "sample", "n_pieces", "decoded", F.size("ids").alias("n"), F.hash("ids").alias("h")).collect()
+    assert {r.doc_id for r in rows} == set(texts) and all(r.decoded == texts[r.doc_id] and r.n == r.n_pieces for r in rows)
+    assert len({(r.doc_id, r.h) for r in rows}) == len(rows)  # the samples of a text differ
+
+
+# ---------------------------------------------------------------- token counts
+
+
+def test_counts_of_the_given_table_equal_direct_ones(spark, sf01):
+    enc = tokencount.encoding(tokencount.DEFAULT_RANKS)
+    want = {r.doc_id: len(enc.encode_ordinary(r.text or "")) for r in table(spark, sf01, "documents").collect()}
+    rows = registry.queries()["op9_token_counts"](spark, sf01).collect()
+    assert {r.doc_id: r.n_tokens for r in rows} == want and len(rows) == len(want)
