@@ -339,7 +339,7 @@ def _(spark, sf):
 
 
 #: The first half of all arrivals by time, as their order is a hash of 60 bits.
-EARLY = F.col("arrival") < (1 << 59)
+EARLY, LATE = f"arrival < {1 << 59}", f"arrival >= {1 << 59}"
 
 
 @key("insert_into_live_trie", TRIE + "SELECT path, user_id FROM placement")
@@ -349,7 +349,7 @@ def _(spark, sf):
 
     users = prep.arrival_order(T.plain_vectors(spark, sf))
     early = users.filter(EARLY)
-    return insert_trie(build_trie(early, capacity=50, delta=0.005), early, users.filter(~EARLY)).placements.select("path", "user_id")
+    return insert_trie(build_trie(early, capacity=50, delta=0.005), early, users.filter(LATE)).placements.select("path", "user_id")
 
 
 @key("stream_into_live_trie", TRIE + "SELECT path, CAST(count(*) AS BIGINT) AS n FROM placement GROUP BY 1")
@@ -360,7 +360,7 @@ def _(spark, sf):
     users = prep.arrival_order(T.plain_vectors(spark, sf))
     early = users.filter(EARLY)
     stream = spark.readStream.schema(T.SCHEMAS["embeddings"]).option("pathGlobFilter", "embeddings*.parquet").parquet(sf)
-    arriving = prep.arrival_order(stream.select(F.col("vec_id").alias("user_id"), F.col("embedding").cast("array<double>").alias("emb"))).filter(~EARLY)
+    arriving = prep.arrival_order(stream.select(F.col("vec_id").alias("user_id"), F.col("embedding").cast("array<double>").alias("emb"))).filter(LATE)
     live = S.LiveTrie(build_trie(early, capacity=50, delta=0.005), early)
     return live.follow(arriving).placements.groupBy("path").agg(n_())
 
