@@ -58,13 +58,15 @@ def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
     The schedule runs until every source has been read once; a shorter source
     starts over, so its documents recur and the sources' shares of the rows are
-    their weights.  Files and rows follow the schedule too.  A null source is a
-    source of its own; texts are not read; repeated rows are rows like any other;
-    an empty table stays empty.
+    their weights.  Rows lie in files by hash and in each file in the order of
+    the schedule, so a file is a sample of the mixture; one order over all files
+    would not outlive the next reading, as Spark packs files by size.  A null
+    source is a source of its own; texts are not read; repeated rows are rows like
+    any other; an empty table stays empty.
     """
     ship(spark)
     mixed = mixing.mix_sources(docs.select(*COLUMNS), temperature=0.5)
-    return mixed.orderBy("mix_position", "doc_id").select(*COLUMNS)
+    return mixed.sortWithinPartitions("mix_position", "doc_id").select(*COLUMNS)
 
 
 def segmentation_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
