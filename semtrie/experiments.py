@@ -203,7 +203,7 @@ def exp3_reach(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def skewed_users(spark: SparkSession, n: int) -> DataFrame:
-    """Users who arrive one far beyond the other, so that every split parts one from the rest."""
+    """Users who arrive one far beyond the other, so that every split parts one from the rest and the next arrivals join that one."""
     return spark.range(n).select(F.col("id").alias("user_id"), F.array(F.pow(F.lit(4.0), F.col("id"))).alias("emb"), F.col("id").alias("arrival"))
 
 
@@ -211,7 +211,8 @@ def exp4_costs(spark: SparkSession, sf: str) -> DataFrame:
     """Build messages, splits and height against users, capacity and threshold; and the degenerate trie.
 
     ``bound`` is placements times log2(users / capacity) + 1 levels where splits
-    are about even, and users squared for the skewed arrivals.
+    are about even, and users squared over capacity for the skewed arrivals, whose
+    trie is a chain.
     """
     users = prep.arrival_order(T.plain_vectors(spark, sf))
     out = None
@@ -221,7 +222,7 @@ def exp4_costs(spark: SparkSession, sf: str) -> DataFrame:
         n = profile.count()
         t = build_trie(profile, capacity=capacity, delta=delta, max_depth=256)
         r = measures.build_cost(t.placements, n, 10, splits=t.splits.count(), capacity=capacity).crossJoin(t.nodes.agg(F.max("depth").alias("height"), F.count_if(F.col("kind") == "split").alias("splits"), F.coalesce(F.sum(F.when(F.col("kind") != "split", F.col("n_users"))), F.lit(0)).alias("placements")))
-        bound = F.col("placements") * (F.log2(F.lit(max(n, 1) / capacity)) + 1) if workload == "vectors" else F.lit(float(n) * n)
+        bound = F.col("placements") * (F.log2(F.lit(max(n, 1) / capacity)) + 1) if workload == "vectors" else F.lit(float(n) * n / capacity)
         r = r.select(F.lit(workload).alias("workload"), F.lit(n).alias("users"), F.lit(capacity).alias("capacity"), F.lit(delta).alias("delta"), "insertion", "expansion", "reassigned", "total", "height", "splits", "placements", bound.alias("bound"))
         out = r if out is None else out.unionByName(r)
     return out
