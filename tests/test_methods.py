@@ -401,3 +401,28 @@ def test_experiments_expand_ten_rounds_and_diffuse_to_tolerance(spark, sf, monke
     X.exp2_retrieval(spark, sf)
     X.exp3_reach(spark, sf)
     assert rounds == [10, 10] and steps == {1.0: 0, 0.9: 3, 0.5: 10, 0.1: 66}
+
+
+def test_contacts_of_a_large_leaf_move_no_pairs(spark):
+    """A leaf's users are compared in blocks: equal to brute force, ties included, without a row per pair."""
+    from semtrie.plans.planner import shuffled_bytes
+
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(900, 8))
+    x[700:] = x[:200]  # copies tie
+    profile = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "user_id long, emb array<double>")
+    rows = [("", i, "0" if i < 860 else "1") for i in range(900)] + [("", 5, "1")]
+    places = spark.createDataFrame(rows, "tree_id string, user_id long, path string")
+    before = shuffled_bytes(spark)
+    got = neighbors.gather_contacts(places, profile, 4).collect()
+    assert shuffled_bytes(spark) - before < 4_000_000
+    s = np.round(cosines(x), 12)
+    for path in ("0", "1"):
+        leaf = [u for _, u, p in rows if p == path]
+        found = {}
+        for r in got:
+            if r.path == path:
+                found.setdefault(r.user_id, set()).add(r.peer_id)
+        assert found == {u: set(sorted((v for v in leaf if v != u), key=lambda v: (-s[u, v], v))[:4]) for u in leaf}
+    known = {(r.user_id, r.peer_id): r.sim for r in neighbors.init_lists(spark.createDataFrame(got), profile).collect()}
+    assert len(known) == len({(r.user_id, r.peer_id) for r in got}) and all(abs(v - cosines(x)[k]) < 1e-12 for k, v in known.items())
