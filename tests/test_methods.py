@@ -426,3 +426,11 @@ def test_contacts_of_a_large_leaf_move_no_pairs(spark):
         assert found == {u: set(sorted((v for v in leaf if v != u), key=lambda v: (-s[u, v], v))[:4]) for u in leaf}
     known = {(r.user_id, r.peer_id): r.sim for r in neighbors.init_lists(spark.createDataFrame(got), profile).collect()}
     assert len(known) == len({(r.user_id, r.peer_id) for r in got}) and all(abs(v - cosines(x)[k]) < 1e-12 for k, v in known.items())
+
+
+def test_pairs_are_counted_over_all_users(spark):
+    x = np.random.default_rng(8).normal(size=(700, 6))
+    profile = spark.createDataFrame([(int(i) * 7, v.tolist()) for i, v in enumerate(x)], "user_id long, emb array<double>")
+    want = int((np.abs(cosines(x)[np.triu_indices(700, 1)] - 0.5) < 0.1).sum())
+    assert truth.count_pairs(profile, 0.5, 0.1).first().n == want
+    assert truth.count_pairs(profile.limit(1), 0.5, 0.1).first().n == 0 == truth.count_pairs(profile.limit(0), 0.5, 0.1).first().n
