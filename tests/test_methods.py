@@ -434,3 +434,32 @@ def test_pairs_are_counted_over_all_users(spark):
     want = int((np.abs(cosines(x)[np.triu_indices(700, 1)] - 0.5) < 0.1).sum())
     assert truth.count_pairs(profile, 0.5, 0.1).first().n == want
     assert truth.count_pairs(profile.limit(1), 0.5, 0.1).first().n == 0 == truth.count_pairs(profile.limit(0), 0.5, 0.1).first().n
+
+
+def test_query_noise_keeps_one_row_per_number(spark, monkeypatch):
+    """Two queries of one number (over 100,000 vectors) are one row, as in the SQL."""
+    from types import SimpleNamespace
+
+    from semtrie import catalog
+
+    rows = [(100001, [1.0, 0.0]), (100001, [0.6, 0.8]), (7, [0.0, 1.0])]
+    monkeypatch.setattr(X.Interest, "load", lambda *_: SimpleNamespace(queries=spark.createDataFrame(rows, "query_id long, emb array<double>")))
+    got = sorted((r.query_id, r.sim) for r in catalog.queries()["query_noise"](spark, "").collect())
+    want = []
+    for q in (7, 100001):
+        x = np.concatenate([e for i, e in rows if i == q])
+        y = np.concatenate([[v + 0.2 * (portable_hash_py(42, "noise", q, k) / 2**60 - 0.5) for k, v in enumerate(e)] for i, e in rows if i == q])
+        want.append((q, round(float(x @ y / np.sqrt((x @ x) * (y @ y))), 6)))
+    assert got == want
+
+
+def test_unknown_peers_are_counted_without_a_list_of_all(spark, monkeypatch):
+    from types import SimpleNamespace
+
+    from semtrie import catalog
+
+    profile = spark.createDataFrame([(i, [1.0, float(i)]) for i in range(5)], "user_id long, emb array<double>")
+    known = spark.createDataFrame([(0, 1), (0, 4), (3, 2)], "user_id long, peer_id long")
+    monkeypatch.setattr(X, "coded", lambda *_: SimpleNamespace(workload=SimpleNamespace(profile=profile), known=known))
+    monkeypatch.setattr(truth, "exact_neighbors", lambda *_: pytest.fail("a list of nearest users is cut at its length"))
+    assert catalog.queries()["join_anti_unknown_peers"](spark, "").first().n == 5 * 4 - 3
