@@ -235,6 +235,25 @@ def test_cooccurrence_against_brute_force(spark):
     assert [r.user_id for r in study.isolated_users(holding).collect()] == [99]
 
 
+def test_shared_documents_in_blocks(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    held = sorted({(int(u), int(d)) for u, d in rng.integers(0, (40, 25), size=(500, 2))})
+    holding = spark.createDataFrame(held, "user_id long, doc_id long")
+    docs = {u: {d for v, d in held if v == u} for u, _ in held}
+    pairs = {(a, b, len(docs[a] & docs[b])) for a in docs for b in docs if a < b}
+    best = {a: max(((len(docs[a] & docs[o]), -o) for o in docs if o != a)) for a in docs}
+    for block, at_once in ((4_000_000, 4_000_000), (90, 40)):  # one block; several blocks, and users cut into parts
+        monkeypatch.setattr(study, "BLOCK", block)
+        monkeypatch.setattr(study, "PAIRS", at_once)
+        assert {tuple(r) for r in study.shared_pairs(holding, 4).collect()} == {p for p in pairs if p[2] >= 4}
+        assert {r.user_id: (r.max_shared, -r.partner) for r in study.max_cooccurrence(holding).collect()} == best
+        some = study.max_cooccurrence(holding, sample=holding.filter("user_id < 5")).collect()
+        assert {r.user_id: (r.max_shared, -r.partner) for r in some} == {u: best[u] for u in range(5)}
+    # pairs of users do not travel
+    plan = study.shared_pairs(holding, 4)._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "FlatMapGroupsInArrow" in plan
+
+
 def test_thin_holders_and_split(spark):
     holding = spark.createDataFrame([(u, d) for u in range(8) for d in range(12)], "user_id long, doc_id long")
     parts = prep.split_holdings(holding, 3)
