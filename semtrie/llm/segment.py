@@ -65,6 +65,7 @@ class Vocabulary:
         self.ascii = np.array([self.bytes_of[b] for b in range(128)], dtype=np.int32)
         self.byte_at = {i: b for b, i in self.bytes_of.items()}
         self.raw = [bytes([self.byte_at[i]]) if i in self.byte_at else n.replace(MARK, " ").encode() for i, n in enumerate(self.names)]
+        self.bytes = pa.array(self.raw, pa.large_binary())
         plain = [i for i in range(size) if not (model.is_byte(i) or model.is_unknown(i) or model.is_control(i))]
         weight = {i: -slope * math.log(min(max(0.0, -model.get_score(i)), size) + shift) for i in plain}
         self.byte_weight = -slope * math.log(size + shift)
@@ -451,29 +452,39 @@ def search_texts(nodes: list[np.ndarray], keys: list[int], k: int, seed: int, la
 def unit_lattices(texts: list[str], vocab: Vocabulary) -> tuple[Lattices, list[np.ndarray]]:
     """Lattices of the texts' distinct units, and each text as the nodes its units start at.
 
-    Texts whose words are parted by single spaces are split and numbered in one
-    vectorised pass; the others go by the pattern.
+    All texts are split at single spaces and numbered in one vectorised pass;
+    empty words stand for further spaces, which lead the unit of the next word
+    or make the last unit.
     """
-    plain = [not (t[:1] == " " or t[-1:] == " " or "  " in t) for t in texts]
-    column = pa.array([t if p else "" for t, p in zip(texts, plain, strict=True)], pa.large_string())
-    words = pc.split_pattern(column, " ")
+    words = pc.split_pattern(pa.array(texts, pa.large_string()), " ")
     coded = words.values.dictionary_encode()
     units = [" " + w for w in coded.dictionary.to_pylist()]
     codes, ends = coded.indices.to_numpy(), words.offsets.to_numpy()
-    number: dict[str, int] = {}
-    odd = {}
-    if not all(plain):
-        number = {u: i for i, u in enumerate(units)}
-        for i, p in enumerate(plain):
-            if not p:
-                odd[i] = np.array([number.setdefault(u, len(number)) for u in units_of(texts[i])], dtype=np.int64)
-        units = list(number)
+    kept = np.ones(len(codes), dtype=bool)
+    kept[ends[:-1][[not t for t in texts]]] = False
+    empty = pc.index(coded.dictionary, pa.scalar("", pa.large_string())).as_py()
+    if empty >= 0:
+        kept &= codes != empty
+        full = np.flatnonzero(kept)
+        text = np.repeat(np.arange(len(texts)), np.diff(ends))
+        before = np.concatenate([[-1], full[:-1]])[: len(full)]
+        spaces = np.zeros(len(codes), dtype=np.int64)  # beyond the one of each unit
+        spaces[full] = full - np.maximum(before, ends[text[full]] - 1) - 1
+        last = ends[:-1] - 1  # the last word that is not empty, or the place before the text
+        np.maximum.at(last, text[full], full)
+        trail = np.flatnonzero((last < ends[1:] - 1) & np.array([bool(t) for t in texts]))
+        kept[ends[1:][trail] - 1] = True
+        spaces[ends[1:][trail] - 1] = ends[1:][trail] - 2 - last[trail]
+        wide = np.flatnonzero(spaces)
+        if len(wide):
+            pairs, number = np.unique(np.stack([codes[wide].astype(np.int64), spaces[wide]]), axis=1, return_inverse=True)
+            codes = codes.astype(np.int64)
+            codes[wide] = len(units) + number.ravel()
+            units += [" " * n + units[c] for c, n in pairs.T.tolist()]
     lat = Lattices(units, vocab)
-    nodes = []
-    for i, text in enumerate(texts):
-        own = odd[i] if i in odd else codes[ends[i] : ends[i + 1]] if text else codes[:0]
-        nodes.append(lat.base[own])
-    return lat, nodes
+    at = np.append(0, np.cumsum(kept))[ends]
+    flat = lat.base[codes[kept]]
+    return lat, [flat[lo:hi] for lo, hi in zip(at[:-1], at[1:], strict=True)]
 
 
 SCHEMA = "doc_id long, sample int, n_pieces long, logp double, perturbed double, log_inclusion double, exact boolean, pieces_sha1 string"
@@ -481,27 +492,37 @@ SCHEMA = "doc_id long, sample int, n_pieces long, logp double, perturbed double,
 
 def _sample(batches: Iterator[pa.RecordBatch], k: int, seed: int, model: str, slope: float, shift: float, with_ids: bool, batch_bytes: int = BATCH) -> Iterator[pa.RecordBatch]:
     vocab = vocabulary(model, slope, shift)
+    pa.default_memory_pool().release_unused()  # what an earlier stage left in this worker
     for part in pieces(batches, "text", batch_bytes):
         texts = [t or "" for t in part.column("text").to_pylist()]
         lat, nodes = unit_lattices(texts, vocab)
-        names: dict[str, list] = {n.split()[0]: [] for n in SCHEMA.split(", ")}
-        ids_out: list[np.ndarray] = []
         keys = part.column("doc_id").to_pylist()
-        for doc_id, text, samples in zip(keys, texts, search_texts(nodes, [key or 0 for key in keys], k, seed, lat), strict=True):
-            raw = (" " + text).encode("utf-8", "surrogatepass") if text else b""
-            for rank, (value, logp, edges, score) in enumerate(samples):
-                ids = path_ids(edges, lat)
-                exact = b"".join([vocab.raw[i] for i in ids.tolist()]) == raw
-                row = (doc_id, rank, len(ids), logp, value, score, exact, hashlib.sha1(ids.astype("<i4").tobytes()).hexdigest())
-                for column, x in zip(names.values(), row, strict=True):
-                    column.append(x)
-                if with_ids:
-                    ids_out.append(ids)
-        columns = [pa.array(v, t) for v, t in zip(names.values(), (pa.int64(), pa.int32(), pa.int64(), pa.float64(), pa.float64(), pa.float64(), pa.bool_(), pa.string()), strict=True)]
-        if with_ids:
-            ends = np.cumsum([0, *map(len, ids_out)]).astype(np.int32)
-            columns.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(ids_out).astype(np.int32, copy=False))))
-        yield pa.RecordBatch.from_arrays(columns, [*names, *(["ids"] if with_ids else [])])
+        found = search_texts(nodes, [key or 0 for key in keys], k, seed, lat)
+        count = [len(f) for f in found]
+        values, logps, paths, scores = zip(*[s for f in found for s in f], strict=True)
+        ids = [path_ids(edges, lat) for edges in paths]
+        del lat, nodes, found, paths
+        yield _rows(np.repeat(np.arange(len(texts)), count).tolist(), keys, texts, values, logps, scores, ids, [r for n in count for r in range(n)], vocab, with_ids)
+
+
+def _rows(owner: list[int], keys: list, texts: list[str], values: tuple, logps: tuple, scores: tuple, ids: list[np.ndarray], rank: list[int], vocab: Vocabulary, with_ids: bool) -> pa.RecordBatch:
+    """The rows of a batch's samples; whether a sample decodes to its text is seen in the joined bytes of its pieces."""
+    size = np.array([len(i) for i in ids])
+    ends = np.append(0, np.cumsum(size))
+    flat = np.concatenate(ids).astype(np.int32, copy=False)
+    exact, raw = [], [(" " + t).encode("utf-8", "surrogatepass") if t else b"" for t in texts]
+    for lo in range(0, len(ids), 64):
+        part = vocab.bytes.take(pa.array(flat[ends[lo] : ends[min(lo + 64, len(ids))]]))
+        _, offsets, data = part.buffers()
+        at = np.frombuffer(offsets, np.int64, len(part) + 1)
+        data, cut = bytes(data or b""), at[ends[lo : lo + 65] - ends[lo]].tolist()
+        exact += [data[a:b] == raw[o] for a, b, o in zip(cut, cut[1:], owner[lo : lo + 64], strict=False)]
+    sha = [hashlib.sha1(i.astype("<i4", copy=False).data).hexdigest() for i in ids]
+    columns = [([keys[o] for o in owner], pa.int64()), (rank, pa.int32()), (size, pa.int64()), (logps, pa.float64()), (values, pa.float64()), (scores, pa.float64()), (exact, pa.bool_()), (sha, pa.string())]
+    arrays, names = [pa.array(v, t) for v, t in columns], [n.split()[0] for n in SCHEMA.split(", ")]
+    if with_ids:
+        arrays.append(pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(flat)))
+    return pa.RecordBatch.from_arrays(arrays, [*names, *(["ids"] if with_ids else [])])
 
 
 def path_ids(edges: np.ndarray, lat: Lattices) -> np.ndarray:

@@ -538,3 +538,13 @@ def test_counts_of_the_given_table_equal_direct_ones(spark, sf01):
     want = {r.doc_id: len(enc.encode_ordinary(r.text or "")) for r in table(spark, sf01, "documents").collect()}
     rows = registry.queries()["op9_token_counts"](spark, sf01).collect()
     assert {r.doc_id: r.n_tokens for r in rows} == want and len(rows) == len(want)
+
+
+def test_units_of_texts_with_runs_of_spaces():
+    vocab = segment.vocabulary(segment.DEFAULT_MODEL, 1.0, 10.0)
+    texts = ["", " ", "  ", "a", "a ", " a", "  a   b  c ", "a b", "   ", "a\n  b", "é  é x  é"]
+    lat, nodes = segment.unit_lattices(texts, vocab)
+    begin = {int(b): i for i, b in enumerate(lat.base)}
+    stop = np.append(lat.base[1:], len(lat.codes))
+    spell = lambda n: "".join(map(chr, lat.codes[n : stop[begin[int(n)]]]))
+    assert [[spell(n) for n in own] for own in nodes] == [segment.units_of(t) for t in texts]
