@@ -27,12 +27,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semtrie.llm.common import mix64, pieces, table, text_bytes
+from semtrie.llm.common import BROADCAST_ROWS, discard, materialize, mix64, pieces, table, text_bytes
 from semtrie.llm.shingles import word_hashes
 
 ACCEPT = 0.7
-MAX_LABELLED = 20_000
+#: Labelled rows whose features go to the driver; of more, only sums do.
+LOCAL_LABELLED = 50_000
+#: Pairs up to which differences are formed one by one.
 N_PAIRS = 60_000
+#: Strengths beyond it count as this much; nodes to a unit of strength, of first sums and of a final count; and width between nodes of second sums.
+REACH, FINE, COUNT, COARSE = 40, 16, 1024, 2.0
 
 NAMES = (
     "log_words", "mean_word", "distinct_share", "log_distinct_share", "punct_share", "log_punct", "upper_share", "log_upper", "digit_share", "space_share", "end_marks",
@@ -145,18 +149,107 @@ class Ranker:
         return 1 / (1 + np.exp(-np.clip(t, -500, 500)))
 
 
+def _deposit(s: np.ndarray, step: float) -> tuple[np.ndarray, np.ndarray]:
+    """Node below each strength and the share of the one above, on nodes ``step`` apart."""
+    at = (np.clip(s, -REACH, REACH) + REACH) / step
+    low = np.minimum(at.astype(np.int64), int(2 * REACH / step) - 1)
+    return low, at - low
+
+
+def pair_sums(z: np.ndarray, y: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """What a part of the rows adds to the sums over all pairs, as one vector.
+
+    Per label: rows and sums of ``z`` at the fine nodes of strength ``z @ w``, and
+    sums of ``z z'`` at the coarse ones, each row shared by the nodes on its sides.
+    """
+    out = []
+    for label in (1, 0):
+        x = z[y == label]
+        s = x @ w
+        low, up = _deposit(s, 1 / FINE)
+        first = np.zeros((2 * REACH * FINE + 1, z.shape[1] + 1))
+        both, share = np.concatenate([low, low + 1]), np.concatenate([1 - up, up])
+        for c, column in enumerate([np.ones(len(x)), *x.T]):
+            first[:, c] = np.bincount(both, weights=share * np.tile(column, 2), minlength=len(first))
+        low, up = _deposit(s, COARSE)
+        second = np.zeros((int(2 * REACH / COARSE) + 1, z.shape[1], z.shape[1]))
+        for node in np.unique(low):
+            rows = np.flatnonzero(low == node)
+            second[node] += (x[rows] * (1 - up[rows])[:, None]).T @ x[rows]
+            second[node + 1] += (x[rows] * up[rows][:, None]).T @ x[rows]
+        out += [first.ravel(), second.ravel()]
+    return np.concatenate(out)
+
+
+def newton_step(sums: np.ndarray, w: np.ndarray, ridge: float) -> np.ndarray:
+    """The step from ``w`` on the loss over all pairs: its slope by the fine nodes, its curvature by fine and coarse ones."""
+    d, fine, coarse = len(w), 2 * REACH * FINE + 1, int(2 * REACH / COARSE) + 1
+    half = len(sums) // 2
+    first = [sums[i * half : i * half + fine * (d + 1)].reshape(fine, d + 1) for i in (0, 1)]
+    second = [sums[i * half + fine * (d + 1) : (i + 1) * half].reshape(coarse, d, d) for i in (0, 1)]
+    (n1, g1), (n0, g0) = ((f[:, 0], f[:, 1:]) for f in first)
+    pairs = n1.sum() * n0.sum()
+    at = np.arange(fine) / FINE
+    p = 1 / (1 + np.exp(np.clip(at[:, None] - at[None], -30, 30)))  # good node by bad node: the chance that the pair is ranked wrongly
+    gradient = ((p @ n0) @ g1 - (n1 @ p) @ g0) / pairs - ridge * w
+    v = p * (1 - p)
+    cross = g1.T @ v @ g0
+    pick = slice(None, None, int(COARSE * FINE))
+    hessian = (np.tensordot((v @ n0)[pick], second[0], 1) + np.tensordot((n1 @ v)[pick], second[1], 1) - cross - cross.T) / pairs
+    # the coarse curvature may be a little off, so that its smallest direction is held positive
+    values, vectors = np.linalg.eigh((hessian + hessian.T) / 2)
+    return vectors @ ((vectors.T @ gradient) / (np.maximum(values, 0) + ridge))
+
+
+def strength_counts(s: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Rows of label 1 and of label 0 by strength."""
+    at = np.floor((np.clip(s, -REACH, REACH) + REACH) * COUNT).astype(np.int64)
+    return np.concatenate([np.bincount(at[y == label], minlength=2 * REACH * COUNT + 1) for label in (1, 0)])
+
+
+def threshold_of(counts: np.ndarray) -> tuple[float, float]:
+    """(threshold, spread) from the counts of all rows: of the cuts near the share of label 0, the one with the best balanced accuracy."""
+    good, bad = counts.reshape(2, -1)
+    every = np.cumsum(good + bad)
+    share = bad.sum() / every[-1]
+    cuts = np.searchsorted(every, np.unique(np.clip(share * np.linspace(0.3, 1.3, 81), 0, 1)) * every[-1]).clip(0, len(good) - 1)
+    below = lambda n: np.append(0, np.cumsum(n))[cuts] / n.sum()
+    balanced = 1 - below(good) + below(bad)
+    cut = int(cuts[np.flatnonzero(balanced >= balanced.max() - 2e-3)[0]])
+    away = np.abs(np.arange(len(good)) + 0.5 - cut) / COUNT
+    order = np.argsort(away, kind="stable")
+    middle = np.searchsorted(np.cumsum((good + bad)[order]), every[-1] / 2)
+    return cut / COUNT - REACH, float(away[order[middle]])
+
+
+def fit_all_pairs(passes, dim: int, *, ridge: float = 1e-3, steps: int = 25) -> tuple[np.ndarray, float, float]:
+    """(weights, threshold, spread) by Newton steps over every pair of label 1 and label 0; ``passes(f, w)`` adds up ``f`` over all rows."""
+    w = np.zeros(dim)
+    for _ in range(steps):
+        step = newton_step(passes("pairs", w), w, ridge)
+        w = w + step
+        if np.abs(step).max() < 1e-5:
+            break
+    return w, *threshold_of(passes("counts", w))
+
+
+def _pass(kind: str, z: np.ndarray, y: np.ndarray, w: np.ndarray) -> np.ndarray:
+    return pair_sums(z, y, w) if kind == "pairs" else strength_counts(z @ w, y).astype(float)
+
+
 def fit_bradley_terry(x: np.ndarray, y: np.ndarray, *, pairs: int = N_PAIRS, ridge: float = 1e-3, steps: int = 25) -> Ranker:
-    """Newton steps on the pairwise logistic loss; pairs walk through both classes evenly, in row order."""
+    """Newton steps on the pairwise logistic loss over all pairs: one by one up to ``pairs`` of them, by sums over strengths beyond."""
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
     if not len(good) or not len(bad):
         raise ValueError("labels of both kinds are needed")
     centre = np.median(x[good], axis=0)
     scale = np.maximum(np.percentile(np.abs(x[good] - centre), 90, axis=0), 1e-3)
     z = expand(x, centre, scale)
-    count = min(pairs, len(good) * len(bad))
-    i = np.arange(count)
-    stride = next(s for s in range(max(1, int(0.618 * len(bad))), len(bad) + 2) if np.gcd(s, len(bad)) == 1)
-    d = z[good[i % len(good)]] - z[bad[(i // len(good) + i * stride) % len(bad)]]
+    count = len(good) * len(bad)
+    if count > pairs:
+        w, threshold, spread = fit_all_pairs(lambda kind, w: _pass(kind, z, y, w), z.shape[1], ridge=ridge, steps=steps)
+        return Ranker(centre, scale, w, threshold, 2.0 / spread)
+    d = (z[good][:, None] - z[bad][None]).reshape(count, -1)
     w = np.zeros(z.shape[1])
     for _ in range(steps):
         p = 1 / (1 + np.exp(np.clip(d @ w, -30, 30)))
@@ -195,20 +288,63 @@ def learnable(doc_id: Column) -> Column:
     return F.crc32(doc_id.cast("string").cast("binary")) % 4 != 2
 
 
-def fit_ranker(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", max_labelled: int = MAX_LABELLED) -> Ranker:
-    """Fit on at most ``max_labelled`` labelled rows (those of smallest id hash), a documented bound on what reaches the driver.
+def fit_ranker(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", label_col: str = "quality", local_labelled: int = LOCAL_LABELLED) -> Ranker:
+    """Fit on every learnable labelled row and every pair of label 1 and label 0.
 
-    Without labels of both kinds among them the result is ``neutral_ranker()``.
+    Up to ``local_labelled`` rows of features go to the driver; of more, each
+    Newton step takes sums of a fixed size from every part of the table, and
+    centre and scale are percentiles of all rows by Spark's sketch.
+    Without labels of both kinds the result is ``neutral_ranker()``.
     """
     known = labels.filter(F.col(label_col).isin(0, 1) & learnable(F.col(id_col))).select(F.col(id_col).cast("long").alias("doc_id"), F.col(label_col).cast("int").alias("y"))
-    chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id", "y").limit(max_labelled)
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
-    joined = texts.join(F.broadcast(chosen), "doc_id")  # at most max_labelled narrow rows
-    rows = joined.mapInArrow(lambda b: _features(b, ["doc_id", "y"]), "doc_id long, y int, x array<double>").toPandas()
-    rows = rows.iloc[np.lexsort((rows["y"], mix64(rows["doc_id"].to_numpy().astype(np.uint64))))]
-    x = np.vstack(rows["x"].to_numpy()) if len(rows) else np.zeros((0, len(NAMES)))
-    y = rows["y"].to_numpy()
-    return fit_bradley_terry(x, y) if {0, 1} <= set(y.tolist()) else neutral_ranker()
+    labelled = known.count()
+    if labelled <= BROADCAST_ROWS:
+        rows = texts.join(F.broadcast(known), "doc_id").mapInArrow(lambda b: _features(b, ["doc_id", "y"]), "doc_id long, y int, x array<double>")
+    else:  # features are shorter than texts
+        rows = texts.mapInArrow(lambda b: _features(b, ["doc_id"]), "doc_id long, x array<double>").join(known, "doc_id").select("doc_id", "y", "x")
+    rows = materialize(rows, "quality-features")
+    if rows.count() > local_labelled:
+        found = _fit_distributed(rows)
+    else:
+        held = rows.toPandas()
+        held = held.iloc[np.lexsort((held["y"], mix64(held["doc_id"].to_numpy().astype(np.uint64))))]
+        x = np.vstack(held["x"].to_numpy()) if len(held) else np.zeros((0, len(NAMES)))
+        y = held["y"].to_numpy()
+        found = fit_bradley_terry(x, y) if {0, 1} <= set(y.tolist()) else neutral_ranker()
+    discard(rows)
+    return found
+
+
+def _fit_distributed(rows: DataFrame) -> Ranker:
+    """``fit_bradley_terry`` on a table (y, x) of any size: parts of it send sums of a fixed size."""
+    good = rows.filter("y = 1")
+    if good.isEmpty() or rows.filter("y = 0").isEmpty():
+        return neutral_ranker()
+    feature = [F.get("x", F.lit(i)) for i in range(len(NAMES))]
+    centre = np.array(good.agg(*[F.percentile_approx(f, 0.5, 100_000) for f in feature]).first())
+    scale = np.array(good.agg(*[F.percentile_approx(F.abs(f - float(c)), 0.9, 100_000) for f, c in zip(feature, centre, strict=True)]).first())
+    scale = np.maximum(scale, 1e-3)
+
+    def passes(kind: str, w: np.ndarray) -> np.ndarray:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            total = None
+            for batch in batches:
+                if batch.num_rows:
+                    x = batch.column("x").flatten().to_numpy().reshape(batch.num_rows, -1)
+                    part = _pass(kind, expand(x, centre, scale), batch.column("y").to_numpy(), w)
+                    total = part if total is None else total + part
+            if total is not None:
+                yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], ["sums"])
+
+        total = None
+        for r in rows.select("y", "x").coalesce(32).mapInArrow(run, "sums binary").collect():  # at most 32 rows of 2.5 MB
+            part = np.frombuffer(r["sums"])
+            total = part if total is None else total + part
+        return total
+
+    w, threshold, spread = fit_all_pairs(passes, 2 * len(NAMES))
+    return Ranker(centre, scale, w, threshold, 2.0 / spread)
 
 
 def score_documents(docs: DataFrame, ranker: Ranker, *, text_col: str = "text", out_col: str = "score") -> DataFrame:

@@ -548,3 +548,19 @@ def test_units_of_texts_with_runs_of_spaces():
     stop = np.append(lat.base[1:], len(lat.codes))
     spell = lambda n: "".join(map(chr, lat.codes[n : stop[begin[int(n)]]]))
     assert [[spell(n) for n in own] for own in nodes] == [segment.units_of(t) for t in texts]
+
+
+def test_quality_fit_takes_every_row_and_pair(spark):
+    rng = np.random.default_rng(4)
+    x = rng.normal(size=(400, len(quality.NAMES)))
+    y = (x[:, 0] + 0.5 * x[:, 3] + rng.normal(size=400) > 0.3).astype(int)
+    by_pair = quality.fit_bradley_terry(x, y, pairs=10**6)
+    by_sums = quality.fit_bradley_terry(x, y, pairs=0)
+    assert np.abs(by_pair.weights - by_sums.weights).max() < 1e-3 * np.abs(by_pair.weights).max()
+    assert abs(by_pair.threshold - by_sums.threshold) < 0.1 * np.ptp(by_pair.strength(x))
+    rows = spark.createDataFrame([(int(b), a.tolist()) for a, b in zip(x, y, strict=True)], "y int, x array<double>").repartition(5)
+    spread = quality._fit_distributed(rows)
+    assert np.corrcoef(spread.strength(x), by_sums.strength(x))[0, 1] > 0.999
+    # any row counts, also beyond the first 60,000 pairs
+    flipped = np.where(np.arange(400) == 399, 1 - y, y)
+    assert np.abs(quality.fit_bradley_terry(x, flipped, pairs=0).weights - by_sums.weights).max() > 1e-4
