@@ -482,3 +482,52 @@ def test_unknown_peers_are_counted_without_a_list_of_all(spark, monkeypatch):
     monkeypatch.setattr(X, "coded", lambda *_: SimpleNamespace(workload=SimpleNamespace(profile=profile), known=known))
     monkeypatch.setattr(truth, "exact_neighbors", lambda *_: pytest.fail("a list of nearest users is cut at its length"))
     assert catalog.queries()["join_anti_unknown_peers"](spark, "").first().n == 5 * 4 - 3
+
+
+def test_profiles_by_lookup_equal_joined_ones_and_move_no_vectors(spark):
+    from semtrie.plans.planner import executed_plan, shuffled_bytes
+
+    rng = np.random.default_rng(8)
+    vectors = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(rng.normal(size=(60, 64)))], "doc_id long, emb array<double>")
+    held = spark.createDataFrame([(u, (u * 7 + 5 * j) % 70) for u in range(300) for j in range(u % 12)] + [(900, 65)], "user_id long, doc_id long")
+    want = {r.user_id: r for r in profiles.user_profiles(held, vectors).collect()}
+    before = shuffled_bytes(spark)
+    got = {r.user_id: r for r in profiles.profiles_by_lookup(held, vectors).collect()}
+    assert shuffled_bytes(spark) - before < 40_000
+    assert set(got) == set(want) and 900 not in got
+    assert all(got[u].n_docs == want[u].n_docs and np.allclose(got[u].emb, want[u].emb, atol=1e-14) for u in want)
+    odd = vectors.union(spark.createDataFrame([(60, [1.0])], vectors.schema))  # vectors of several lengths are not sent
+    assert "MapInArrow" not in executed_plan(profiles.profiles_by_lookup(held, odd))
+
+
+def test_history_counts_documents_once_and_reads_holdings_once(spark):
+    from semtrie.plans.planner import executed_plan
+
+    held = spark.createDataFrame([(1, 1), (1, 1), (1, 2), (2, 1), (2, 2), (2, 3), (3, None), (3, 1), (3, 2)], "user_id long, doc_id long")
+    got = prep.min_history(held, 3)
+    assert sorted((r.user_id, r.doc_id) for r in got.collect()) == [(2, 1), (2, 2), (2, 3)]
+    assert "Join" not in executed_plan(got)
+
+
+def test_candidates_hold_the_k_largest():
+    rng = np.random.default_rng(2)
+    for n, k in ((5, 9), (40, 3), (2000, 3), (2001, 30)):
+        s = np.round(rng.normal(size=(7, n)), 2)  # many ties
+        s[0, :2], s[1] = -np.inf, np.nan
+        s[2, ::2] = np.nan
+        r, c = truth.top_k(s, np.arange(n), k)
+        for i in range(7):
+            fine = [j for j in range(n) if np.isfinite(s[i, j])]
+            assert c[r == i].tolist() == sorted(fine, key=lambda j: (-s[i, j], j))[:k]
+
+
+def test_sent_vectors_give_the_same_similarities(spark, toy):
+    from semtrie.plans.store import sent_vectors
+
+    profile, _ = toy
+    unit = neighbors.units(profile)
+    pairs = spark.createDataFrame([(i, (i * 3 + 1) % 45, None if i % 2 else 0.5) for i in range(40)], "user_id long, peer_id long, bar double")
+    joined, sent = neighbors.with_similarity(pairs, unit), neighbors.with_similarity(pairs, unit, sent_vectors(unit))
+    assert sent.columns == ["user_id", "peer_id", "bar", "sim"]
+    key = lambda d: sorted((r.user_id, r.peer_id, r.sim) for r in d.select("user_id", "peer_id", "sim").collect())
+    assert key(sent) == key(joined) and len(key(sent)) < 40
