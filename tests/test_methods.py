@@ -533,6 +533,17 @@ def test_sent_vectors_give_the_same_similarities(spark, toy):
     assert key(sent) == key(joined) and len(key(sent)) < 40
 
 
+def test_searches_in_tasks_equal_searches_step_by_step(spark):
+    rng = np.random.default_rng(4)
+    edges = spark.createDataFrame([(int(a), int(b)) for a, b in rng.integers(0, 60, size=(110, 2))], "src long, dst long")
+    holding = spark.createDataFrame([(int(u), int(d)) for u, d in rng.integers(0, 60, size=(40, 2))], "user_id long, doc_id long")
+    queries = spark.createDataFrame([(i, i % 63, i % 61) for i in range(120)], "query_id long, user_id long, target_doc long")
+    users = spark.range(60).withColumnRenamed("id", "user_id")
+    for start in ("owner", "random"):
+        run = lambda local: sorted(tuple(r) for r in reach.min_hops(edges, holding, queries, users, max_depth=4, start=start, local=local).fillna(-1).collect())  # noqa: E731, B023
+        assert run(True) == run(False) == run(None) and len({r[3] for r in run(True)}) > 3
+
+
 def test_graphs_of_millions_of_edges_go_to_the_tasks():
     assert hop.LOCAL_PEERS >= 90_000 * 16 * 2  # an attachment graph of 90,000 users
 
