@@ -31,6 +31,7 @@ def rows(df):
 
 OPTIONS = {
     "expand_round1": (1, {}),
+    "expand_round3": (3, {}),
 }
 
 
@@ -58,6 +59,15 @@ def test_split_lists_equal_split_holdings(spark, small_batches):
     assert got.count() == got.select("user_id").distinct().count() == 23  # u from 4 on, but not where 7 divides 5 + u and few remain
 
 
+def test_number_of_an_event_is_that_of_its_json(spark):
+    from semtrie.sources.tables import number_k
+
+    texts = ['{"k": 5}', '{"k":50}', '{"k": 05}', '{"k": "5"}', '{"k": 5, "j": 1}', '{"j": {"k": 5}}', '{"k": 5}\n', '{"k": 5}x', '{"k": null}', "{}", "", "x", None, '{"k": -3}', '{"k": 0}', '{"k": 1.5}', '{"k": 2}{"k": 3}']
+    d = spark.createDataFrame([(t,) for t in texts], "props string")
+    got = d.select(number_k(F.col("props")).alias("a"), F.get_json_object("props", "$.k").alias("b")).collect()
+    assert [r.a for r in got] == [r.b for r in got] and got[0].a == "5"
+
+
 @pytest.mark.parametrize("items", [truth.ITEMS, 16])
 def test_leaf_lists_equal_the_search_that_moves_vectors(toy, spark, monkeypatch, items):
     monkeypatch.setattr(truth, "ITEMS", items)
