@@ -32,6 +32,7 @@ def rows(df):
 OPTIONS = {
     "expand_round1": (1, {}),
     "expand_round3": (3, {}),
+    "expand_ask_known": (2, {"ask_from": "known"}),
 }
 
 
