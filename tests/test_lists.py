@@ -33,6 +33,7 @@ OPTIONS = {
     "expand_round1": (1, {}),
     "expand_round3": (3, {}),
     "expand_ask_known": (2, {"ask_from": "known"}),
+    "expand_quantised": (2, {"quantised": True}),
 }
 
 
