@@ -34,6 +34,7 @@ OPTIONS = {
     "expand_round3": (3, {}),
     "expand_ask_known": (2, {"ask_from": "known"}),
     "expand_quantised": (2, {"quantised": True}),
+    "expand_share_all": (2, {"reply": "everything"}),
 }
 
 
