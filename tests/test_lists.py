@@ -35,6 +35,7 @@ OPTIONS = {
     "expand_ask_known": (2, {"ask_from": "known"}),
     "expand_quantised": (2, {"quantised": True}),
     "expand_share_all": (2, {"reply": "everything"}),
+    "expand_single_reply": (3, {"reply_limit": 1}),
 }
 
 
