@@ -36,6 +36,7 @@ OPTIONS = {
     "expand_quantised": (2, {"quantised": True}),
     "expand_share_all": (2, {"reply": "everything"}),
     "expand_single_reply": (3, {"reply_limit": 1}),
+    "expansion_costs": (2, {"keep_costs": True}),
 }
 
 
